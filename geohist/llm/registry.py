@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
-from geohist.llm import exact, packing
+from geohist.llm import bpe, exact, html, packing, urls, wordpiece
 
 
 def queries():
     return {
         "op2_exact_dedup": exact.op2_exact_dedup,
         "op4_packing": packing.op4_packing,
+        "op7_bpe": bpe.op7_bpe,
+        "op8_html_text": html.op8_html_text,
+        "op9_url_filter": urls.op9_url_filter,
+        "op10_token_counts": wordpiece.op10_token_counts,
     }
 
 
