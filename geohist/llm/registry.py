@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from geohist.llm import bpe, exact, html, packing, urls, wordpiece
+from geohist.llm import bpe, exact, html, packing, quality, substring, urls, wordpiece
 
 
 def queries():
     return {
         "op2_exact_dedup": exact.op2_exact_dedup,
         "op4_packing": packing.op4_packing,
+        "op5_substring_dedup": substring.op5_substring_dedup,
+        "op6_quality": quality.op6_quality,
         "op7_bpe": bpe.op7_bpe,
         "op8_html_text": html.op8_html_text,
         "op9_url_filter": urls.op9_url_filter,
