@@ -80,47 +80,113 @@ def spread(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, int]:
         ways += 1
 
 
+def level(sizes: np.ndarray, way: np.ndarray, ways: int, capacity: int) -> list[tuple[int, int, int, int]]:
+    """(item, from, to, way) of every item or part of one, with no way above capacity.
+
+    What stands above the capacity of a full way is cut off its last items and fills the room of others in order.
+    The room suffices whenever ways * capacity reaches the sum of all sizes.
+    """
+    order = np.lexsort((-sizes, way))
+    room = np.full(ways, capacity, np.int64)
+    out, over = [], []
+    for i in order.tolist():
+        w, n = int(way[i]), int(sizes[i])
+        fits = min(n, int(room[w]))
+        if fits:
+            out.append((i, 0, fits, w))
+            room[w] -= fits
+        if fits < n:
+            over.append((i, fits, n))
+    free = iter(np.flatnonzero(room).tolist())
+    w = next(free, None)
+    for i, a, b in over:
+        while a < b:
+            while not room[w]:
+                w = next(free)
+            take = min(b - a, int(room[w]))
+            out.append((i, a, a + take, w))
+            room[w] -= take
+            a += take
+    return out
+
+
 class ChunkEncoder:
-    """Ids of whole texts for tokenizers that drop white space: each distinct space-free chunk is encoded once."""
+    """Ids of whole texts for tokenizers that drop white space: each distinct space-free chunk is encoded once.
 
-    def __init__(self, path: str, limit: int = 200_000):
+    New chunks go to the library as one text with an added token between them, at which it cuts before anything
+    else; chunks that hold an added token themselves go alone. Ids of known chunks lie end to end in one array.
+    """
+
+    def __init__(self, path: str, limit: int = 400_000):
         from tokenizers import Tokenizer
 
         self.tokenizer, self.limit = Tokenizer.from_file(path), limit
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
-        self.known: dict[str, np.ndarray] = {}
+        added = {t.content: i for i, t in self.tokenizer.get_added_tokens_decoder().items() if t.special and not (t.lstrip or t.rstrip or t.single_word or t.normalized)}
+        self.added = tuple(t.content for t in self.tokenizer.get_added_tokens_decoder().values())
+        self.mark, self.mark_id = next(iter(added.items()), (None, -1))
+        self._forget()
+
+    def _forget(self) -> None:
+        self.known: dict[str, int] = {}
+        self.flat, self.size = np.zeros(0, np.uint32), np.zeros(0, np.int64)
+
+    def _learn(self, new: list[str]) -> None:
+        whole = " ".join(new)
+        there = [t for t in self.added if t in whole]
+        odd = new if not self.mark else [w for w in new if any(t in w for t in there)] if there else []
+        plain = [w for w in new if w not in alone] if (alone := set(odd)) else new
+        flat, size = [self.flat], [self.size]
+        for lo in range(0, len(plain), 20_000):
+            part = plain[lo : lo + 20_000]
+            ids = np.array(self.tokenizer.encode_batch_fast([self.mark.join(part)], add_special_tokens=False)[0].ids, np.uint32)
+            cut = np.append(np.flatnonzero(ids == self.mark_id), len(ids))
+            size.append(np.diff(np.concatenate([[-1], cut])) - 1)
+            flat.append(ids[ids != self.mark_id])
+        for w in odd:
+            ids = self.tokenizer.encode(w, add_special_tokens=False).ids
+            size.append(np.array([len(ids)], np.int64))
+            flat.append(np.array(ids, np.uint32))
+        self.known.update(zip(plain + odd, range(len(self.known), len(self.known) + len(new))))
+        self.flat, self.size = np.concatenate(flat), np.concatenate(size)
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts laid end to end (uint32) and n+1 offsets."""
         lists = pc.ascii_split_whitespace(texts)
         ends = np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64))])
         coded = lists.flatten().dictionary_encode()
-        index, words = coded.indices.to_numpy(zero_copy_only=False), coded.dictionary.to_pylist()
-        new = [w for w in words if w not in self.known]
-        if len(self.known) + len(new) > self.limit:
-            self.known.clear()
-            new = words
-        for w, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False)):
-            self.known[w] = np.array(e.ids, np.uint32)
-        pieces = [self.known[w] for w in words]
-        size = np.array([len(p) for p in pieces], np.int64)
-        flat = np.concatenate(pieces) if pieces else np.zeros(0, np.uint32)
-        first = np.cumsum(size) - size
-        n = size[index]
+        words = coded.dictionary.to_pylist()
+        if len(self.known) > self.limit:
+            self._forget()
+        if new := [w for w in words if w not in self.known]:
+            self._learn(new)
+        index = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))[coded.indices.to_numpy(zero_copy_only=False)]
+        first = np.cumsum(self.size) - self.size
+        n = self.size[index]
         at = np.concatenate([[0], np.cumsum(n)])
-        ids = flat[np.repeat(first[index] - at[:-1], n) + np.arange(at[-1])] if len(index) else flat
-        return ids, at[ends]
+        return self.flat[np.repeat(first[index] - at[:-1], n) + np.arange(at[-1])], at[ends]
+
+
+_ENCODERS: dict[str, ChunkEncoder] = {}
+
+
+def chunk_encoder(path: str) -> ChunkEncoder:
+    """The worker's encoder of a file: what it knows stays from task to task."""
+    if path not in _ENCODERS:
+        _ENCODERS.clear()
+        _ENCODERS[path] = ChunkEncoder(path)
+    return _ENCODERS[path]
 
 
 _SCHEMA = "row_id long, doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
-def _pack(path: str, capacity: int, end_id: int, group: int, with_ids: bool):
+def _pack(path: str, capacity: int, end_id: int, group: int, with_ids: bool, cut: bool):
     names = [x.split()[0] for x in _SCHEMA.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, next_id = ChunkEncoder(path), TaskContext.get().partitionId() << 40
+        encoder, next_id = chunk_encoder(path), TaskContext.get().partitionId() << 40
         whole, rest = [], []  # (row, doc, start, ids, doc tokens)
 
         def emit(pieces: list, seq: np.ndarray, offset: np.ndarray) -> pa.RecordBatch:
@@ -136,21 +202,26 @@ def _pack(path: str, capacity: int, end_id: int, group: int, with_ids: bool):
                 next_id += len(whole)
             if rest:
                 size = np.array([len(p[3]) for p in rest], np.int64)
-                way, ways = spread(size, capacity)
-                order = np.argsort(way, kind="stable")
-                w, n = way[order], size[order]
+                if cut:
+                    ways = -(-int(size.sum()) // capacity)
+                    parts = sorted(level(size, difference(size, ways), ways, capacity), key=lambda p: p[3])
+                else:
+                    way, ways = spread(size, capacity)
+                    parts = sorted(((i, 0, int(size[i]), int(way[i])) for i in range(len(size))), key=lambda p: p[3])
+                w, n = np.array([p[3] for p in parts]), np.array([b - a for _, a, b, _ in parts])
                 before = np.cumsum(n) - n
-                base = np.zeros(ways, np.int64)
                 lead = np.flatnonzero(np.r_[True, w[1:] != w[:-1]])
+                base = np.zeros(ways, np.int64)
                 base[w[lead]] = before[lead]
-                yield emit([rest[i] for i in order.tolist()], next_id + w, before - base[w])
+                pieces = [(rest[i][0], rest[i][1], rest[i][2] + a, rest[i][3][a:b], rest[i][4]) for i, a, b, _ in parts]
+                yield emit(pieces, next_id + w, before - base[w])
                 next_id += ways
             whole, rest = [], []
 
         for b in batches:
             texts = as_strings(b.column(2))
             row, doc = b.column(0).to_pylist(), b.column(1).to_pylist()
-            for lo, hi in steps(texts):
+            for lo, hi in steps(texts, 8_000_000):
                 ids, off = encoder.encode(texts.slice(lo, hi - lo))
                 for i in range(hi - lo):
                     own = np.append(ids[off[i] : off[i + 1]], np.uint32(end_id)).astype("<u4")
@@ -165,16 +236,17 @@ def _pack(path: str, capacity: int, end_id: int, group: int, with_ids: bool):
     return run
 
 
-def pack(docs: DataFrame, tokenizer_path: str, capacity: int = 2048, end_id: int = 1, group: int = GROUP_PIECES, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, tokenizer_path: str, capacity: int = 2048, end_id: int = 1, group: int = GROUP_PIECES, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False, cut: bool = True) -> DataFrame:
     """Pieces of all documents in sequences of at most `capacity` ids: row_id, doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset (and ids).
 
     A document longer than a sequence fills whole sequences first; what is left of documents is spread by
-    differencing over the fewest windows that hold it. Null and empty texts are one end id. No shuffle: each task
+    differencing over the fewest windows that hold it. With cut, what stands above a window's capacity is cut off and
+    fills others, so that a group wastes less than one window; without, the window count rises until none is over full. Null and empty texts are one end id. No shuffle: each task
     packs its own rows in groups of `group` pieces, so memory is bounded by a group and one text. Ids repeat when
     a task is run again, as they come from the partition. Repeated rows are packed each, under their own row_id.
     """
     rows = docs.select(F.monotonically_increasing_id().alias("row_id"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    return rows.mapInArrow(_pack(tokenizer_path, capacity, end_id, group, with_ids), _SCHEMA + ", ids array<int>" * with_ids)
+    return rows.mapInArrow(_pack(tokenizer_path, capacity, end_id, group, with_ids, cut), _SCHEMA + ", ids array<int>" * with_ids)
 
 
 def op4_packing(spark, sf_dir: str) -> DataFrame:

@@ -47,8 +47,18 @@ def test_pack_round_trip(spark):
     path = P.path("word_bpe_49k.json")
     texts = ["Hello World's end\x1cX", "", None, "é é <|endoftext|> don't 123", "word " * 5000, "  \n\t ", "ÀB c" * 700]
     docs = spark.createDataFrame([(i // 2, t, "x", "y") for i, t in enumerate(texts)], "doc_id long, text string, start string, offset string").coalesce(1)
-    got = packing.pack(docs, path, with_ids=True).collect()
-    t = Tokenizer.from_file(path)
+    for cut in (True, False):
+        check_pieces(packing.pack(docs, path, with_ids=True, cut=cut).collect(), texts, Tokenizer.from_file(path))
+    assert packing.pack(docs.limit(0), path).count() == 0
+
+
+def test_level_cuts_only_what_is_over():
+    sizes, way = np.array([5, 4, 3, 2]), np.array([0, 0, 1, 1])
+    parts = packing.level(sizes, way, 2, 7)
+    assert sorted(parts) == [(0, 0, 5, 0), (1, 0, 2, 0), (1, 2, 4, 1), (2, 0, 3, 1), (3, 0, 2, 1)]
+
+
+def check_pieces(got, texts, t):
     by: dict = {}
     for r in got:
         assert zlib.crc32(np.array(r["ids"], "<u4").tobytes()) == r["ids_crc32"] and r["length"] == len(r["ids"])
@@ -69,4 +79,3 @@ def test_pack_round_trip(spark):
             assert r["offset"] == at
             at += r["length"]
         assert at <= 2048
-    assert packing.pack(docs.limit(0), path).count() == 0
