@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from geohist.llm import bpe, exact, html, packing, quality, substring, urls, wordpiece
+from geohist.llm import bpe, exact, html, packing, quality, substring, urls, winnow, wordpiece
 
 
 def queries():
     return {
         "op2_exact_dedup": exact.op2_exact_dedup,
+        "op3_fingerprint": winnow.op3_fingerprint,
         "op4_packing": packing.op4_packing,
         "op5_substring_dedup": substring.op5_substring_dedup,
         "op6_quality": quality.op6_quality,
