@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from geohist.llm import bpe, exact, html, packing, quality, substring, urls, winnow, wordpiece
+import corpus_pipeline
+from geohist.llm import bpe, exact, html, jaccard, packing, quality, substring, urls, winnow, wordpiece
 
 
 def queries():
     return {
+        "op1_jaccard_join": jaccard.op1_jaccard_join,
         "op2_exact_dedup": exact.op2_exact_dedup,
         "op3_fingerprint": winnow.op3_fingerprint,
         "op4_packing": packing.op4_packing,
@@ -16,6 +18,7 @@ def queries():
         "op8_html_text": html.op8_html_text,
         "op9_url_filter": urls.op9_url_filter,
         "op10_token_counts": wordpiece.op10_token_counts,
+        "pipeline": corpus_pipeline.run,
     }
 
 
