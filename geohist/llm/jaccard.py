@@ -37,6 +37,15 @@ def _set_key(s: np.ndarray) -> tuple[int, int, int]:
         return len(s), int(mix(s, 11).sum(dtype=np.uint64)), int(mix(s, 12).sum(dtype=np.uint64))
 
 
+#: Bits of a set's parity marks: two sets differ in at least as many tokens as their marks differ in bits.
+MARKS = 1024
+
+
+def parity_marks(s: np.ndarray) -> np.ndarray:
+    odd = np.bincount((mix(s, 51) % np.uint64(MARKS)).astype(np.int64), minlength=MARKS) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.int64)
+
+
 def _cells(s: np.ndarray) -> np.ndarray:
     return (s >> np.uint64(64 - (CELLS.bit_length() - 1))).astype(np.int64)
 
@@ -52,25 +61,26 @@ class _Seen:
 
 
 def _survey(k: int):
-    """Rows (row, doc_id, n, node), and at the end of a task the slices of its frequency sketch."""
+    """Rows (row, doc_id, n, node, marks of the node's first row), and at the end of a task the slices of its frequency sketch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sketch, seen = np.zeros(CELLS, np.uint32), _Seen()
-        names = ["row", "doc_id", "n", "node", "slice", "cells"]
+        names = ["row", "doc_id", "n", "node", "marks", "slice", "cells"]
         for b in batches:
             texts, rows = as_strings(b.column(2)), b.column(0).to_pylist()
-            size, node = [], []
+            size, node, marks = [], [], []
             for lo, hi in steps(texts):
                 sets = shingle_sets(texts.slice(lo, hi - lo), k)
                 for i, s in enumerate(sets):
                     key = _set_key(s)
                     size.append(key[0])
                     node.append(seen.node(key, rows[lo + i]))
+                    marks.append(parity_marks(s) if node[-1] == rows[lo + i] and key[0] else None)
                 sketch += np.bincount(_cells(np.concatenate(sets)), minlength=CELLS).astype(np.uint32)
             n = len(rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(size, pa.int64()), pa.array(node, pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(size, pa.int64()), pa.array(node, pa.int64()), pa.array(marks, pa.list_(pa.int64())), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())], names)
         for i, cells in sliced(sketch, SLICES):
-            yield pa.RecordBatch.from_arrays([*(pa.nulls(1, pa.int64()) for _ in range(4)), pa.array([i], pa.int32()), pa.array([cells], pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([*(pa.nulls(1, pa.int64()) for _ in range(4)), pa.nulls(1, pa.list_(pa.int64())), pa.array([i], pa.int32()), pa.array([cells], pa.binary())], names)
 
     return run
 
@@ -100,7 +110,7 @@ def boundary_by_cost(sketch: np.ndarray) -> int:
 
 
 def _signatures(k: int, boundary: int, sent):
-    """(sig, salt, node, n, at, single) rows: for each distinct set of a task its whole key, and subsets or list entries of its prefix."""
+    """(sig, salt, node, meta) rows, meta holding size, position and whether it stands for one token: for each distinct set of a task its whole key, and subsets or list entries of its prefix."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts, seen = sent.value, _Seen()
@@ -109,14 +119,17 @@ def _signatures(k: int, boundary: int, sent):
         for b in batches:
             texts, rows = as_strings(b.column(2)), b.column(0).to_pylist()
             for lo, hi in steps(texts):
-                out: list[list[np.ndarray]] = [[], [], [], [], [], []]
+                out: list[list[np.ndarray]] = [[], [], []]
+                dealt: list[np.ndarray] = []
 
-                def put(sig, often, node, n, at, single, out=out):
+                def put(sig, often, node, n, at, single, out=out, dealt=dealt):
                     m = len(sig)
                     salts = often // LIST_ROWS  # of long lists; others have salt 0
                     salt = np.where(salts > 0, 1 + mix(np.full(m, node, np.uint64), 21) % np.maximum(salts, 1).astype(np.uint64), 0)
-                    for x, v in zip(out, (sig.view(np.int64), salt.astype(np.int32), np.full(m, node), np.full(m, n, np.int32), at.astype(np.int32), np.full(m, single))):
+                    meta = (np.int64(n) << 33) | ((at.astype(np.int64) + 1) << 1) | int(single)
+                    for x, v in zip(out, (sig.view(np.int64), np.full(m, node), meta)):
                         x.append(v)
+                    dealt.append(salt.astype(np.int32))
 
                 for i, s in enumerate(shingle_sets(texts.slice(lo, hi - lo), k)):
                     n, key = len(s), _set_key(s)
@@ -140,7 +153,7 @@ def _signatures(k: int, boundary: int, sent):
                         p = prefix_length(n, 1)
                         put(mix(t[:p], 33), often[:p], node, n, np.arange(p), True)
                 if out[0]:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in out], ["sig", "salt", "node", "n", "at", "single"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (out[0], dealt, out[1], out[2])], ["sig", "salt", "node", "meta"])
 
     return run
 
@@ -195,8 +208,20 @@ def _node_bits(nodes: DataFrame) -> np.ndarray:
     return gathered_sketch(merged_slices(nodes.select("node").mapInArrow(run, "slice int, cells binary"), "uint8", "or"), "uint8", SLICES, NODE_BITS // 8)
 
 
-def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """The (a, b) whose sets link, by exact intersection."""
+def not_ruled_out(pairs: DataFrame, marks: DataFrame) -> DataFrame:
+    """The (a, b) whose sizes and parity marks allow a link: an upper bound of the intersection, so none is lost."""
+    side = lambda c: marks.select(F.col("node").alias(c), F.col("n").alias(f"n_{c}"), F.col("marks").alias(f"marks_{c}"))
+    both = pairs.select("a", "b").join(side("b"), "b").join(side("a"), "a")
+    differ = F.aggregate(F.zip_with("marks_a", "marks_b", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda t, x: t + x)
+    total = F.col("n_a") + F.col("n_b")
+    return both.where(_same_size(F.col("n_a"), F.col("n_b")) & ((LINK[0] + LINK[1]) * (total - differ) >= 2 * LINK[1] * total)).select("a", "b")
+
+
+def verified(pairs: DataFrame, rows: DataFrame, k: int) -> DataFrame:
+    """The stored (a, b) whose sets link, by exact intersection; only sets of their nodes are built."""
+    spark = pairs.sparkSession
+    bits = _node_bits(pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))))
+    sets = rows.mapInArrow(_node_sets(k, spark.sparkContext.broadcast(bits)), "node long, tokens array<long>").repartition("node")
     left = sets.select(F.col("node").alias("b"), F.col("tokens").alias("tokens_b"))
     right = sets.select(F.col("node").alias("a"), F.col("tokens").alias("tokens_a"))
     both = pairs.join(left, "b").join(right, "a")
@@ -235,13 +260,14 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
     """
     spark = docs.sparkSession
     rows = docs.select((F.col(row_col) if row_col else row_id()).alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    survey = stored(rows.mapInArrow(_survey(k), "row long, doc_id long, n long, node long, slice int, cells binary"), spark)
+    survey = stored(rows.mapInArrow(_survey(k), "row long, doc_id long, n long, node long, marks array<long>, slice int, cells binary"), spark)
     known = survey.where("row is not null").select("row", "doc_id", "n", "node")
     sketch = gathered_sketch(merged_slices(survey.where("slice is not null"), "uint32", "sum"), "uint32", SLICES, CELLS)
     boundary = boundary_by_cost(sketch)
-    listed = rows.mapInArrow(_signatures(k, boundary, spark.sparkContext.broadcast(sketch)), "sig long, salt int, node long, n int, at int, single boolean")
+    listed = rows.mapInArrow(_signatures(k, boundary, spark.sparkContext.broadcast(sketch)), "sig long, salt int, node long, meta long")
+    n = F.shiftright("meta", 33)
     # Lists of one entry end here; the first of each size class leads its list. Long lists are dealt by salt.
-    listed = listed.withColumn("class", F.floor(F.log(LINK[0] / LINK[1], F.col("n")) + 1e-9).cast("int"))
+    listed = listed.withColumn("class", F.floor(F.log(LINK[0] / LINK[1], n) + 1e-9).cast("int"))
     listed = listed.withColumn("rows", F.count(F.lit(1)).over(W.partitionBy("sig", "salt"))).withColumn("leader", F.min("node").over(W.partitionBy("sig", "salt", "class")))
     listed = stored(listed.where("rows > 1 or salt > 0"), spark)
     # First round: each node with the leader it shares most entries with; leaders of one list's salts with the first of them.
@@ -250,13 +276,11 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
     lower = listed.where("leader < node").select(F.col("leader").alias("a"), F.col("node").alias("b"))
     shared = lower.unionByName(upper).groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"))
     best = shared.groupBy("b").agg(F.max(F.struct("shared", (-F.col("a")).alias("back"))).alias("x")).select((-F.col("x.back")).alias("a"), "b")
-    nodes = listed.select("node").distinct()
-    bits = _node_bits(nodes)
-    sets = stored(rows.mapInArrow(_node_sets(k, spark.sparkContext.broadcast(bits)), "node long, tokens array<long>"), spark)
-    first = stored(verified(best, sets), spark)
+    marks = survey.where("marks is not null").select("node", "n", "marks")
+    first = stored(verified(stored(not_ruled_out(best, marks), spark), rows, k), spark)
     labels = components(first)
     # Second round, exact: on each list, members of different parts only.
-    member = listed.select("sig", "node", "n", "at", "single").join(labels, "node", "left").withColumn("part", F.coalesce("label", "node")).drop("label")
+    member = listed.select("sig", "node", n.cast("int").alias("n"), (F.shiftright("meta", 1).bitwiseAND(F.lit(0xFFFFFFFF)) - 1).cast("int").alias("at"), (F.col("meta") % 2 == 1).alias("single")).join(labels, "node", "left").withColumn("part", F.coalesce("label", "node")).drop("label")
     open_ = member.groupBy("sig").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("sig")
     member = stored(member.join(open_, "sig"), spark)
     parts = member.select("sig", "part").distinct()
@@ -266,8 +290,8 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
     need = F.ceil((F.col("n_a") + F.col("n_b")) * F.lit(LINK[1]) / F.lit(LINK[0] + LINK[1]) - 1e-9)
     most = F.least("at_a", "at_b") + F.least(F.col("n_a") - F.col("at_a"), F.col("n_b") - F.col("at_b"))
     pairs = pairs.where(~F.col("single") | (((F.col("n_a") > boundary) | (F.col("n_b") > boundary)) & (most >= need)))
-    pairs = pairs.select("a", "b").distinct()
-    second = stored(verified(pairs, sets), spark)
+    pairs = not_ruled_out(pairs.select("a", "b").distinct(), marks)
+    second = stored(verified(stored(pairs, spark), rows, k), spark)
     named = labels.withColumnRenamed("label", "part")
     part_of = lambda c: second.join(named.select(F.col("node").alias(c), F.col("part").alias(f"part_{c}")), c, "left")
     joined = part_of("a").join(named.select(F.col("node").alias("b"), F.col("part").alias("part_b")), "b", "left")
