@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from geohist.functions.noise import gaussian_pair, keyed_uniform
+from geohist.functions.noise import gaussian_pair, keyed_uniform, uniform_of
 from geohist.operators.grid import GridSpec
 
 _DAY = 86_400_000_000
@@ -106,20 +106,29 @@ def gaussian(spark: SparkSession, n: int, sigma: float, seed: str = "g", ids: Da
 
 
 def patchwork(spark: SparkSession, n: int, seed: str = "w") -> DataFrame:
-    """(px, py) of n points with density even in pieces: background, 30 rectangles, 12 thin strips, 8 bumps."""
+    """(px, py) of n points with density even in pieces: background, 30 rectangles, 12 thin strips, 8 bumps.
+
+    The pieces follow from the seed alone; low-numbered pieces get more points.
+    """
     u = lambda *k: keyed_uniform(seed, *k)
+    v = lambda *k: uniform_of(seed, *k)
+    pieces = []  # x from, width, y from, height; a bump: centre and deviation
+    for p in range(30):
+        w, h = 20 + v("w", p) * 140, 20 + v("h", p) * 140
+        pieces.append((v("rx", p) * (1024 - w), w, v("ry", p) * (1024 - h), h))
+    for p in range(12):
+        at, thick = v("at", p) * 1010, 2 + v("thick", p) * 6
+        pieces.append((0.0, 1024.0, at, thick) if v("dir", p) < 0.5 else (at, thick, 0.0, 1024.0))
+    for p in range(8):
+        sd = 8 + v("sd", p) * 25
+        pieces.append((60 + v("bx", p) * 900, sd, 60 + v("by", p) * 900, sd))
+    pieces.append((0.0, 1024.0, 0.0, 1024.0))
     i = F.col("id")
-    rows = spark.range(n).withColumn("part", u("part", i)).withColumn("ux", u("x", i)).withColumn("uy", u("y", i))
-    # Unequal pieces: the square of a uniform favours low numbers.
-    piece = lambda count: F.floor(F.pow(u("piece", i), 2) * count)
-    rows = rows.withColumn("piece", F.when(F.col("part") < 0.2, 0).when(F.col("part") < 0.7, piece(30)).when(F.col("part") < 0.9, piece(12)).otherwise(piece(8)))
-    p = F.col("piece")
-    w, h = 20 + u("w", p) * 140, 20 + u("h", p) * 140
-    rx, ry = u("rx", p) * (1024 - w), u("ry", p) * (1024 - h)
-    across, at, thick = u("dir", p) < 0.5, u("at", p) * 1010, 2 + u("thick", p) * 6
-    za, zb = gaussian_pair(seed, "bump", i)
-    bx, by, sd = 60 + u("bx", p) * 900, 60 + u("by", p) * 900, 8 + u("sd", p) * 25
-    part = F.col("part")
-    px = F.when(part < 0.2, F.col("ux") * 1024).when(part < 0.7, rx + F.col("ux") * w).when(part < 0.9, F.when(across, F.col("ux") * 1024).otherwise(at + F.col("ux") * thick)).otherwise(bx + za * sd)
-    py = F.when(part < 0.2, F.col("uy") * 1024).when(part < 0.7, ry + F.col("uy") * h).when(part < 0.9, F.when(across, at + F.col("ux") * 0 + F.col("uy") * thick).otherwise(F.col("uy") * 1024)).otherwise(by + zb * sd)
-    return rows.select(px.alias("px"), py.alias("py"))
+    rows = spark.range(n).select("id", u("part", i).alias("part"), u("x", i).alias("a"), u("y", i).alias("b"), F.pow(u("piece", i), 2).alias("low"))
+    part, low = F.col("part"), F.col("low")
+    rows = rows.withColumn("p", F.when(part < 0.2, 50).when(part < 0.7, F.floor(low * 30)).when(part < 0.9, 30 + F.floor(low * 12)).otherwise(42 + F.floor(low * 8)).cast("int"))
+    rows = rows.withColumn("bump", (F.col("p") >= 42) & (F.col("p") < 50))
+    radius, angle = F.sqrt(-2 * F.log("a")), 2 * math.pi * F.col("b")
+    rows = rows.select("p", F.when(F.col("bump"), radius * F.cos(angle)).otherwise(F.col("a")).alias("a"), F.when(F.col("bump"), radius * F.sin(angle)).otherwise(F.col("b")).alias("b"))
+    of = lambda j: F.get(F.array(*(F.lit(float(x[j])) for x in pieces)), F.col("p"))
+    return rows.select((of(0) + F.col("a") * of(1)).alias("px"), (of(2) + F.col("b") * of(3)).alias("py"))
