@@ -37,15 +37,24 @@ def _set_key(s: np.ndarray) -> tuple[int, int, int]:
         return len(s), int(mix(s, 11).sum(dtype=np.uint64)), int(mix(s, 12).sum(dtype=np.uint64))
 
 
-#: Bits of a set's parity marks: two sets differ in at least as many tokens as their marks differ in bits.
+#: Least bits of a set's parity marks, a power of two; larger sets have as many bits as tokens or up to twice as many.
 MARKS = 1024
 
 
 def parity_marks(s: np.ndarray) -> np.ndarray:
-    odd = np.bincount((mix(s, 51) % np.uint64(MARKS)).astype(np.int64), minlength=MARKS) & 1
+    """Bits flipped once by each token: two sets differ in at least as many tokens as their marks differ in bits."""
+    bits = max(MARKS, 1 << (len(s) - 1).bit_length())
+    odd = np.bincount((mix(s, 51) & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.int64)
 
 
+def _halved(marks: Column, other: Column) -> Column:
+    """marks at the size of the other set's, which is half theirs at least: the upper half is folded onto the lower."""
+    half = F.size(marks) / 2
+    fold = F.zip_with(F.slice(marks, F.lit(1), half.cast("int")), F.slice(marks, half.cast("int") + 1, half.cast("int")), lambda x, y: x.bitwiseXOR(y))
+    return F.when(F.size(marks) > F.size(other), fold).otherwise(marks)
+
+
 def _cells(s: np.ndarray) -> np.ndarray:
     return (s >> np.uint64(64 - (CELLS.bit_length() - 1))).astype(np.int64)
 
@@ -162,6 +171,23 @@ def _same_size(a: Column, b: Column) -> Column:
     return LINK[0] * F.least(a, b) >= LINK[1] * F.greatest(a, b)
 
 
+def _may_link(n_a: Column, n_b: Column, at_a: Column, at_b: Column) -> Column:
+    """Whether two sets may link whose first shared token stands at these positions; entries of subsets and whole keys have position -1.
+
+    Linked sets pass on the list of the first token they share, so this may be asked of every list.
+    """
+    need = F.ceil((n_a + n_b) * F.lit(LINK[1]) / F.lit(LINK[0] + LINK[1]) - 1e-9)
+    return _same_size(n_a, n_b) & ((at_a < 0) | (F.least(n_a - at_a, n_b - at_b) >= need))
+
+
+def _size_of(meta: str) -> Column:
+    return F.shiftright(meta, 33).cast("int")
+
+
+def _position_of(meta: str) -> Column:
+    return (F.shiftright(meta, 1).bitwiseAND(F.lit(0xFFFFFFFF)) - 1).cast("int")
+
+
 def _node_sets(k: int, sent):
     """(node, tokens) of the nodes that a bit table of fixed size does not rule out."""
 
@@ -212,9 +238,10 @@ def not_ruled_out(pairs: DataFrame, marks: DataFrame) -> DataFrame:
     """The (a, b) whose sizes and parity marks allow a link: an upper bound of the intersection, so none is lost."""
     side = lambda c: marks.select(F.col("node").alias(c), F.col("n").alias(f"n_{c}"), F.col("marks").alias(f"marks_{c}"))
     both = pairs.select("a", "b").join(side("b"), "b").join(side("a"), "a")
-    differ = F.aggregate(F.zip_with("marks_a", "marks_b", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda t, x: t + x)
+    a, b = F.col("marks_a"), F.col("marks_b")
+    differ = F.aggregate(F.zip_with(_halved(a, b), _halved(b, a), lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda t, x: t + x)
     total = F.col("n_a") + F.col("n_b")
-    return both.where(_same_size(F.col("n_a"), F.col("n_b")) & ((LINK[0] + LINK[1]) * (total - differ) >= 2 * LINK[1] * total)).select("a", "b")
+    return both.where(_same_size(F.col("n_a"), F.col("n_b"))).where((LINK[0] + LINK[1]) * (total - differ) >= 2 * LINK[1] * total).select("a", "b")
 
 
 def verified(pairs: DataFrame, rows: DataFrame, k: int) -> DataFrame:
@@ -265,31 +292,31 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
     sketch = gathered_sketch(merged_slices(survey.where("slice is not null"), "uint32", "sum"), "uint32", SLICES, CELLS)
     boundary = boundary_by_cost(sketch)
     listed = rows.mapInArrow(_signatures(k, boundary, spark.sparkContext.broadcast(sketch)), "sig long, salt int, node long, meta long")
-    n = F.shiftright("meta", 33)
+    n = _size_of("meta")
     # Lists of one entry end here; the first of each size class leads its list. Long lists are dealt by salt.
     listed = listed.withColumn("class", F.floor(F.log(LINK[0] / LINK[1], n) + 1e-9).cast("int"))
-    listed = listed.withColumn("rows", F.count(F.lit(1)).over(W.partitionBy("sig", "salt"))).withColumn("leader", F.min("node").over(W.partitionBy("sig", "salt", "class")))
-    listed = stored(listed.where("rows > 1 or salt > 0"), spark)
+    listed = listed.withColumn("rows", F.count(F.lit(1)).over(W.partitionBy("sig", "salt"))).withColumn("lead", F.min(F.struct("node", "meta")).over(W.partitionBy("sig", "salt", "class")))
+    listed = listed.where("rows > 1 or salt > 0").select("sig", "salt", "class", "node", "meta", F.col("lead.node").alias("leader"), F.col("lead.meta").alias("leader_meta"))
+    listed = stored(listed, spark)
     # First round: each node with the leader it shares most entries with; leaders of one list's salts with the first of them.
     heads = listed.groupBy("sig", "class").agg(F.min("leader").alias("first"), F.count_distinct("salt").alias("salts")).where("salts > 1")
     upper = listed.where("leader = node").join(heads, ["sig", "class"]).where("first < node").select(F.col("first").alias("a"), F.col("node").alias("b"))
-    lower = listed.where("leader < node").select(F.col("leader").alias("a"), F.col("node").alias("b"))
+    lower = listed.where("leader < node").where(_may_link(_size_of("leader_meta"), n, _position_of("leader_meta"), _position_of("meta"))).select(F.col("leader").alias("a"), F.col("node").alias("b"))
     shared = lower.unionByName(upper).groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"))
     best = shared.groupBy("b").agg(F.max(F.struct("shared", (-F.col("a")).alias("back"))).alias("x")).select((-F.col("x.back")).alias("a"), "b")
     marks = survey.where("marks is not null").select("node", "n", "marks")
     first = stored(verified(stored(not_ruled_out(best, marks), spark), rows, k), spark)
     labels = components(first)
     # Second round, exact: on each list, members of different parts only.
-    member = listed.select("sig", "node", n.cast("int").alias("n"), (F.shiftright("meta", 1).bitwiseAND(F.lit(0xFFFFFFFF)) - 1).cast("int").alias("at"), (F.col("meta") % 2 == 1).alias("single")).join(labels, "node", "left").withColumn("part", F.coalesce("label", "node")).drop("label")
+    member = listed.select("sig", "node", n.alias("n"), _position_of("meta").alias("at"), (F.col("meta") % 2 == 1).alias("single")).join(labels, "node", "left").withColumn("part", F.coalesce("label", "node")).drop("label")
     open_ = member.groupBy("sig").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("sig")
     member = stored(member.join(open_, "sig"), spark)
     parts = member.select("sig", "part").distinct()
     across = parts.select("sig", F.col("part").alias("part_a")).join(parts.select("sig", F.col("part").alias("part_b")), "sig").where("part_a < part_b")
     side = lambda s: member.select("sig", F.col("part").alias(f"part_{s}"), F.col("node").alias(s), F.col("n").alias(f"n_{s}"), F.col("at").alias(f"at_{s}"), "single")
-    pairs = across.join(side("a"), ["sig", "part_a"]).join(side("b").drop("single"), ["sig", "part_b"]).where(_same_size(F.col("n_a"), F.col("n_b")))
-    need = F.ceil((F.col("n_a") + F.col("n_b")) * F.lit(LINK[1]) / F.lit(LINK[0] + LINK[1]) - 1e-9)
-    most = F.least("at_a", "at_b") + F.least(F.col("n_a") - F.col("at_a"), F.col("n_b") - F.col("at_b"))
-    pairs = pairs.where(~F.col("single") | (((F.col("n_a") > boundary) | (F.col("n_b") > boundary)) & (most >= need)))
+    c = F.col
+    pairs = across.join(side("a"), ["sig", "part_a"]).join(side("b").drop("single"), ["sig", "part_b"])
+    pairs = pairs.where(_may_link(c("n_a"), c("n_b"), c("at_a"), c("at_b")) & (~c("single") | (c("n_a") > boundary) | (c("n_b") > boundary)))
     pairs = not_ruled_out(pairs.select("a", "b").distinct(), marks)
     second = stored(verified(stored(pairs, spark), rows, k), spark)
     named = labels.withColumnRenamed("label", "part")
