@@ -65,11 +65,11 @@ def grid_of(set_id: str, side: int = 1024) -> GridSpec:
 
 
 def read_points(spark: SparkSession, path: str, fmt: str, schema: str = "px double, py double") -> tuple[DataFrame, DataFrame]:
-    """(points, rejected) of CSV, JSON, ORC or Parquet files; text rows that do not fit the schema are kept apart."""
+    """(points, rejected) of CSV, JSON, ORC or Parquet files; text rows that do not fit the schema are kept apart, beside what could be read of them."""
     if fmt in ("csv", "json"):
         raw = spark.read.schema(f"{schema}, _corrupt_record string").option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", "_corrupt_record").format(fmt).load(path)
         good = raw.where("_corrupt_record is null").drop("_corrupt_record")
-        return good, raw.where("_corrupt_record is not null").select("_corrupt_record")
+        return good, raw.where("_corrupt_record is not null")
     return spark.read.schema(schema).format(fmt).load(path), spark.createDataFrame([], "_corrupt_record string")
 
 
