@@ -311,10 +311,16 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
     member = listed.select("sig", "node", n.alias("n"), _position_of("meta").alias("at"), (F.col("meta") % 2 == 1).alias("single")).join(labels, "node", "left").withColumn("part", F.coalesce("label", "node")).drop("label")
     open_ = member.groupBy("sig").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("sig")
     member = stored(member.join(open_, "sig"), spark)
-    parts = member.select("sig", "part").distinct()
-    across = parts.select("sig", F.col("part").alias("part_a")).join(parts.select("sig", F.col("part").alias("part_b")), "sig").where("part_a < part_b")
-    side = lambda s: member.select("sig", F.col("part").alias(f"part_{s}"), F.col("node").alias(s), F.col("n").alias(f"n_{s}"), F.col("at").alias(f"at_{s}"), "single")
+    # What a part can offer on a list: its sizes, and the most tokens from its entry on.
     c = F.col
+    reach = F.when(c("at") < 0, c("n") + 1).otherwise(c("n") - c("at"))
+    parts = member.groupBy("sig", "part").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max(reach).alias("reach"), F.max("single").alias("one"))
+    half = lambda s: parts.select("sig", *(c(x).alias(f"{x}_{s}") for x in ("part", "low", "high", "reach", "one")))
+    sizes = (LINK[0] * c("high_a") >= LINK[1] * c("low_b")) & (LINK[0] * c("high_b") >= LINK[1] * c("low_a"))
+    enough = F.least("reach_a", "reach_b") >= F.ceil((c("low_a") + c("low_b")) * F.lit(LINK[1]) / F.lit(LINK[0] + LINK[1]) - 1e-9)
+    large = ~c("one_a") | (c("high_a") > boundary) | (c("high_b") > boundary)
+    across = half("a").join(half("b"), ["sig"]).where((c("part_a") < c("part_b")) & sizes & enough & large).select("sig", "part_a", "part_b")
+    side = lambda s: member.select("sig", F.col("part").alias(f"part_{s}"), F.col("node").alias(s), F.col("n").alias(f"n_{s}"), F.col("at").alias(f"at_{s}"), "single")
     pairs = across.join(side("a"), ["sig", "part_a"]).join(side("b").drop("single"), ["sig", "part_b"])
     pairs = pairs.where(_may_link(c("n_a"), c("n_b"), c("at_a"), c("at_b")) & (~c("single") | (c("n_a") > boundary) | (c("n_b") > boundary)))
     pairs = not_ruled_out(pairs.select("a", "b").distinct(), marks)
