@@ -6,8 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-#: A gram is four tokens, a window sixteen grams: any shared run of 19 tokens leaves a common fingerprint.
-GRAM, WINDOW = 4, 16
+#: A gram is four tokens, a window eight grams: any shared run of 11 tokens leaves a common fingerprint.
+GRAM, WINDOW = 4, 8
 #: A token is a run of letters, marks and digits, one ideograph or kana, or any other character that is no white space.
 TOKEN = r"[\p{L}\p{M}\p{N}&&[^\p{IsHan}\p{IsHiragana}\p{IsKatakana}]]+|\S"
 #: A selected gram is one long: 42 bits of hash above 22 bits of reversed position, so that the smallest is rightmost among equals.
@@ -25,7 +25,7 @@ def with_fingerprint(df: DataFrame, text_col: str, out: str) -> DataFrame:
     of fewer tokens than a gram have one gram, the whole; of fewer grams than a window, one window; without tokens, none.
     """
     # Each step is a column of its own, so that none is evaluated twice.
-    t, h, g, m2, m4, m8, m16 = (f"__{out}_{x}__" for x in ("t", "h", "g", "m2", "m4", "m8", "m16"))
+    t, h, g, m2, m4, m8 = (f"__{out}_{x}__" for x in ("t", "h", "g", "m2", "m4", "m8"))
     n = F.size(h)
     kept = list(df.columns)
     df = df.withColumn(t, F.regexp_extract_all(F.col(text_col), F.lit(TOKEN), F.lit(0)))
@@ -33,10 +33,10 @@ def with_fingerprint(df: DataFrame, text_col: str, out: str) -> DataFrame:
     rolled = F.transform(F.slice(h, F.lit(1), n - GRAM + 1), lambda x, i: _entry(F.xxhash64(x, *(F.get(F.col(h), i + j) for j in range(1, GRAM))), i))
     df = df.withColumn(g, F.when(n >= GRAM, rolled).when(n > 0, F.array(_entry(F.xxhash64(h), F.lit(0)))).otherwise(F.array().cast("array<long>")))
     enough = F.size(g) >= WINDOW
-    for source, target, step in ((g, m2, 1), (m2, m4, 2), (m4, m8, 4), (m8, m16, 8)):
+    for source, target, step in ((g, m2, 1), (m2, m4, 2), (m4, m8, 4)):
         rest = F.size(source) - step
         df = df.withColumn(target, F.when(enough, F.zip_with(F.slice(source, F.lit(1), rest), F.slice(source, F.lit(1 + step), rest), lambda a, b: F.least(a, b))))
-    chosen = F.when(enough, F.array_distinct(m16)).when(F.size(g) > 0, F.array(F.array_min(g))).otherwise(F.col(g))
+    chosen = F.when(enough, F.array_distinct(m8)).when(F.size(g) > 0, F.array(F.array_min(g))).otherwise(F.col(g))
     return df.select(*(F.col(f"`{c}`") for c in kept), chosen.alias(out))
 
 
@@ -51,10 +51,15 @@ def positions(grams: Column) -> Column:
 
 
 def shown(grams: Column) -> Column:
-    """Fingerprint as text: eight hexadecimal digits of each hash, in order, without separators."""
+    """Fingerprint as short text, for reading only: the last eight hexadecimal digits of each hash, in order, without separators."""
     return F.array_join(F.transform(grams, lambda c: F.lpad(F.hex(F.shiftrightunsigned(c, _BITS).bitwiseAND(F.lit(0xFFFFFFFF))), 8, "0")), "")
 
 
+def whole(grams: Column) -> Column:
+    """Fingerprint as text with nothing cut: all 42 bits of each hash as eleven hexadecimal digits, in order, without separators."""
+    return F.array_join(F.transform(grams, lambda c: F.lpad(F.hex(F.shiftrightunsigned(c, _BITS)), 11, "0")), "")
+
+
 def likeness(a: Column, b: Column) -> Column:
     """Shared share of two arrays of distinct hashes; two empty ones are alike."""
     both = F.size(F.array_intersect(a, b))
@@ -128,4 +133,4 @@ def edited_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 def op3_fingerprint(spark, sf_dir: str) -> DataFrame:
     pairs = edited_pairs(spark.read.parquet(f"{sf_dir}/documents.parquet"))
-    return pairs.select("doc_id", "n_chars", "edited_sha256", shown(F.col("grams")).alias("fingerprint"), shown(F.col("edited_grams")).alias("edited_fingerprint"), "near_edited", "near_next")
+    return pairs.select("doc_id", "n_chars", "edited_sha256", whole(F.col("grams")).alias("fingerprint"), whole(F.col("edited_grams")).alias("edited_fingerprint"), "near_edited", "near_next")
