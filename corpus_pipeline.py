@@ -25,7 +25,7 @@ def drop_exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents linked by a similarity of 0.8 the smallest doc_id stays (null last, then the first row)."""
-    found = jaccard.link_components(docs).select("row", "doc_id", "component")
+    found = jaccard.link_components(docs, counts=False).select("row", "doc_id", "component")
     keep = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "row")).alias("x")).select(F.col("x.row").alias(_ROW))
     return docs.withColumn(_ROW, row_id()).join(keep, _ROW, "left_semi").drop(_ROW)
 

@@ -70,26 +70,28 @@ class _Seen:
 
 
 def _survey(k: int):
-    """Rows (row, doc_id, n, node, marks of the node's first row), and at the end of a task the slices of its frequency sketch."""
+    """Rows (row, doc_id, n, node, marks of the node's first row, key_1 and key_2 of the set), and at the end of a task the slices of its frequency sketch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sketch, seen = np.zeros(CELLS, np.uint32), _Seen()
-        names = ["row", "doc_id", "n", "node", "marks", "slice", "cells"]
+        names = ["row", "doc_id", "n", "node", "marks", "slice", "cells", "key_1", "key_2"]
         for b in batches:
             texts, rows = as_strings(b.column(2)), b.column(0).to_pylist()
-            size, node, marks = [], [], []
+            size, node, marks, keys = [], [], [], ([], [])
             for lo, hi in steps(texts):
                 sets = shingle_sets(texts.slice(lo, hi - lo), k)
                 for i, s in enumerate(sets):
                     key = _set_key(s)
                     size.append(key[0])
+                    for x, v in zip(keys, key[1:]):
+                        x.append(v)
                     node.append(seen.node(key, rows[lo + i]))
                     marks.append(parity_marks(s) if node[-1] == rows[lo + i] and key[0] else None)
                 sketch += np.bincount(_cells(np.concatenate(sets)), minlength=CELLS).astype(np.uint32)
             n = len(rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(size, pa.int64()), pa.array(node, pa.int64()), pa.array(marks, pa.list_(pa.int64())), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(size, pa.int64()), pa.array(node, pa.int64()), pa.array(marks, pa.list_(pa.int64())), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), *(pa.array(np.array(x, np.uint64).view(np.int64)) for x in keys)], names)
         for i, cells in sliced(sketch, SLICES):
-            yield pa.RecordBatch.from_arrays([*(pa.nulls(1, pa.int64()) for _ in range(4)), pa.nulls(1, pa.list_(pa.int64())), pa.array([i], pa.int32()), pa.array([cells], pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([*(pa.nulls(1, pa.int64()) for _ in range(4)), pa.nulls(1, pa.list_(pa.int64())), pa.array([i], pa.int32()), pa.array([cells], pa.binary()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64())], names)
 
     return run
 
@@ -275,19 +277,41 @@ def components(edges: DataFrame) -> DataFrame:
             return labels
 
 
-def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None) -> DataFrame:
+def link_counts(survey: DataFrame, listed: DataFrame, rows: DataFrame, boundary: int, k: int) -> DataFrame:
+    """(node, n_links): how many other rows the rows of a node link to, copies of the same set included.
+
+    Equal sets of all tasks are one, with the number of their rows. Every pair of different sets that meets on a list is
+    checked, inside a connected part too; the pairs of a group of near copies grow with the square of its different sets.
+    """
+    c, key = F.col, ["n", "key_1", "key_2"]
+    full = survey.where("row is not null and n > 0")
+    sets = stored(full.groupBy(*key).agg(F.min("node").alias("rep"), F.count(F.lit(1)).alias("many")), survey.sparkSession)
+    nodes = full.where("row = node").select("node", *key).join(sets, key).select("node", "rep")
+    entries = listed.join(sets.select(c("rep").alias("node")), "node").select("sig", "node", _size_of("meta").alias("n"), _position_of("meta").alias("at"), (c("meta") % 2 == 1).alias("single"))
+    side = lambda s: entries.select("sig", c("node").alias(s), c("n").alias(f"n_{s}"), c("at").alias(f"at_{s}"), "single")
+    pairs = side("a").join(side("b").drop("single"), "sig").where(c("a") < c("b"))
+    pairs = pairs.where(_may_link(c("n_a"), c("n_b"), c("at_a"), c("at_b")) & (~c("single") | (c("n_a") > boundary) | (c("n_b") > boundary)))
+    pairs = not_ruled_out(pairs.select("a", "b").distinct(), survey.where("marks is not null").select("node", "n", "marks"))
+    links = stored(verified(stored(pairs, survey.sparkSession), rows, k), survey.sparkSession)
+    ends = links.select(c("a").alias("rep"), c("b").alias("other")).unionByName(links.select(c("b").alias("rep"), c("a").alias("other")))
+    near = ends.join(sets.select(c("rep").alias("other"), "many"), "other").groupBy("rep").agg(F.sum("many").alias("near"))
+    counts = sets.select("rep", "many").join(near, "rep", "left").select("rep", (c("many") - 1 + F.coalesce("near", F.lit(0))).alias("n_links"))
+    return nodes.join(counts, "rep").select("node", "n_links")
+
+
+def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None, counts: bool = True) -> DataFrame:
     """One row for each row of docs: row, doc_id, n_shingles, component_id, component (its smallest row), n_links.
 
     Sets are the distinct k-word shingles of the lower-cased whole text (the whole sequence if shorter); they link from a
     Jaccard similarity of 0.8. Linked rows, directly or over others, share component_id, the smallest doc_id
-    among them; rows without words are alone. Null text counts as empty; a null id is never smallest. n_links counts the
-    links found for the row's set; links inside a part that is already connected are not looked for.
+    among them; rows without words are alone. Null text counts as empty; a null id is never smallest. n_links is
+    the exact number of other rows that the row links to; it is left out without counts.
 
     docs must give the same rows in the same partitions each time it is read (a file scan does; store others first).
     """
     spark = docs.sparkSession
     rows = docs.select((F.col(row_col) if row_col else row_id()).alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    survey = stored(rows.mapInArrow(_survey(k), "row long, doc_id long, n long, node long, marks array<long>, slice int, cells binary"), spark)
+    survey = stored(rows.mapInArrow(_survey(k), "row long, doc_id long, n long, node long, marks array<long>, slice int, cells binary, key_1 long, key_2 long"), spark)
     known = survey.where("row is not null").select("row", "doc_id", "n", "node")
     sketch = gathered_sketch(merged_slices(survey.where("slice is not null"), "uint32", "sum"), "uint32", SLICES, CELLS)
     boundary = boundary_by_cost(sketch)
@@ -330,12 +354,13 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
     joined = part_of("a").join(named.select(F.col("node").alias("b"), F.col("part").alias("part_b")), "b", "left")
     merged = components(joined.select(F.coalesce("part_a", "a").alias("a"), F.coalesce("part_b", "b").alias("b")).distinct())
     merged = merged.select(F.col("node").alias("part"), F.col("label").alias("whole"))
-    links = first.unionByName(second)
-    degree = links.select(F.col("a").alias("node")).unionByName(links.select(F.col("b").alias("node"))).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
     out = known.join(named, "node", "left").withColumn("part", F.coalesce("part", "node")).join(merged, "part", "left").withColumn("component", F.coalesce("whole", "part"))
     smallest = out.groupBy("component").agg(F.min("doc_id").alias("component_id"))
-    out = out.join(smallest, "component").join(degree, "node", "left")
-    return out.select("row", "doc_id", F.col("n").alias("n_shingles"), "component_id", "component", F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    out = out.join(smallest, "component")
+    shown = ["row", "doc_id", F.col("n").alias("n_shingles"), "component_id", "component"]
+    if not counts:
+        return out.select(*shown)
+    return out.join(link_counts(survey, listed, rows, boundary, k), "node", "left").select(*shown, F.coalesce("n_links", F.lit(0)).alias("n_links"))
 
 
 def op1_jaccard_join(spark, sf_dir: str) -> DataFrame:
