@@ -24,36 +24,71 @@ BOILER = frozenset(
     "ad ads advert adverts advertisement advertising adsense sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices alert popup modal overlay newsletter subscribe subscription signup login sidebar sidenav widget menu menubar nav navbar navigation breadcrumb breadcrumbs pagination pager share sharing social related recommended recommendations comment comments respond replies disqus reactions footer toolbar search contentinfo complementary masthead skip hidden copyright legal disclaimer".split()
 )
 HEADERS = frozenset("header heading-bar topbar site-header".split())
+#: Words that, put before or after a word of BOILER, still name the same part of a page: cookie-notice, ad-box, site-footer.
+PARTS = frozenset("area bar block box bottom container content form inner item left link links list main outer page panel post right section site slot text top unit widget wrap wrapper".split())
+#: A marked node that holds more than this share of a page's text outside links is kept.
+MOST = 0.5
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|</([a-zA-Z][^\s/>]*)[^>]*(?:>|\Z)|<([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
 _ATTRIBUTE = re.compile(r"\b(class|id|role|hidden|aria-hidden)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
-_WORDS = re.compile(r"[a-z]+")
+_SPLIT = re.compile(r"[-_]+")
 
 
 class Node:
-    __slots__ = ("tag", "parent", "kids", "out", "chars", "tags", "link_chars", "link_tags", "density", "total")
+    __slots__ = ("tag", "parent", "kids", "out", "marked", "chars", "tags", "link_chars", "link_tags", "density", "total")
 
     def __init__(self, tag: str, parent: Node | None):
-        self.tag, self.parent, self.kids, self.out = tag, parent, [], False
+        self.tag, self.parent, self.kids, self.out, self.marked = tag, parent, [], False, False
         self.chars = self.tags = self.link_chars = self.link_tags = 0
         self.density = self.total = 0.0
 
 
-def _unwanted(tag: str, attributes: str, inside_article: bool) -> bool:
-    if tag in DROPPED:
-        return True
-    if tag == "header" and not inside_article:
-        return True
+def _names(token: str, words: frozenset) -> bool:
+    """Whether a whole token of class, id or role is one of the words, or a compound of them and of parts of a page only."""
+    pieces = [x for x in _SPLIT.split(token) if x and not x.isdigit()]
+    return token in words or not words.isdisjoint(pieces) and all(x in words or x in PARTS or x in BOILER for x in pieces)
+
+
+def _unwanted(tag: str, attributes: str, inside_article: bool) -> tuple[bool, bool]:
+    """Whether an element is cut in any case, and whether its class, id or role marks it, which density may overrule."""
+    if tag in DROPPED or tag == "header" and not inside_article:
+        return True, False
     if tag in ("html", "body", "article", "main") or not attributes:
-        return False
+        return False, False
+    marked = False
     for name, a, b, c in _ATTRIBUTE.findall(attributes):
         name, value = name.lower(), (a or b or c).lower()
         if name == "hidden" or name == "aria-hidden" and value == "true":
-            return True
-        words = _WORDS.findall(value)
-        if not BOILER.isdisjoint(words) or not inside_article and not HEADERS.isdisjoint(words) and tag not in ("h1", "h2"):
-            return True
-    return False
+            return True, False
+        # A heading's or paragraph's id is made of its own words; it names no part of the page.
+        if name == "id" and (tag in ("h1", "h2", "h3", "h4", "h5", "h6", "p") or tag == "section" and inside_article):
+            continue
+        tokens = value.split()
+        marked |= any(_names(t, BOILER) for t in tokens) or not inside_article and tag not in ("h1", "h2") and any(_names(t, HEADERS) for t in tokens)
+    return False, marked
+
+
+def _settle(root: Node) -> None:
+    """Cut the marked nodes, but keep one that holds most of the page's text outside links, if no article stands beside it."""
+    order, stack, own, near = [], [root], {}, set()
+    while stack:
+        x = stack.pop()
+        order.append(x)
+        if not x.out:
+            stack.extend(k for k in x.kids if type(k) is Node)
+    for x in reversed(order):
+        own[id(x)] = 0 if x.out or x.tag == "a" else sum(len("".join(k.split())) if type(k) is str else own[id(k)] for k in x.kids)
+    whole = own[id(root)]
+    articles = {id(x) for x in order if x.tag in ("article", "main") and own[id(x)]}
+    for x in reversed(order):  # around an article
+        if id(x) in articles or any(type(k) is Node and id(k) in near for k in x.kids):
+            near.add(id(x))
+    inside = set(articles)
+    for x in order:
+        if x.parent is not None and id(x.parent) in inside:
+            inside.add(id(x))
+        if x.marked and (own[id(x)] <= MOST * whole or articles and id(x) not in near and id(x) not in inside):
+            x.out = True
 
 
 def parse(text: str) -> Node:
@@ -97,7 +132,7 @@ def parse(text: str) -> Node:
             if tag in ("li", "dt", "dd", "tr", "td", "th", "option") and (here.tag == tag or {here.tag, tag} in ({"dt", "dd"}, {"td", "th"})):
                 here = here.parent
             node = Node(tag, here)
-            node.out = _unwanted(tag, m[3] or "", articles > 0)
+            node.out, node.marked = _unwanted(tag, m[3] or "", articles > 0)
             here.kids.append(node)
             if tag in VOID or m[3].endswith("/"):
                 continue
@@ -107,6 +142,7 @@ def parse(text: str) -> Node:
                 continue
             articles += tag in ("article", "main")
             here = node
+    _settle(root)
     return root
 
 
