@@ -67,17 +67,17 @@ def mine_rules(labelled: DataFrame, min_support: float = 0.002, min_confidence:
     return rules.join(covered, "rule_tokens", "left_anti")
 
 
-def match_rules(pages: DataFrame, rules: DataFrame, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
-    """(page_id, url_confidence) of the rows that some mined rule fits, by an inverted index.
+def match_rules(pages: DataFrame, rules: DataFrame, url_col: str = "url") -> DataFrame:
+    """(items, url_confidence) of the distinct item sets of URLs that some mined rule fits, by an inverted index.
 
     The index lists each rule under one item, its longest (the most telling); a URL looks its items up and a rule fits
     if it has all the rule's items. Spark chooses by size whether the index is sent to all.
     """
     anchor = F.transform("rule_tokens", lambda t: F.struct(F.length(t).alias("n"), t.alias("token")))
     index = rules.select(F.array_max(anchor)["token"].alias("token"), "rule_tokens", "confidence")
-    rows = pages.select(F.col(id_col).alias("page_id"), tokens_of(F.col(url_col)).alias("items")).distinct()
-    hits = rows.select("page_id", "items", F.explode("items").alias("token")).join(index, "token").where("size(array_except(rule_tokens, items)) = 0")
-    return hits.groupBy("page_id").agg(F.max("confidence").alias("url_confidence"))
+    rows = pages.select(tokens_of(F.col(url_col)).alias("items")).distinct()
+    hits = rows.select("items", F.explode("items").alias("token")).join(index, "token").where("size(array_except(rule_tokens, items)) = 0")
+    return hits.groupBy("items").agg(F.max("confidence").alias("url_confidence"))
 
 
 def rule_of(host: Column, path: Column, rules: Sequence[tuple[str, str, str]] = RULES) -> Column:
@@ -92,13 +92,13 @@ def judge(pages: DataFrame, mined: DataFrame, rules: Sequence[tuple[str, str, st
     """One row for each row of pages: page_id, host, path, rule, verdict, url_confidence.
 
     The longest hand-made rule decides; without one a URL that a mined rule fits is blocked. Null and empty URLs,
-    and those without ://, have empty host and path and are allowed. Repeated rows are judged each.
+    and those without ://, have empty host and path and are allowed. Each row is judged by its own URL, whatever its page_id.
     """
     url = F.col(url_col)
-    base = pages.select(F.col(id_col).alias("page_id"), url.alias("url"), host_of(url).alias("host"), path_of(url).alias("path"))
-    found = match_rules(pages.where(url.isNotNull() & F.col(id_col).isNotNull()), mined, id_col, url_col)
+    base = pages.select(F.col(id_col).alias("page_id"), url.alias("url"), host_of(url).alias("host"), path_of(url).alias("path"), F.when(url.isNotNull(), tokens_of(url)).alias("items"))
+    found = match_rules(pages.where(url.isNotNull()), mined, url_col)
     hand = rule_of(F.col("host"), F.col("path"), rules)
-    out = base.join(found, "page_id", "left").withColumn("hand", hand)
+    out = base.join(found, "items", "left").withColumn("hand", hand)
     verdict = F.coalesce(F.col("hand.verdict"), F.when(F.col("url_confidence").isNotNull(), F.lit("block")).otherwise(F.lit("allow")))
     return out.select("page_id", "host", "path", F.col("hand.rule").alias("rule"), verdict.alias("verdict"), "url_confidence")
 
