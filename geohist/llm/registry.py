@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import corpus_pipeline
 from geohist.llm import bpe, exact, html, jaccard, packing, quality, substring, urls, winnow, wordpiece
 
 
@@ -18,7 +17,6 @@ def queries():
         "op8_html_text": html.op8_html_text,
         "op9_url_filter": urls.op9_url_filter,
         "op10_token_counts": wordpiece.op10_token_counts,
-        "pipeline": corpus_pipeline.run,
     }
 
 
