@@ -6,11 +6,12 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, IntegerType, StructField, StructType
 
 from geohist.functions.noise import TEST_SECRET
 
 
-def register(spark: SparkSession, secret: str = TEST_SECRET) -> None:
+def register(spark: SparkSession, secret: str) -> None:
     """Temporary SQL functions; Catalyst inlines their bodies. The secret is part of the session's functions: do not share them."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION overlap_cells(ax0 INT, ax1 INT, ay0 INT, ay1 INT, bx0 INT, bx1 INT, by0 INT, by1 INT) RETURNS BIGINT RETURN cast(greatest(0, least(ax1, bx1) - greatest(ax0, bx0)) AS BIGINT) * greatest(0, least(ay1, by1) - greatest(ay0, by0))")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION cell_index(v DOUBLE, lo DOUBLE, hi DOUBLE, n INT) RETURNS INT RETURN least(n - 1, cast(floor((greatest(lo, least(hi, v)) - lo) * n / (hi - lo)) AS INT))")
@@ -19,22 +20,22 @@ def register(spark: SparkSession, secret: str = TEST_SECRET) -> None:
 
 
 def overlap_by_sql(spark: SparkSession, fm: DataFrame) -> DataFrame:
-    register(spark)
+    register(spark, TEST_SECRET)
     return fm.select("cx", "cy", F.expr("overlap_cells(cx, cx + 10, cy, cy + 10, 20, 40, 20, 40)").alias("shared"))
 
 
 def laplace_by_sql(spark: SparkSession, fm: DataFrame) -> DataFrame:
-    register(spark)
+    register(spark, TEST_SECRET)
     return fm.select("cx", "cy", F.expr("round(keyed_laplace(cnt, 2.0D, concat_ws('/', 'sql', cx, cy)), 6)").alias("noisy"))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())  # a type object: a DDL string would need a running session when this module is imported
 def abs_dev(v: pd.Series) -> float:
     """Sum of absolute deviations from the mean of a group."""
     return float((v - v.mean()).abs().sum())
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def unevenness_udf(low: pd.Series, high: pd.Series) -> pd.Series:
     """Unevenness of a split whose sides are given as arrays of all cell counts; the reference for tests."""
     dev = lambda a: float(np.abs(np.asarray(a, float) - np.mean(a)).sum()) if len(a) else 0.0
@@ -49,7 +50,7 @@ def split_by_udf(fm: DataFrame) -> DataFrame:
     return halves.select(F.lit(32).alias("k"), F.round(unevenness_udf(pad("low"), pad("high")), 4).alias("o"))
 
 
-@F.udtf(returnType="k: int")
+@F.udtf(returnType=StructType([StructField("k", IntegerType())]))
 class LatticeUdtf:
     """Positions that a search of some rounds over 1..u can meet."""
 
