@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,7 +22,11 @@ SPACES = bytes([32, 9, 10, 11, 12, 13])
 def shared_dir(spark: SparkSession) -> str:
     """Folder that driver and executors share, as the session names it; one of our own only where unset."""
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir", "")
-    return f"{base or 'file:///tmp/checkpoints'}/geohist-{uuid.uuid4().hex}"
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        base = f"file://{tempfile.gettempdir()}/geohist-shared"  # one machine: tests
+    return f"{base}/geohist-{uuid.uuid4().hex}"
 
 
 def stored(df: DataFrame, spark: SparkSession) -> DataFrame:
@@ -60,26 +66,13 @@ def steps(arr: pa.Array, limit: int = STEP_BYTES) -> Iterator[tuple[int, int]]:
 
 
 _MULT = np.uint64(0x9E3779B97F4A7C15)
-_RNG = np.random.Generator(np.random.PCG64(20240229))
-_TABLE = _RNG.integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-_FOLD = np.arange(256)
-_FOLD[65:91] += 32
-_TABLE_LOWER = _TABLE[_FOLD]
 _IS_SPACE = np.zeros(256, bool)
 _IS_SPACE[list(SPACES)] = True
-_POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the (odd) base modulo 2^64 and of its inverse, at least n+1 of each."""
-    size = 1 << max(16, int(n + 1).bit_length())
-    if size not in _POWERS:
-        _POWERS.clear()
-        base = np.uint64(0xD6E8FEB86659FD93)
-        inverse = np.uint64(pow(int(base), -1, 2**64))
-        with np.errstate(over="ignore"):
-            _POWERS[size] = tuple(np.concatenate([np.ones(1, np.uint64), np.full(size, b, np.uint64)]).cumprod(dtype=np.uint64) for b in (base, inverse))
-    return _POWERS[size]
+_UPPER = np.zeros(256, np.uint8)
+_UPPER[65:91] = 32
+#: Bytes of a word that fit the vectorised hash; longer words are hashed one by one.
+SHORT = 16
+_TAIL = np.array([(1 << 8 * i) - 1 for i in range(9)], dtype=np.uint64)
 
 
 def mix(h: np.ndarray, salt: int = 0) -> np.ndarray:
@@ -91,31 +84,51 @@ def mix(h: np.ndarray, salt: int = 0) -> np.ndarray:
         return h ^ (h >> np.uint64(31))
 
 
-def word_hashes(raw: np.ndarray, off: np.ndarray, lower: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Words (runs of bytes that are not ASCII white space) of several texts laid end to end.
-
-    Returns (hash of each word, its first byte, the byte after it, n+1 offsets of each text's words).
-    """
+def word_spans(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Words (runs of bytes that are not ASCII white space) of several texts laid end to end: first byte of each, the byte after it, n+1 offsets of each text's words."""
     n = len(raw)
     if n == 0:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(len(off), np.int64)
-    word = ~_IS_SPACE[raw]
-    begins = word.copy()
-    begins[1:] &= ~word[:-1]
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(len(off), np.int64)
+    space = _IS_SPACE[raw]
     inner = off[1:-1]
     inner = inner[(inner > 0) & (inner < n)]
-    begins[inner] = word[inner]
-    ends = np.zeros(n + 1, bool)
-    ends[1:] = word
-    ends[1:n] &= ~word[1:]
-    ends[inner] = word[inner - 1]
-    start, stop = np.flatnonzero(begins), np.flatnonzero(ends)
-    power, inverse = _powers(n)
-    with np.errstate(over="ignore"):
-        total = np.zeros(n + 1, np.uint64)
-        np.cumsum((_TABLE_LOWER if lower else _TABLE)[raw] * power[:n], out=total[1:])
-        h = mix((total[stop] - total[start]) * inverse[start] + (stop - start).astype(np.uint64))
-    return h, start, stop, np.searchsorted(start, off)
+    begins = ~space
+    begins[1:] &= space[:-1]
+    begins[inner] = ~space[inner]
+    start = np.flatnonzero(begins)
+    ends = ~space
+    ends[:-1] &= space[1:]
+    ends[inner - 1] = ~space[inner - 1]
+    return start, np.flatnonzero(ends) + 1, np.searchsorted(start, off)
+
+
+def word_hashes(raw: np.ndarray, off: np.ndarray, lower: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Words of several texts laid end to end: two 64-bit hashes of each, first byte, the byte after it, n+1 offsets of each text's words.
+
+    Both hashes together are 128 bits. A word of at most 16 bytes is a 128-bit number that three rounds of a keyed
+    permutation carry into them, so two such words of one length never share both; longer ones take xxh3's 128 bits.
+    """
+    start, stop, word = word_spans(raw, off)
+    if not len(start):
+        return np.zeros(0, np.uint64), np.zeros(0, np.uint64), start, stop, word
+    padded = np.zeros(len(raw) + SHORT, np.uint8)
+    padded[: len(raw)] = raw
+    if lower:
+        padded[: len(raw)] += _UPPER[raw]
+    eight = np.ndarray((len(raw) + 8,), "<u8", padded, strides=(1,))  # eight bytes from any place on
+    size = stop - start
+    low = eight[start] & _TAIL[np.minimum(size, 8)]
+    high = eight[start + 8 * (size > 8)] & _TAIL[np.clip(size - 8, 0, 8)]
+    key = mix(size.astype(np.uint64), 61)
+    low = low ^ mix(high ^ key, 62)
+    high = high ^ mix(low, 63)
+    low = low ^ mix(high, 64)
+    long = np.flatnonzero(size > SHORT)
+    if len(long):
+        data = padded.data
+        digests = b"".join([xxhash.xxh3_128_digest(data[a:z]) for a, z in zip(start[long].tolist(), stop[long].tolist())])
+        low[long], high[long] = np.frombuffer(digests, ">u8").reshape(-1, 2).T
+    return low, high, start, stop, word
 
 
 def run_hashes(h: np.ndarray, k: int, salt: int) -> np.ndarray:

@@ -21,7 +21,7 @@ LINK = (100, 80)
 def shingle_sets(texts: pa.Array, k: int) -> list[np.ndarray]:
     """Sorted distinct shingle hashes of each text; a text of fewer than k words is one shingle, one without words none."""
     raw, off = byte_view(texts)
-    h, _, _, word = word_hashes(raw, off, lower=True)
+    h, _, _, _, word = word_hashes(raw, off, lower=True)
     runs, out = run_hashes(h, k, 3), []
     for a, z in zip(word[:-1].tolist(), word[1:].tolist()):
         if z - a < k:
@@ -70,14 +70,14 @@ class _Seen:
 
 
 def _survey(k: int):
-    """Rows (row, doc_id, n, node, marks of the node's first row, key_1 and key_2 of the set), and at the end of a task the slices of its frequency sketch."""
+    """Rows (row, doc_id, n, node, key_1 and key_2 of the set), and at the end of a task the slices of its frequency sketch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sketch, seen = np.zeros(CELLS, np.uint32), _Seen()
-        names = ["row", "doc_id", "n", "node", "marks", "slice", "cells", "key_1", "key_2"]
+        names = ["row", "doc_id", "n", "node", "slice", "cells", "key_1", "key_2"]
         for b in batches:
             texts, rows = as_strings(b.column(2)), b.column(0).to_pylist()
-            size, node, marks, keys = [], [], [], ([], [])
+            size, node, keys = [], [], ([], [])
             for lo, hi in steps(texts):
                 sets = shingle_sets(texts.slice(lo, hi - lo), k)
                 for i, s in enumerate(sets):
@@ -86,12 +86,11 @@ def _survey(k: int):
                     for x, v in zip(keys, key[1:]):
                         x.append(v)
                     node.append(seen.node(key, rows[lo + i]))
-                    marks.append(parity_marks(s) if node[-1] == rows[lo + i] and key[0] else None)
                 sketch += np.bincount(_cells(np.concatenate(sets)), minlength=CELLS).astype(np.uint32)
             n = len(rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(size, pa.int64()), pa.array(node, pa.int64()), pa.array(marks, pa.list_(pa.int64())), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), *(pa.array(np.array(x, np.uint64).view(np.int64)) for x in keys)], names)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(size, pa.int64()), pa.array(node, pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), *(pa.array(np.array(x, np.uint64).view(np.int64)) for x in keys)], names)
         for i, cells in sliced(sketch, SLICES):
-            yield pa.RecordBatch.from_arrays([*(pa.nulls(1, pa.int64()) for _ in range(4)), pa.nulls(1, pa.list_(pa.int64())), pa.array([i], pa.int32()), pa.array([cells], pa.binary()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64())], names)
+            yield pa.RecordBatch.from_arrays([*(pa.nulls(1, pa.int64()) for _ in range(4)), pa.array([i], pa.int32()), pa.array([cells], pa.binary()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64())], names)
 
     return run
 
@@ -120,11 +119,21 @@ def boundary_by_cost(sketch: np.ndarray) -> int:
     return int(n[cheap].max(initial=4))
 
 
+def excess(sketch: np.ndarray) -> np.ndarray:
+    """How often each cell's tokens occur beyond what a cell holds by chance: cells of rare tokens all have 0, however large the input."""
+    usual = float(np.median(sketch))
+    return np.maximum(sketch.astype(np.int64) - int(usual + 6 * usual**0.5), 0)
+
+
 def _signatures(k: int, boundary: int, sent):
-    """(sig, salt, node, meta) rows, meta holding size, position and whether it stands for one token: for each distinct set of a task its whole key, and subsets or list entries of its prefix."""
+    """(sig, salt, node, meta) rows, meta holding size, position and whether it stands for one token: for each distinct set of a task its whole key, and subsets or list entries of its prefix.
+
+    The position of a token is its place in the set's order, that of a two-token subset the place of its second one
+    less one, so that size less position bounds the shared tokens either way; the whole key has -1.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts, seen = sent.value, _Seen()
+        counts, seen = excess(sent.value), _Seen()
         rank = np.floor(np.log2(np.maximum(counts, 1))).astype(np.uint64)
         bridge = -(-boundary * LINK[1] // LINK[0])  # small sets from here may link to large ones
         for b in batches:
@@ -149,7 +158,7 @@ def _signatures(k: int, boundary: int, sent):
                         continue
                     cells = _cells(s)
                     order = np.argsort((rank[cells] << np.uint64(58)) | (s >> np.uint64(6)), kind="stable")
-                    often = counts[cells[order]].astype(np.int64)
+                    often = counts[cells[order]]
                     t = s[order]
                     put(mix(np.array([key[1]], np.uint64), 31), often[:1], node, n, np.array([-1]), False)
                     if n == 1:
@@ -159,7 +168,7 @@ def _signatures(k: int, boundary: int, sent):
                         a, c = np.triu_indices(p, 1)
                         low, high = np.minimum(t[a], t[c]), np.maximum(t[a], t[c])
                         with np.errstate(over="ignore"):
-                            put(mix(low * np.uint64(0x9E3779B97F4A7C15) + high, 32), np.minimum(often[a], often[c]), node, n, np.full(len(a), -1), False)
+                            put(mix(low * np.uint64(0x9E3779B97F4A7C15) + high, 32), np.minimum(often[a], often[c]), node, n, c - 1, False)
                     if n > boundary or n >= bridge:
                         p = prefix_length(n, 1)
                         put(mix(t[:p], 33), often[:p], node, n, np.arange(p), True)
@@ -174,9 +183,9 @@ def _same_size(a: Column, b: Column) -> Column:
 
 
 def _may_link(n_a: Column, n_b: Column, at_a: Column, at_b: Column) -> Column:
-    """Whether two sets may link whose first shared token stands at these positions; entries of subsets and whole keys have position -1.
+    """Whether two sets may link whose first shared token, or subset of the first two, stands at these positions; whole keys have position -1.
 
-    Linked sets pass on the list of the first token they share, so this may be asked of every list.
+    Linked sets pass on the list of the first they share, so this may be asked of every list.
     """
     need = F.ceil((n_a + n_b) * F.lit(LINK[1]) / F.lit(LINK[0] + LINK[1]) - 1e-9)
     return _same_size(n_a, n_b) & ((at_a < 0) | (F.least(n_a - at_a, n_b - at_b) >= need))
@@ -191,10 +200,10 @@ def _position_of(meta: str) -> Column:
 
 
 def _node_sets(k: int, sent):
-    """(node, tokens) of the nodes that a bit table of fixed size does not rule out."""
+    """(node, n, marks, tokens) of the nodes that a bit table of fixed size does not rule out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        wanted = sent.value
+        wanted, seen = sent.value, _Seen()
         for b in batches:
             rows = b.column(0).to_numpy()
             hit = np.flatnonzero(_tested(wanted, rows))
@@ -202,10 +211,13 @@ def _node_sets(k: int, sent):
                 continue
             texts = as_strings(b.column(2).take(pa.array(hit)))
             for lo, hi in steps(texts):
-                sets = shingle_sets(texts.slice(lo, hi - lo), k)
-                off = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
-                tokens = pa.ListArray.from_arrays(pa.array(off), pa.array(np.concatenate(sets).view(np.int64)))
-                yield pa.RecordBatch.from_arrays([pa.array(rows[hit[lo:hi]]), tokens], ["node", "tokens"])
+                sets, own = shingle_sets(texts.slice(lo, hi - lo), k), rows[hit[lo:hi]].tolist()
+                kept = [i for i, s in enumerate(sets) if len(s) and seen.node(_set_key(s), own[i]) == own[i]]
+                if kept:
+                    sets = [sets[i] for i in kept]
+                    size = np.array([len(s) for s in sets], np.int64)
+                    tokens = pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(size)).astype(np.int32)), pa.array(np.concatenate(sets).view(np.int64)))
+                    yield pa.RecordBatch.from_arrays([pa.array([own[i] for i in kept], pa.int64()), pa.array(size), pa.array([parity_marks(s) for s in sets], pa.list_(pa.int64())), tokens], ["node", "n", "marks", "tokens"])
 
     return run
 
@@ -236,26 +248,27 @@ def _node_bits(nodes: DataFrame) -> np.ndarray:
     return gathered_sketch(merged_slices(nodes.select("node").mapInArrow(run, "slice int, cells binary"), "uint8", "or"), "uint8", SLICES, NODE_BITS // 8)
 
 
-def not_ruled_out(pairs: DataFrame, marks: DataFrame) -> DataFrame:
-    """The (a, b) whose sizes and parity marks allow a link: an upper bound of the intersection, so none is lost."""
-    side = lambda c: marks.select(F.col("node").alias(c), F.col("n").alias(f"n_{c}"), F.col("marks").alias(f"marks_{c}"))
-    both = pairs.select("a", "b").join(side("b"), "b").join(side("a"), "a")
-    a, b = F.col("marks_a"), F.col("marks_b")
+def node_sets(nodes: DataFrame, rows: DataFrame, k: int) -> DataFrame:
+    """Stored (node, n, marks, tokens) of at least the given nodes: every later check reads these, no text again."""
+    sent = rows.sparkSession.sparkContext.broadcast(_node_bits(nodes))
+    return stored(rows.mapInArrow(_node_sets(k, sent), "node long, n long, marks array<long>, tokens array<long>"), rows.sparkSession)
+
+
+def linked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """The stored (a, b) whose sets link.
+
+    Sizes and parity marks, an upper bound of the intersection, rule most others out; what is left is intersected exactly.
+    """
+    side = lambda c, x: sets.select(F.col("node").alias(c), F.col("n").alias(f"n_{c}"), F.col(x).alias(f"{x}_{c}"))
+    both = pairs.select("a", "b").join(side("b", "marks"), "b").join(side("a", "marks"), "a")
+    a, b, n_a, n_b = (F.col(x) for x in ("marks_a", "marks_b", "n_a", "n_b"))
     differ = F.aggregate(F.zip_with(_halved(a, b), _halved(b, a), lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda t, x: t + x)
-    total = F.col("n_a") + F.col("n_b")
-    return both.where(_same_size(F.col("n_a"), F.col("n_b"))).where((LINK[0] + LINK[1]) * (total - differ) >= 2 * LINK[1] * total).select("a", "b")
-
-
-def verified(pairs: DataFrame, rows: DataFrame, k: int) -> DataFrame:
-    """The stored (a, b) whose sets link, by exact intersection; only sets of their nodes are built."""
-    spark = pairs.sparkSession
-    bits = _node_bits(pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))))
-    sets = rows.mapInArrow(_node_sets(k, spark.sparkContext.broadcast(bits)), "node long, tokens array<long>").repartition("node")
-    left = sets.select(F.col("node").alias("b"), F.col("tokens").alias("tokens_b"))
-    right = sets.select(F.col("node").alias("a"), F.col("tokens").alias("tokens_a"))
-    both = pairs.join(left, "b").join(right, "a")
+    total = n_a + n_b
+    likely = both.where(_same_size(n_a, n_b)).where((LINK[0] + LINK[1]) * (total - differ) >= 2 * LINK[1] * total).select("a", "b")
+    likely = stored(likely, pairs.sparkSession)
+    both = likely.join(side("b", "tokens"), "b").join(side("a", "tokens"), "a")
     inter = F.size(F.array_intersect("tokens_a", "tokens_b"))
-    return both.where(LINK[0] * inter >= LINK[1] * (F.size("tokens_a") + F.size("tokens_b") - inter)).select("a", "b")
+    return stored(both.where(LINK[0] * inter >= LINK[1] * (n_a + n_b - inter)).select("a", "b"), pairs.sparkSession)
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -277,26 +290,137 @@ def components(edges: DataFrame) -> DataFrame:
             return labels
 
 
-def link_counts(survey: DataFrame, listed: DataFrame, rows: DataFrame, boundary: int, k: int) -> DataFrame:
-    """(node, n_links): how many other rows the rows of a node link to, copies of the same set included.
+#: Sets and tokens of a block of a connected part, all of whose pairs one task counts.
+BLOCK_SETS, BLOCK_TOKENS = 256, 1_000_000
+
+
+def shared_tokens(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """Intersection sizes of all sets of left with all of right."""
+    out = np.zeros((len(left), len(right)), np.int64)
+    tokens, number = np.unique(np.concatenate([*left, *right]), return_inverse=True)
+    many = np.bincount(number, minlength=len(tokens))
+    column = np.cumsum(many > 1) - 1
+    column[many <= 1] = -1  # a token of one set is shared with none
+    place = column[number]
+    owner = np.repeat(np.arange(len(left) + len(right)), [len(s) for s in [*left, *right]])
+    owner, place = owner[place >= 0], place[place >= 0]
+    order = np.argsort(place, kind="stable")
+    owner, place = owner[order], place[order]
+    wide = max(1, 4_000_000 // (len(left) + len(right)))
+    for lo in range(0, int(place[-1]) + 1 if len(place) else 0, wide):
+        a, z = np.searchsorted(place, (lo, lo + wide))
+        has = np.zeros((len(left) + len(right), min(wide, int(place[-1]) + 1 - lo)), np.float32)
+        has[owner[a:z], place[a:z] - lo] = 1
+        out += np.rint(has[: len(left)] @ has[len(left) :].T).astype(np.int64)
+    return out
+
 
-    Equal sets of all tasks are one, with the number of their rows. Every pair of different sets that meets on a list is
-    checked, inside a connected part too; the pairs of a group of near copies grow with the square of its different sets.
+def _block_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(node, links) of each pair of blocks; rows come sorted by part and pair of blocks."""
+    key, held = None, []
+
+    def counted() -> pa.RecordBatch:
+        lo, hi = key[1:]
+        left, right = [r for r in held if r[2] == lo], [r for r in held if r[2] == hi]
+        n, m = (np.array([len(r[1]) for r in x], np.int64) for x in (left, right))
+        if not len(n) or not len(m):
+            return pa.RecordBatch.from_arrays([pa.array([], pa.int64()), pa.array([], pa.int64())], ["node", "links"])
+        both = shared_tokens([r[1] for r in left], [r[1] for r in right])
+        link = LINK[0] * both >= LINK[1] * (n[:, None] + m[None] - both)
+        if lo == hi:
+            np.fill_diagonal(link, False)
+        found = [(r[0], int(c)) for r, c in zip(left, link @ np.array([r[3] for r in right], np.int64))]
+        if lo != hi:
+            found += [(r[0], int(c)) for r, c in zip(right, np.array([r[3] for r in left], np.int64) @ link)]
+        return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], ["node", "links"])
+
+    for b in batches:
+        part, lo, hi, node, own, many = (b.column(c).to_pylist() for c in ("part", "lo", "hi", "node", "own", "many"))
+        for i, tokens in enumerate(b.column("tokens")):
+            now = (part[i], lo[i], hi[i])
+            if now != key:
+                if held:
+                    yield counted()
+                key, held = now, []
+            held.append((node[i], tokens.values.to_numpy(), own[i], many[i]))
+    if held:
+        yield counted()
+
+
+def link_counts(found: DataFrame, sets: DataFrame) -> DataFrame:
+    """(n, key_1, key_2, n_links): to how many other rows a row of each set links, copies included.
+
+    found has a row for each row of the input: n, key_1, key_2, node, component. Equal sets of all tasks are one, with the
+    number of their rows. Sets that link share a connected part; a part is cut into blocks of bounded size and all
+    pairs of its blocks are counted, each in one task, by the shared tokens of their sets. No pair becomes a row: a part
+    of m sets makes m * m / BLOCK_SETS rows. So the work still grows with the square of a part's different sets.
     """
     c, key = F.col, ["n", "key_1", "key_2"]
-    full = survey.where("row is not null and n > 0")
-    sets = stored(full.groupBy(*key).agg(F.min("node").alias("rep"), F.count(F.lit(1)).alias("many")), survey.sparkSession)
-    nodes = full.where("row = node").select("node", *key).join(sets, key).select("node", "rep")
-    entries = listed.join(sets.select(c("rep").alias("node")), "node").select("sig", "node", _size_of("meta").alias("n"), _position_of("meta").alias("at"), (c("meta") % 2 == 1).alias("single"))
-    side = lambda s: entries.select("sig", c("node").alias(s), c("n").alias(f"n_{s}"), c("at").alias(f"at_{s}"), "single")
-    pairs = side("a").join(side("b").drop("single"), "sig").where(c("a") < c("b"))
+    full = found.where("n > 0").groupBy(*key).agg(F.min("component").alias("part"), F.min("node").alias("node"), F.count(F.lit(1)).alias("many"))
+    full = stored(full, found.sparkSession)
+    size = full.groupBy("part").agg(F.count(F.lit(1)).alias("sets"), F.sum("n").alias("tokens")).where("sets > 1")
+    blocks = F.ceil(F.greatest(c("sets") / BLOCK_SETS, c("tokens") / BLOCK_TOKENS)).cast("int")
+    dealt = full.join(size.select("part", blocks.alias("blocks")), "part").withColumn("own", F.pmod(F.xxhash64("node"), c("blocks")).cast("int"))
+    dealt = dealt.join(sets.select("node", "tokens"), "node").withColumn("other", F.explode(F.sequence(F.lit(0), c("blocks") - 1)))
+    dealt = dealt.select("part", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "node", "own", "many", "tokens")
+    counted = dealt.repartition("part", "lo", "hi").sortWithinPartitions("part", "lo", "hi").mapInArrow(_block_counts, "node long, links long")
+    counted = counted.groupBy("node").agg(F.sum("links").alias("links"))
+    return full.join(counted, "node", "left").select(*key, (c("many") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
+
+
+#: Rounds in which the parts on a list meet its leader before all that is left of it is compared.
+ROUNDS = 2
+
+
+def part_members(entries: DataFrame, labels: DataFrame) -> DataFrame:
+    """Stored entries (sig, node, n, at, single) of the lists that still hold several parts, with their part."""
+    member = entries.join(labels, "node", "left").withColumn("part", F.coalesce("label", "node")).drop("label")
+    open_ = member.groupBy("sig").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("sig")
+    return stored(member.join(open_, "sig"), entries.sparkSession)
+
+
+def leader_pairs(member: DataFrame, turn: int) -> DataFrame:
+    """(a, b): for each part the list leader that its own leaders share most lists with.
+
+    A list's leader is the entry at the earliest position: its set has fewest rare tokens of its own, so it stands
+    nearest to what the sets of the list have in common. In a later turn another of a part's earliest leads.
+    """
+    c = F.col
+    first = F.struct("at", F.xxhash64("node", F.lit(turn)).alias("dealt"), "node", "n")
+    reps = member.groupBy("sig", "part").agg(F.min(first).alias("x")).select("sig", "part", "x.*")
+    lead = reps.groupBy("sig").agg(F.min(F.struct("at", "dealt", "node", "n", "part")).alias("y"))
+    met = reps.join(lead, "sig").where(c("part") != c("y.part")).where(_may_link(c("y.n"), c("n"), c("y.at"), c("at")))
+    best = met.groupBy(c("y.node").alias("to"), "part", "node").agg(F.count(F.lit(1)).alias("shared"))
+    best = best.groupBy("part").agg(F.max(F.struct("shared", (-c("to")).alias("back"), "node")).alias("z"))
+    return best.select((-c("z.back")).alias("a"), c("z.node").alias("b"))
+
+
+def pairs_left(member: DataFrame, boundary: int) -> DataFrame:
+    """(a, b), distinct: members of different parts of a list that size and position allow a link."""
+    c = F.col
+    # What a part can offer on a list: its sizes, and the most tokens from its entry on.
+    reach = F.when(c("at") < 0, c("n") + 1).otherwise(c("n") - c("at"))
+    parts = member.groupBy("sig", "part").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max(reach).alias("reach"), F.max("single").alias("one"))
+    half = lambda s: parts.select("sig", *(c(x).alias(f"{x}_{s}") for x in ("part", "low", "high", "reach", "one")))
+    sizes = (LINK[0] * c("high_a") >= LINK[1] * c("low_b")) & (LINK[0] * c("high_b") >= LINK[1] * c("low_a"))
+    enough = F.least("reach_a", "reach_b") >= F.ceil((c("low_a") + c("low_b")) * F.lit(LINK[1]) / F.lit(LINK[0] + LINK[1]) - 1e-9)
+    large = ~c("one_a") | (c("high_a") > boundary) | (c("high_b") > boundary)
+    across = half("a").join(half("b"), ["sig"]).where((c("part_a") < c("part_b")) & sizes & enough & large).select("sig", "part_a", "part_b")
+    side = lambda s: member.select("sig", c("part").alias(f"part_{s}"), c("node").alias(s), c("n").alias(f"n_{s}"), c("at").alias(f"at_{s}"), "single")
+    pairs = across.join(side("a"), ["sig", "part_a"]).join(side("b").drop("single"), ["sig", "part_b"])
     pairs = pairs.where(_may_link(c("n_a"), c("n_b"), c("at_a"), c("at_b")) & (~c("single") | (c("n_a") > boundary) | (c("n_b") > boundary)))
-    pairs = not_ruled_out(pairs.select("a", "b").distinct(), survey.where("marks is not null").select("node", "n", "marks"))
-    links = stored(verified(stored(pairs, survey.sparkSession), rows, k), survey.sparkSession)
-    ends = links.select(c("a").alias("rep"), c("b").alias("other")).unionByName(links.select(c("b").alias("rep"), c("a").alias("other")))
-    near = ends.join(sets.select(c("rep").alias("other"), "many"), "other").groupBy("rep").agg(F.sum("many").alias("near"))
-    counts = sets.select("rep", "many").join(near, "rep", "left").select("rep", (c("many") - 1 + F.coalesce("near", F.lit(0))).alias("n_links"))
-    return nodes.join(counts, "rep").select("node", "n_links")
+    return pairs.select("a", "b").distinct()
+
+
+def merged_labels(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """(node, label) after links between parts: the smallest node of each joined part."""
+    named = labels.withColumnRenamed("label", "part")
+    end = lambda df, c: df.join(named.select(F.col("node").alias(c), F.col("part").alias(f"part_{c}")), c, "left")
+    joined = end(end(links.select("a", "b"), "a"), "b").select(F.coalesce("part_a", "a").alias("a"), F.coalesce("part_b", "b").alias("b"))
+    merged = components(joined.distinct()).select(F.col("node").alias("part"), F.col("label").alias("whole"))
+    ends = links.select(F.col("a").alias("node")).unionByName(links.select(F.col("b").alias("node"))).distinct()
+    every = ends.join(named, "node", "full").select("node", F.coalesce("part", "node").alias("part"))
+    return stored(every.join(merged, "part", "left").select("node", F.coalesce("whole", "part").alias("label")), labels.sparkSession)
 
 
 def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None, counts: bool = True) -> DataFrame:
@@ -304,63 +428,52 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
 
     Sets are the distinct k-word shingles of the lower-cased whole text (the whole sequence if shorter); they link from a
     Jaccard similarity of 0.8. Linked rows, directly or over others, share component_id, the smallest doc_id
-    among them; rows without words are alone. Null text counts as empty; a null id is never smallest. n_links is
-    the exact number of other rows that the row links to; it is left out without counts.
+    among them; rows without words are alone. Null text counts as empty; a null id is never smallest; repeated rows
+    are linked rows like others. n_links is the exact number of other rows that the row links to; it is left out
+    without counts. Other columns of docs are not read, whatever their names; an empty table gives an empty result.
 
     docs must give the same rows in the same partitions each time it is read (a file scan does; store others first).
     """
     spark = docs.sparkSession
     rows = docs.select((F.col(row_col) if row_col else row_id()).alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    survey = stored(rows.mapInArrow(_survey(k), "row long, doc_id long, n long, node long, marks array<long>, slice int, cells binary, key_1 long, key_2 long"), spark)
-    known = survey.where("row is not null").select("row", "doc_id", "n", "node")
+    survey = stored(rows.mapInArrow(_survey(k), "row long, doc_id long, n long, node long, slice int, cells binary, key_1 long, key_2 long"), spark)
+    known = survey.where("row is not null").select("row", "doc_id", "n", "node", "key_1", "key_2")
     sketch = gathered_sketch(merged_slices(survey.where("slice is not null"), "uint32", "sum"), "uint32", SLICES, CELLS)
     boundary = boundary_by_cost(sketch)
     listed = rows.mapInArrow(_signatures(k, boundary, spark.sparkContext.broadcast(sketch)), "sig long, salt int, node long, meta long")
     n = _size_of("meta")
-    # Lists of one entry end here; the first of each size class leads its list. Long lists are dealt by salt.
+    # Lists of one entry end here; the earliest of each size class leads its list. Long lists are dealt by salt.
     listed = listed.withColumn("class", F.floor(F.log(LINK[0] / LINK[1], n) + 1e-9).cast("int"))
-    listed = listed.withColumn("rows", F.count(F.lit(1)).over(W.partitionBy("sig", "salt"))).withColumn("lead", F.min(F.struct("node", "meta")).over(W.partitionBy("sig", "salt", "class")))
+    earliest = F.struct(_position_of("meta").alias("at"), "node", "meta")
+    listed = listed.withColumn("rows", F.count(F.lit(1)).over(W.partitionBy("sig", "salt"))).withColumn("lead", F.min(earliest).over(W.partitionBy("sig", "salt", "class")))
     listed = listed.where("rows > 1 or salt > 0").select("sig", "salt", "class", "node", "meta", F.col("lead.node").alias("leader"), F.col("lead.meta").alias("leader_meta"))
     listed = stored(listed, spark)
+    sets = node_sets(listed.select("node"), rows, k)
     # First round: each node with the leader it shares most entries with; leaders of one list's salts with the first of them.
-    heads = listed.groupBy("sig", "class").agg(F.min("leader").alias("first"), F.count_distinct("salt").alias("salts")).where("salts > 1")
-    upper = listed.where("leader = node").join(heads, ["sig", "class"]).where("first < node").select(F.col("first").alias("a"), F.col("node").alias("b"))
-    lower = listed.where("leader < node").where(_may_link(_size_of("leader_meta"), n, _position_of("leader_meta"), _position_of("meta"))).select(F.col("leader").alias("a"), F.col("node").alias("b"))
+    heads = listed.where("salt > 0").groupBy("sig", "class").agg(F.min("leader").alias("first"), F.count_distinct("salt").alias("salts")).where("salts > 1")
+    upper = listed.where("leader = node").join(heads, ["sig", "class"]).where("first != node").select(F.col("first").alias("a"), F.col("node").alias("b"))
+    lower = listed.where("leader != node").where(_may_link(_size_of("leader_meta"), n, _position_of("leader_meta"), _position_of("meta"))).select(F.col("leader").alias("a"), F.col("node").alias("b"))
     shared = lower.unionByName(upper).groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"))
     best = shared.groupBy("b").agg(F.max(F.struct("shared", (-F.col("a")).alias("back"))).alias("x")).select((-F.col("x.back")).alias("a"), "b")
-    marks = survey.where("marks is not null").select("node", "n", "marks")
-    first = stored(verified(stored(not_ruled_out(best, marks), spark), rows, k), spark)
-    labels = components(first)
-    # Second round, exact: on each list, members of different parts only.
-    member = listed.select("sig", "node", n.alias("n"), _position_of("meta").alias("at"), (F.col("meta") % 2 == 1).alias("single")).join(labels, "node", "left").withColumn("part", F.coalesce("label", "node")).drop("label")
-    open_ = member.groupBy("sig").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("sig")
-    member = stored(member.join(open_, "sig"), spark)
-    # What a part can offer on a list: its sizes, and the most tokens from its entry on.
-    c = F.col
-    reach = F.when(c("at") < 0, c("n") + 1).otherwise(c("n") - c("at"))
-    parts = member.groupBy("sig", "part").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max(reach).alias("reach"), F.max("single").alias("one"))
-    half = lambda s: parts.select("sig", *(c(x).alias(f"{x}_{s}") for x in ("part", "low", "high", "reach", "one")))
-    sizes = (LINK[0] * c("high_a") >= LINK[1] * c("low_b")) & (LINK[0] * c("high_b") >= LINK[1] * c("low_a"))
-    enough = F.least("reach_a", "reach_b") >= F.ceil((c("low_a") + c("low_b")) * F.lit(LINK[1]) / F.lit(LINK[0] + LINK[1]) - 1e-9)
-    large = ~c("one_a") | (c("high_a") > boundary) | (c("high_b") > boundary)
-    across = half("a").join(half("b"), ["sig"]).where((c("part_a") < c("part_b")) & sizes & enough & large).select("sig", "part_a", "part_b")
-    side = lambda s: member.select("sig", F.col("part").alias(f"part_{s}"), F.col("node").alias(s), F.col("n").alias(f"n_{s}"), F.col("at").alias(f"at_{s}"), "single")
-    pairs = across.join(side("a"), ["sig", "part_a"]).join(side("b").drop("single"), ["sig", "part_b"])
-    pairs = pairs.where(_may_link(c("n_a"), c("n_b"), c("at_a"), c("at_b")) & (~c("single") | (c("n_a") > boundary) | (c("n_b") > boundary)))
-    pairs = not_ruled_out(pairs.select("a", "b").distinct(), marks)
-    second = stored(verified(stored(pairs, spark), rows, k), spark)
-    named = labels.withColumnRenamed("label", "part")
-    part_of = lambda c: second.join(named.select(F.col("node").alias(c), F.col("part").alias(f"part_{c}")), c, "left")
-    joined = part_of("a").join(named.select(F.col("node").alias("b"), F.col("part").alias("part_b")), "b", "left")
-    merged = components(joined.select(F.coalesce("part_a", "a").alias("a"), F.coalesce("part_b", "b").alias("b")).distinct())
-    merged = merged.select(F.col("node").alias("part"), F.col("label").alias("whole"))
-    out = known.join(named, "node", "left").withColumn("part", F.coalesce("part", "node")).join(merged, "part", "left").withColumn("component", F.coalesce("whole", "part"))
+    labels = components(linked(stored(best, spark), sets))
+    # Then parts with the leaders of lists that hold several, while that joins any; at last, exactly, all members of different parts.
+    member = part_members(listed.select("sig", "node", n.alias("n"), _position_of("meta").alias("at"), (F.col("meta") % 2 == 1).alias("single")), labels)
+    for turn in range(ROUNDS):
+        links = linked(stored(leader_pairs(member, turn), spark), sets)
+        if links.isEmpty():
+            break
+        labels = merged_labels(labels, links)
+        member = part_members(member.drop("part"), labels)
+    links = linked(stored(pairs_left(member, boundary), spark), sets)
+    labels = merged_labels(labels, links)
+    out = known.join(labels, "node", "left").withColumn("component", F.coalesce("label", "node")).drop("label")
     smallest = out.groupBy("component").agg(F.min("doc_id").alias("component_id"))
-    out = out.join(smallest, "component")
     shown = ["row", "doc_id", F.col("n").alias("n_shingles"), "component_id", "component"]
     if not counts:
-        return out.select(*shown)
-    return out.join(link_counts(survey, listed, rows, boundary, k), "node", "left").select(*shown, F.coalesce("n_links", F.lit(0)).alias("n_links"))
+        return out.join(smallest, "component").select(*shown)
+    out = stored(out, spark)
+    many = link_counts(out, sets)
+    return out.join(smallest, "component").join(many, ["n", "key_1", "key_2"], "left").select(*shown, F.coalesce("n_links", F.lit(0)).alias("n_links"))
 
 
 def op1_jaccard_join(spark, sf_dir: str) -> DataFrame:

@@ -11,57 +11,66 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from geohist.llm.common import as_strings, byte_view, row_id, run_hashes, steps, stored, word_hashes
-
-#: Words of a window; estimate from which a window counts as hot; bounds of the prefilter's size in bits.
-WINDOW, HOT, LEAST_BITS, MOST_BITS = 13, 128, 1 << 20, 1 << 30
-#: The sketch has 2^32 cells, kept as sorted lists in 256 slices; a partial sketch is written after so many windows.
-SLICES, PARTIAL = 256, 3_000_000
+from geohist.llm.common import as_strings, byte_view, row_id, run_hashes, steps, stored, word_hashes, word_spans
+
+#: Words of a window; bounds in bits of the prefilter's table for each row of the sketch.
+WINDOW, LEAST_BITS, MOST_BITS = 13, 1 << 20, 1 << 30
+#: The sketch has ROWS rows of 2^32 cells, kept as sorted lists in 256 slices each; a partial sketch is written after so many windows.
+ROWS, SLICES, PARTIAL = 2, 256, 3_000_000
+#: Candidate windows that a task folds at a time.
+FOLD = 1_000_000
 _LAST = 2**63 - 1
 
 
 def _windows(texts: pa.Array, size: int):
     """Both hashes of every window, the row it starts in and the word it starts at."""
     raw, off = byte_view(texts)
-    h, _, _, word = word_hashes(raw, off, lower=False)
+    one, two, _, _, word = word_hashes(raw, off, lower=False)
     count = np.maximum(np.diff(word) - size + 1, 0)
     total = int(count.sum())
     row = np.repeat(np.arange(len(texts)), count)
     at = np.arange(total) - np.repeat(np.cumsum(count) - count, count)
     pick = np.repeat(word[:-1], count) + at
-    return run_hashes(h, size, 1)[pick], lambda: run_hashes(h, size, 2)[pick], row, at
+    return run_hashes(one, size, 1)[pick], lambda: run_hashes(two, size, 2)[pick], row, at
+
+
+def _cell(h: np.ndarray, row: int) -> np.ndarray:
+    """The cell of a window in a row of the sketch: 32 bits of its first hash for each of the two rows."""
+    return (h >> np.uint64(32) if row == 0 else h & np.uint64(0xFFFFFFFF)).astype(np.uint32)
 
 
 def partial_sketches(rows: DataFrame, size: int = WINDOW) -> DataFrame:
-    """(slice, once, more): sketch cells that a part of a task's windows hits once, and hits more often with their counts, by slice."""
+    """(slice, once, more, counts): sketch cells that a part of a task's windows hits once, and hits more often with their counts, by row of the sketch and slice."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
 
         def emit() -> pa.RecordBatch:
-            cells, n = np.unique(np.concatenate(held), return_counts=True)
-            one = n == 1
-            first = np.arange(SLICES, dtype=np.uint64) << np.uint64(24)
-            out: list[list] = [[], [], [], []]
-            lists = (cells[one], cells[~one])
-            counts = np.minimum(n[~one], 255).astype(np.uint8)
-            cut = [np.append(np.searchsorted(c, first.astype(np.uint32)), len(c)) for c in lists]
-            for s in range(SLICES):
-                a, b = lists[0][cut[0][s] : cut[0][s + 1]], lists[1][cut[1][s] : cut[1][s + 1]]
-                if len(a) or len(b):
-                    # a sorted list of 24-bit cells: 256 counts by the high byte, then the low 16 bits of each
-                    high = np.bincount((a >> 16) & 255, minlength=256).astype("<u4")
-                    out[0].append(s)
-                    out[1].append(high.tobytes() + (a & 0xFFFF).astype("<u2").tobytes())
-                    out[2].append((b & 0xFFFFFF).astype("<u4").tobytes())
-                    out[3].append(counts[cut[1][s] : cut[1][s + 1]].tobytes())
+            h = np.concatenate(held)
             held.clear()
+            first = (np.arange(SLICES, dtype=np.uint64) << np.uint64(24)).astype(np.uint32)
+            out: list[list] = [[], [], [], []]
+            for row in range(ROWS):
+                cells, n = np.unique(_cell(h, row), return_counts=True)
+                one = n == 1
+                lists = (cells[one], cells[~one])
+                counts = np.minimum(n[~one], 255).astype(np.uint8)
+                cut = [np.append(np.searchsorted(c, first), len(c)) for c in lists]
+                for s in range(SLICES):
+                    a, b = lists[0][cut[0][s] : cut[0][s + 1]], lists[1][cut[1][s] : cut[1][s + 1]]
+                    if len(a) or len(b):
+                        # a sorted list of 24-bit cells: 256 counts by the high byte, then the low 16 bits of each
+                        high = np.bincount((a >> 16) & 255, minlength=256).astype("<u4")
+                        out[0].append(row * SLICES + s)
+                        out[1].append(high.tobytes() + (a & 0xFFFF).astype("<u2").tobytes())
+                        out[2].append((b & 0xFFFFFF).astype("<u4").tobytes())
+                        out[3].append(counts[cut[1][s] : cut[1][s + 1]].tobytes())
             return pa.RecordBatch.from_arrays([pa.array(out[0], pa.int32()), *(pa.array(x, pa.binary()) for x in out[1:])], ["slice", "once", "more", "counts"])
 
         for b in batches:
             texts = as_strings(b.column(0))
             for lo, hi in steps(texts):
-                held.append((_windows(texts.slice(lo, hi - lo), size)[0] >> np.uint64(32)).astype(np.uint32))
+                held.append(_windows(texts.slice(lo, hi - lo), size)[0])
                 if sum(map(len, held)) >= PARTIAL:
                     yield emit()
         if held:
@@ -71,15 +80,15 @@ def partial_sketches(rows: DataFrame, size: int = WINDOW) -> DataFrame:
 
 
 def merged_sketch(partial: DataFrame) -> DataFrame:
-    """(slice, repeated, hot): cells of the summed sketch whose estimate is 2 or more, and HOT or more. One slice is in memory at a time."""
+    """(slice, repeated): cells of the summed sketch that count 2 or more. One slice of one row is in memory at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, cells = None, np.zeros(1 << 24, np.uint8)
 
         def done() -> pa.RecordBatch:
-            repeated, hot = (np.flatnonzero(cells >= k).astype("<u4").tobytes() for k in (2, HOT))
+            repeated = np.flatnonzero(cells >= 2).astype("<u4").tobytes()
             cells[:] = 0
-            return pa.RecordBatch.from_arrays([pa.array([now], pa.int32()), pa.array([repeated], pa.binary()), pa.array([hot], pa.binary())], ["slice", "repeated", "hot"])
+            return pa.RecordBatch.from_arrays([pa.array([now], pa.int32()), pa.array([repeated], pa.binary())], ["slice", "repeated"])
 
         for b in batches:
             for s, once, more, counts in zip(b.column(0).to_pylist(), b.column(1), b.column(2), b.column(3)):
@@ -95,15 +104,19 @@ def merged_sketch(partial: DataFrame) -> DataFrame:
         if now is not None:
             yield done()
 
-    return partial.repartition("slice").sortWithinPartitions("slice").mapInArrow(run, "slice int, repeated binary, hot binary")
+    return partial.repartition("slice").sortWithinPartitions("slice").mapInArrow(run, "slice int, repeated binary")
 
 
 class Prefilter:
-    """Bits that are set for every window estimated repeated (and hot); their number is chosen from counts, within fixed bounds."""
+    """For each row of the sketch a table of bits, set for cells that count 2 or more; its size is chosen from their number, within fixed bounds.
+
+    A window's estimate is the least of its cells, so it says repeated only where every row does.
+    """
 
     def __init__(self, merged: DataFrame, most_bits: int = MOST_BITS):
-        n = merged.agg(F.sum(F.octet_length("repeated")), F.sum(F.octet_length("hot"))).first()
-        self.shift, self.bits = zip(*(self._fold(merged.select("slice", c), (x or 0) // 4, most_bits) for c, x in zip(("repeated", "hot"), n)))
+        row = F.floor(F.col("slice") / SLICES).cast("int")
+        n = {r["row"]: r["n"] // 4 for r in merged.groupBy(row.alias("row")).agg(F.sum(F.octet_length("repeated")).alias("n")).collect()}  # a row for each row of the sketch
+        self.shift, self.bits = zip(*(self._fold(merged.where(row == i), n.get(i, 0), most_bits) for i in range(ROWS)))
 
     @staticmethod
     def _fold(lists: DataFrame, cells: int, most_bits: int) -> tuple[int, np.ndarray]:
@@ -119,51 +132,77 @@ class Prefilter:
 
         bits = np.zeros(per * SLICES, np.uint8)
         for r in lists.mapInArrow(run, "slice int, cells binary").toLocalIterator():
-            bits[r["slice"] * per : (r["slice"] + 1) * per] = np.frombuffer(bytes(r["cells"]), np.uint8)
+            s = r["slice"] % SLICES
+            bits[s * per : (s + 1) * per] = np.frombuffer(bytes(r["cells"]), np.uint8)
         return shift, bits
 
-    def test(self, which: int, cells: np.ndarray) -> np.ndarray:
-        at = cells >> np.uint32(self.shift[which])
-        return (self.bits[which][at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
+    def test(self, h: np.ndarray) -> np.ndarray:
+        found = np.ones(len(h), bool)
+        for row in range(ROWS):
+            at = _cell(h, row) >> np.uint32(self.shift[row])
+            found &= (self.bits[row][at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
+        return found
+
+
+def _folded(h1: np.ndarray, h2: np.ndarray, doc: np.ndarray, row: np.ndarray, at: np.ndarray) -> pa.RecordBatch:
+    """Candidates of a part of a task: those of the smallest id for each window, one row for each window and text, and the others, which are repeats for sure, one row for each text."""
+    order = np.lexsort((row, h2, h1))  # stable: places ascend
+    a, b = h1[order], h2[order]
+    new = np.r_[True, (a[1:] != a[:-1]) | (b[1:] != b[:-1])]
+    lead = np.flatnonzero(new)
+    least = np.repeat(np.minimum.reduceat(doc[order], lead), np.diff(np.append(lead, len(order))))
+    sure = doc[order] > least
+    new[1:] |= row[order][1:] != row[order][:-1]
+    own = order[~sure]
+    open_ = order[new & ~sure]
+    own_at = np.flatnonzero(new[~sure])
+    told = order[sure]
+    told = told[np.lexsort((at[told], row[told]))]
+    first = np.flatnonzero(np.r_[True, row[told][1:] != row[told][:-1]]) if len(told) else np.zeros(0, np.int64)
+    m = len(first)
+    off = np.concatenate([own_at, len(own) + first, [len(order)]])
+    starts = pa.ListArray.from_arrays(pa.array(off.astype(np.int32)), pa.array(np.concatenate([at[own], at[told]]).astype(np.int32)))
+    one = told[first]
+    none = pa.nulls(m, pa.int64())
+    join = lambda x, y: pa.concat_arrays([pa.array(x), y])
+    # Rows that are sure meet no others: their own number and no second hash stand for a window.
+    return pa.RecordBatch.from_arrays([pa.array(np.concatenate([h1[open_].view(np.int64), row[one]])), join(h2[open_].view(np.int64), none), join(doc[open_], none), pa.array(np.concatenate([row[open_], row[one]])), starts], ["h1", "h2", "doc_id", "row", "starts"])
 
 
 def candidate_windows(rows: DataFrame, prefilter: Prefilter, size: int = WINDOW) -> DataFrame:
-    """(h1, h2, doc_id, row, at, hot) of every window whose estimate says repeated; 128 bits stand for its words."""
+    """(h1, h2, doc_id, row, starts) of windows whose estimate says repeated, folded in each task; 128 bits stand for a window's words.
+
+    Where one task holds a window in several documents, only the smallest of them can be its first; the others are
+    repeats, and leave with h2 and doc_id null. So a window takes one row a fold, however many documents hold it.
+    """
     sent = rows.sparkSession.sparkContext.broadcast(prefilter)  # of bounded size
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        f = sent.value
+        f, held = sent.value, []
         for b in batches:
             texts = as_strings(b.column(2))
             own, doc = b.column(0).to_numpy(), b.column(1).to_numpy()
             for lo, hi in steps(texts):
                 h1, second, row, at = _windows(texts.slice(lo, hi - lo), size)
-                cells = (h1 >> np.uint64(32)).astype(np.uint32)
-                keep = np.flatnonzero(f.test(0, cells))
+                keep = np.flatnonzero(f.test(h1))
                 if len(keep):
                     row = row[keep] + lo
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(h1[keep].view(np.int64)), pa.array(second()[keep].view(np.int64)), pa.array(doc[row]), pa.array(own[row]), pa.array(at[keep].astype(np.int32)), pa.array(f.test(1, cells[keep]))],
-                        ["h1", "h2", "doc_id", "row", "at", "hot"],
-                    )
+                    held.append((h1[keep], second()[keep], doc[row], own[row], at[keep]))
+                    if sum(len(x[0]) for x in held) >= FOLD:
+                        yield _folded(*map(np.concatenate, zip(*held)))
+                        held = []
+        if held:
+            yield _folded(*map(np.concatenate, zip(*held)))
 
-    return rows.select("row", F.coalesce("doc_id", F.lit(_LAST)).alias("doc_id"), "text").mapInArrow(run, "h1 long, h2 long, doc_id long, row long, at int, hot boolean")
+    return rows.select("row", F.coalesce("doc_id", F.lit(_LAST)).alias("doc_id"), "text").mapInArrow(run, "h1 long, h2 long, doc_id long, row long, starts array<int>")
 
 
 def repeated_windows(rows: DataFrame, size: int = WINDOW) -> DataFrame:
-    """(row, at) of each window whose words also start in a document of smaller id, exactly.
-
-    Windows of a low estimate meet in one shuffle, in groups below HOT rows. Hot ones are first
-    reduced to their smallest id in each task and joined back, so that no group has to fit a task.
-    """
-    spark = rows.sparkSession
-    merged = stored(merged_sketch(partial_sketches(rows, size)), spark)
+    """(row, starts) of the windows whose words also start in a document of smaller id, exactly; a row may come several times."""
+    merged = stored(merged_sketch(partial_sketches(rows, size)), rows.sparkSession)
     found = candidate_windows(rows, Prefilter(merged), size)
-    few = found.where("not hot").withColumn("least", F.min("doc_id").over(W.partitionBy("h1", "h2"))).where("least < doc_id").select("row", "at")
-    hot = found.where("hot")
-    least = hot.groupBy("h1", "h2").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most")).where("least < most").drop("most")
-    many = hot.select("h1", "h2", "doc_id", "row", "at").join(least, ["h1", "h2"]).where("least < doc_id").select("row", "at")
-    return few.unionByName(many)
+    least = F.min("doc_id").over(W.partitionBy("h1", "h2"))
+    return found.withColumn("least", least).where("h2 is null or least < doc_id").select("row", "starts")
 
 
 _OUT = "row long, doc_id long, n_words long, n_removed long, kept_sha256 string"
@@ -176,7 +215,7 @@ def _cleaned(size: int, with_text: bool):
             for lo, hi in steps(texts):
                 part = texts.slice(lo, hi - lo)
                 raw, off = byte_view(part)
-                _, begin, stop, word = word_hashes(raw, off, lower=False)
+                begin, stop, word = word_spans(raw, off)
                 cols: list[list] = [[], [], [], []]
                 data = raw.tobytes()
                 for i in range(hi - lo):
@@ -208,7 +247,7 @@ def remove_repeats(docs: DataFrame, size: int = WINDOW, id_col: str = "doc_id",
     share an id do not remove each other's words. Texts shorter than a window keep all words.
     """
     rows = docs.select((F.col(row_col) if row_col else row_id()).alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    starts = repeated_windows(rows, size).groupBy("row").agg(F.collect_list("at").alias("starts"))
+    starts = repeated_windows(rows, size).groupBy("row").agg(F.flatten(F.collect_list("starts")).alias("starts"))
     return rows.join(starts, "row", "left").select("row", "doc_id", "text", "starts").mapInArrow(_cleaned(size, with_text), _OUT + ", kept_text string" * with_text)
 
 

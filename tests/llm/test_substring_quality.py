@@ -28,7 +28,7 @@ def brute(rows, size):
 
 
 def test_substring_equals_brute_force(spark, monkeypatch):
-    monkeypatch.setattr(substring, "HOT", 5)
+    monkeypatch.setattr(substring, "FOLD", 400)
     rng = random.Random(2)
     passage = "the common passage of many words that stands in most documents here é".split()
     rows = []
@@ -67,3 +67,29 @@ def test_quality_learns_and_scores_all(spark):
     assert {r["score"] for r in quality.with_score(docs, quality.train(docs, marks.limit(0))).collect()} == {1.0}
     assert quality.with_score(docs.limit(0), net).count() == 0
     assert not any(r["h"] for r in docs.where(quality.held_out(docs.doc_id)).select((quality.held_out(docs.doc_id) == False).alias("h")).collect())  # noqa: E712
+
+
+def mirrored(n):
+    """Two different words of two letters in mirrored order that polynomial hashes modulo 2^64 cannot tell apart."""
+    s = [0]
+    while len(s) < n:
+        s += [1 - x for x in s]
+    return "".join("ab"[x] for x in s), "".join("ba"[x] for x in s)
+
+
+def test_words_that_weak_hashes_confuse(spark):
+    from geohist.llm import jaccard
+
+    for n in (1024, 2048, 4096):
+        one, two = mirrored(n)
+        docs = spark.createDataFrame([(1, one), (2, two)], "doc_id long, text string")
+        assert sorted((r["doc_id"], r["component_id"]) for r in jaccard.link_components(docs).collect()) == [(1, 1), (2, 2)]
+    lead = " ".join("w" + str(i) for i in range(12))
+    docs = spark.createDataFrame([(1, f"{lead} {one}"), (2, f"{lead} {two}"), (3, f"{lead} {one}")], "doc_id long, text string")
+    assert sorted((r["doc_id"], r["n_removed"]) for r in substring.remove_repeats(docs).collect()) == [(1, 0), (2, 0), (3, 13)]
+
+
+def test_substring_clashing_columns_and_repeated_rows(spark):
+    text = " ".join(f"w{i}" for i in range(20))
+    docs = spark.createDataFrame([(1, text, 5, "x"), (1, text, 6, "y"), (2, text, 7, "z"), (None, None, None, None)], "doc_id long, text string, row long, starts string")
+    assert sorted((r["doc_id"] or 0, r["n_removed"]) for r in substring.remove_repeats(docs).collect()) == [(0, 0), (1, 0), (1, 0), (2, 20)]
