@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import heapq
 import zlib
+from bisect import insort
 from collections.abc import Iterator
 
 import numpy as np
@@ -15,8 +16,28 @@ from pyspark.sql import functions as F
 
 from geohist.llm.common import as_strings, steps
 
-#: Pieces that one differencing run spreads over its windows.
-GROUP_PIECES = 2048
+#: Pieces that one differencing run spreads over its windows, and the pieces a full window holds at least: what a
+#: document has beyond whole sequences is cut to a PIECES-th of the capacity, so that windows can come out near equal.
+GROUP_PIECES, PIECES = 4096, 4
+
+
+def _join(a: list, b: list, ways: int, meet) -> list:
+    """Two partial partitions as one: (sum, node) of their filled ways, ascending. The fullest ways of one meet the emptiest of the other."""
+    if len(a) < len(b):
+        a, b = b, a
+    overlap = len(a) + len(b) - ways
+    if len(b) == 1:
+        if overlap > 0:
+            first = a.pop(0)
+            insort(a, (first[0] + b[0][0], meet(first[1], b[0][1])))
+        else:
+            insort(a, b[0])
+        return a
+    if overlap <= 0:
+        return sorted(a + b)
+    # The largest of b take the empty ways of a; the rest, descending, meet a's ways from the emptiest up.
+    both = [(x + y, meet(i, j)) for (x, i), (y, j) in zip(a, b[overlap - 1 :: -1])]
+    return sorted(both + a[overlap:] + b[overlap:])
 
 
 def difference(sizes: np.ndarray, ways: int) -> np.ndarray:
@@ -28,38 +49,23 @@ def difference(sizes: np.ndarray, ways: int) -> np.ndarray:
     n = len(sizes)
     if ways <= 1 or n == 0:
         return np.zeros(n, np.int64)
-    # A partial partition: sums of its filled ways, descending, and the merge-forest node of each.
-    left, right = list(range(n)), [-1] * n
-    parts = {i: (np.array([sizes[i]], np.int64), [i]) for i in range(n)}
-    heap = [(-int(sizes[i]), i) for i in range(n)]
+    left, right = list(range(n)), [-1] * n  # the two that met in a node; items stand for themselves
+
+    def meet(i: int, j: int) -> int:
+        left.append(i)
+        right.append(j)
+        return len(left) - 1
+
+    heap = [(-x, i, [(x, i)]) for i, x in enumerate(sizes.tolist())]
     heapq.heapify(heap)
     serial = n
     while len(heap) > 1:
-        (_, a), (_, b) = heapq.heappop(heap), heapq.heappop(heap)
-        (sa, na), (sb, nb) = parts.pop(a), parts.pop(b)
-        if len(sa) < len(sb):
-            sa, na, sb, nb = sb, nb, sa, na
-        overlap = len(sa) + len(sb) - ways
-        if overlap <= 0:
-            sums, nodes = np.concatenate([sa, sb]), na + nb
-        else:
-            # The fullest ways of b meet the empty ways of a; the rest of b, descending, meets a's ways from the emptiest up.
-            free = len(sb) - overlap
-            sums, nodes = np.concatenate([sa, sb[:free]]), na + nb[:free]
-            at = np.arange(len(sa) - 1, len(sa) - 1 - overlap, -1)
-            sums[at] += sb[free:]
-            for j, x in zip(at.tolist(), nb[free:]):
-                left.append(nodes[j])
-                right.append(x)
-                nodes[j] = len(left) - 1
-        order = np.argsort(-sums, kind="stable")
-        sums, nodes = sums[order], [nodes[i] for i in order.tolist()]
-        spread = int(sums[0]) - (int(sums[-1]) if len(sums) == ways else 0)
-        parts[serial] = (sums, nodes)
-        heapq.heappush(heap, (-spread, serial))
+        a, b = heapq.heappop(heap)[2], heapq.heappop(heap)[2]
+        sums = _join(a, b, ways, meet)
+        heapq.heappush(heap, ((sums[0][0] if len(sums) == ways else 0) - sums[-1][0], serial, sums))
         serial += 1
     way = np.zeros(n, np.int64)
-    for w, top in enumerate(next(iter(parts.values()))[1]):
+    for w, (_, top) in enumerate(heap[0][2]):
         stack = [top]
         while stack:
             x = stack.pop()
@@ -71,43 +77,13 @@ def difference(sizes: np.ndarray, ways: int) -> np.ndarray:
 
 
 def spread(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, int]:
-    """Windows of the items and their number: the least that could do, one more whenever a window is over full."""
+    """Windows of the items and their number: the least that could do, more whenever a window is over full (a 256th of them, one at least)."""
     ways = max(1, -(-int(sizes.sum()) // capacity))
     while True:
         way = difference(sizes, ways)
         if np.bincount(way, weights=sizes, minlength=ways).max(initial=0) <= capacity:
             return way, ways
-        ways += 1
-
-
-def level(sizes: np.ndarray, way: np.ndarray, ways: int, capacity: int) -> list[tuple[int, int, int, int]]:
-    """(item, from, to, way) of every item or part of one, with no way above capacity.
-
-    What stands above the capacity of a full way is cut off its last items and fills the room of others in order.
-    The room suffices whenever ways * capacity reaches the sum of all sizes.
-    """
-    order = np.lexsort((-sizes, way))
-    room = np.full(ways, capacity, np.int64)
-    out, over = [], []
-    for i in order.tolist():
-        w, n = int(way[i]), int(sizes[i])
-        fits = min(n, int(room[w]))
-        if fits:
-            out.append((i, 0, fits, w))
-            room[w] -= fits
-        if fits < n:
-            over.append((i, fits, n))
-    free = iter(np.flatnonzero(room).tolist())
-    w = next(free, None)
-    for i, a, b in over:
-        while a < b:
-            while not room[w]:
-                w = next(free)
-            take = min(b - a, int(room[w]))
-            out.append((i, a, a + take, w))
-            room[w] -= take
-            a += take
-    return out
+        ways += max(1, ways // 256)
 
 
 class ChunkEncoder:
@@ -117,10 +93,10 @@ class ChunkEncoder:
     else; chunks that hold an added token themselves go alone. Ids of known chunks lie end to end in one array.
     """
 
-    def __init__(self, path: str, limit: int = 400_000):
+    def __init__(self, path: str, limit: int = 400_000, most_chars: int = 32_000_000):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.limit = Tokenizer.from_file(path), limit
+        self.tokenizer, self.limit, self.most_chars = Tokenizer.from_file(path), limit, most_chars
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
         added = {t.content: i for i, t in self.tokenizer.get_added_tokens_decoder().items() if t.special and not (t.lstrip or t.rstrip or t.single_word or t.normalized)}
@@ -130,6 +106,7 @@ class ChunkEncoder:
 
     def _forget(self) -> None:
         self.known: dict[str, int] = {}
+        self.chars = 0
         self.flat, self.size = np.zeros(0, np.uint32), np.zeros(0, np.int64)
 
     def _learn(self, new: list[str]) -> None:
@@ -148,6 +125,7 @@ class ChunkEncoder:
             ids = self.tokenizer.encode(w, add_special_tokens=False).ids
             size.append(np.array([len(ids)], np.int64))
             flat.append(np.array(ids, np.uint32))
+        self.chars += len(whole)
         self.known.update(zip(plain + odd, range(len(self.known), len(self.known) + len(new))))
         self.flat, self.size = np.concatenate(flat), np.concatenate(size)
 
@@ -157,7 +135,7 @@ class ChunkEncoder:
         ends = np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64))])
         coded = lists.flatten().dictionary_encode()
         words = coded.dictionary.to_pylist()
-        if len(self.known) > self.limit:
+        if len(self.known) > self.limit or self.chars > self.most_chars:
             self._forget()
         if new := [w for w in words if w not in self.known]:
             self._learn(new)
@@ -182,38 +160,45 @@ def chunk_encoder(path: str) -> ChunkEncoder:
 _SCHEMA = "row_id long, doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
-def _pack(path: str, capacity: int, end_id: int, group: int, with_ids: bool, cut: bool):
+def _pack(path: str, capacity: int, end_id: int, group: int, with_ids: bool):
     names = [x.split()[0] for x in _SCHEMA.split(", ")]
+    most = max(1, capacity // PIECES)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, next_id = chunk_encoder(path), TaskContext.get().partitionId() << 40
         whole, rest = [], []  # (row, doc, start, ids, doc tokens)
 
         def emit(pieces: list, seq: np.ndarray, offset: np.ndarray) -> pa.RecordBatch:
-            cols = [pa.array(c, pa.int64()) for c in ([p[0] for p in pieces], [p[1] for p in pieces], [p[2] for p in pieces], [len(p[3]) for p in pieces], [zlib.crc32(p[3].tobytes()) for p in pieces], [p[4] for p in pieces], seq, offset)]
+            cols = [pa.array(c, pa.int64()) for c in ([p[0] for p in pieces], [p[1] for p in pieces], [p[2] for p in pieces], [len(p[3]) for p in pieces], [zlib.crc32(p[3]) for p in pieces], [p[4] for p in pieces], seq, offset)]
             if with_ids:
                 cols.append(pa.array([p[3].astype(np.int32) for p in pieces], pa.list_(pa.int32())))
             return pa.RecordBatch.from_arrays(cols, names + ["ids"] * with_ids)
 
+        def joined(pieces: list, way: np.ndarray) -> tuple[list, np.ndarray]:
+            """Pieces in order of their window, those that follow each other in a document and fell into one window as one again."""
+            out, own = [], []
+            for i in np.argsort(way, kind="stable").tolist():
+                row, doc, start, ids, total = pieces[i]
+                if out and own[-1] == way[i] and out[-1][0] == row and out[-1][2] + len(out[-1][3]) == start:
+                    out[-1] = (row, doc, out[-1][2], np.concatenate([out[-1][3], ids]), total)
+                else:
+                    out.append(pieces[i])
+                    own.append(way[i])
+            return out, np.array(own, np.int64)
+
         def flush() -> Iterator[pa.RecordBatch]:
             nonlocal whole, rest, next_id
             if whole:
                 yield emit(whole, next_id + np.arange(len(whole)), np.zeros(len(whole), np.int64))
                 next_id += len(whole)
             if rest:
-                size = np.array([len(p[3]) for p in rest], np.int64)
-                if cut:
-                    ways = -(-int(size.sum()) // capacity)
-                    parts = sorted(level(size, difference(size, ways), ways, capacity), key=lambda p: p[3])
-                else:
-                    way, ways = spread(size, capacity)
-                    parts = sorted(((i, 0, int(size[i]), int(way[i])) for i in range(len(size))), key=lambda p: p[3])
-                w, n = np.array([p[3] for p in parts]), np.array([b - a for _, a, b, _ in parts])
+                way, ways = spread(np.array([len(p[3]) for p in rest], np.int64), capacity)
+                pieces, w = joined(rest, way)
+                n = np.array([len(p[3]) for p in pieces], np.int64)
                 before = np.cumsum(n) - n
                 lead = np.flatnonzero(np.r_[True, w[1:] != w[:-1]])
                 base = np.zeros(ways, np.int64)
                 base[w[lead]] = before[lead]
-                pieces = [(rest[i][0], rest[i][1], rest[i][2] + a, rest[i][3][a:b], rest[i][4]) for i, a, b, _ in parts]
                 yield emit(pieces, next_id + w, before - base[w])
                 next_id += ways
             whole, rest = [], []
@@ -226,27 +211,28 @@ def _pack(path: str, capacity: int, end_id: int, group: int, with_ids: bool, cut
                 for i in range(hi - lo):
                     own = np.append(ids[off[i] : off[i + 1]], np.uint32(end_id)).astype("<u4")
                     total = len(own)
-                    for s in range(0, total, capacity):
-                        piece = (row[lo + i], doc[lo + i], s, own[s : s + capacity], total)
-                        (whole if len(piece[3]) == capacity else rest).append(piece)
-                if len(rest) >= group or len(whole) >= group:
-                    yield from flush()
+                    full = total - total % capacity
+                    whole += [(row[lo + i], doc[lo + i], s, own[s : s + capacity], total) for s in range(0, full, capacity)]
+                    rest += [(row[lo + i], doc[lo + i], s, own[s : s + most], total) for s in range(full, total, most)]
+                    if len(rest) >= group or len(whole) >= group:
+                        yield from flush()
         yield from flush()
 
     return run
 
 
-def pack(docs: DataFrame, tokenizer_path: str, capacity: int = 2048, end_id: int = 1, group: int = GROUP_PIECES, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False, cut: bool = True) -> DataFrame:
+def pack(docs: DataFrame, tokenizer_path: str, capacity: int = 2048, end_id: int = 1, group: int = GROUP_PIECES, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
     """Pieces of all documents in sequences of at most `capacity` ids: row_id, doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset (and ids).
 
-    A document longer than a sequence fills whole sequences first; what is left of documents is spread by
-    differencing over the fewest windows that hold it. With cut, what stands above a window's capacity is cut off and
-    fills others, so that a group wastes less than one window; without, the window count rises until none is over full. Null and empty texts are one end id. No shuffle: each task
-    packs its own rows in groups of `group` pieces, so memory is bounded by a group and one text. Ids repeat when
-    a task is run again, as they come from the partition. Repeated rows are packed each, under their own row_id.
+    A document longer than a sequence fills whole sequences first. What is left is cut to a quarter of a sequence and spread by
+    multiway differencing over the fewest windows that could hold it; their number rises whenever one is over full, so
+    windows come out near equal. Pieces of one document that meet in a window in order are one. Null and empty texts
+    are one end id. No shuffle: each task packs its own rows in groups of `group` pieces, so memory is bounded by a
+    group and one text. Ids repeat when a task is run again, as they come from the partition. Repeated rows are packed
+    each, under their own row_id; an empty table gives no pieces; other columns of docs are not read.
     """
     rows = docs.select(F.monotonically_increasing_id().alias("row_id"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    return rows.mapInArrow(_pack(tokenizer_path, capacity, end_id, group, with_ids, cut), _SCHEMA + ", ids array<int>" * with_ids)
+    return rows.mapInArrow(_pack(tokenizer_path, capacity, end_id, group, with_ids), _SCHEMA + ", ids array<int>" * with_ids)
 
 
 def op4_packing(spark, sf_dir: str) -> DataFrame:

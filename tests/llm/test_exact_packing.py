@@ -47,15 +47,39 @@ def test_pack_round_trip(spark):
     path = P.path("word_bpe_49k.json")
     texts = ["Hello World's end\x1cX", "", None, "é é <|endoftext|> don't 123", "word " * 5000, "  \n\t ", "ÀB c" * 700]
     docs = spark.createDataFrame([(i // 2, t, "x", "y") for i, t in enumerate(texts)], "doc_id long, text string, start string, offset string").coalesce(1)
-    for cut in (True, False):
-        check_pieces(packing.pack(docs, path, with_ids=True, cut=cut).collect(), texts, Tokenizer.from_file(path))
+    for group in (packing.GROUP_PIECES, 5):
+        check_pieces(packing.pack(docs, path, with_ids=True, group=group).collect(), texts, Tokenizer.from_file(path))
     assert packing.pack(docs.limit(0), path).count() == 0
 
 
-def test_level_cuts_only_what_is_over():
-    sizes, way = np.array([5, 4, 3, 2]), np.array([0, 0, 1, 1])
-    parts = packing.level(sizes, way, 2, 7)
-    assert sorted(parts) == [(0, 0, 5, 0), (1, 0, 2, 0), (1, 2, 4, 1), (2, 0, 3, 1), (3, 0, 2, 1)]
+def differenced(sizes, ways):
+    """Plain multiway differencing on full tuples, zeros for empty ways."""
+    parts = [(-int(x), i, [0] * (ways - 1) + [int(x)]) for i, x in enumerate(sizes)]
+    serial = len(parts)
+    while len(parts) > 1:
+        parts.sort()
+        a, b = parts[0][2], parts[1][2]
+        s = sorted(x + y for x, y in zip(a, b[::-1]))
+        parts = parts[2:] + [(s[0] - s[-1], serial, s)]
+        serial += 1
+    return parts[0][2]
+
+
+def test_difference_equals_the_plain_form():
+    rng = np.random.default_rng(8)
+    for n, ways in ((1, 3), (7, 3), (40, 4), (90, 17), (200, 23)):
+        sizes = rng.integers(1, 500, n)
+        way = packing.difference(sizes, ways)
+        assert sorted(np.bincount(way, weights=sizes, minlength=ways).astype(int)) == differenced(sizes, ways)
+
+
+def test_windows_rise_and_stay_near_equal():
+    rng = np.random.default_rng(5)
+    sizes = rng.integers(1, 513, 3000)
+    way, ways = packing.spread(sizes, 2048)
+    sums, least = np.bincount(way, weights=sizes, minlength=ways), -(-int(sizes.sum()) // 2048)
+    assert sums.max() <= 2048 and sums.max() - sums.min() < 40 and least <= ways <= 1.02 * least + 1
+    assert packing.spread(np.array([1500, 1500, 1500]), 2048)[1] == 3  # two could hold the sum, not the items
 
 
 def check_pieces(got, texts, t):
