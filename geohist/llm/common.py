@@ -41,6 +41,14 @@ def row_id() -> Column:
     return F.monotonically_increasing_id()
 
 
+def free_name(df: DataFrame, name: str) -> str:
+    """The name, with underscores added until no column of df has it (names differ by more than case)."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def as_strings(col: pa.Array) -> pa.Array:
     """Null texts count as empty."""
     col = col.cast(pa.large_string()) if col.type != pa.large_string() else col

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import hashlib
 import json
-import os
 import tempfile
 from collections.abc import Iterator
 
@@ -14,7 +13,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from geohist.llm.common import SPACES, row_id, stored
+from geohist.llm.common import SPACES, free_name, row_id, stored
 
 #: Bytes of keys that a trie holds before it spills its largest subtree.
 TRIE_BYTES = 128_000_000
@@ -35,31 +34,32 @@ def _shared_prefix(a: bytes, at: int, label: bytes) -> int:
 
 
 class _Node:
-    __slots__ = ("label", "kids", "owner")
+    __slots__ = ("label", "kids", "owner", "gone")
 
     def __init__(self, label: bytes, owner=None):
-        self.label, self.kids, self.owner = label, {}, owner
+        self.label, self.kids, self.owner, self.gone = label, {}, owner, None
 
 
 class OwnerTrie:
-    """Compressed radix trie from byte strings to owners; the largest subtree goes to disk beyond a bound.
+    """Compressed radix trie from byte strings to owners; beyond a bound the largest subtrees go to files without a name.
 
-    An owner is [rank, slots, count]: rank is the smallest tuple seen, so ties go to the smallest identifier.
+    An owner is [rank, slots, count]: rank is the smallest tuple seen, so ties go to the smallest identifier. Subtrees
+    leave below the first node that branches, however long the prefix that all strings share, and each is
+    later read into a trie of its own; the system removes the files when they are read or the task dies.
     """
 
     def __init__(self, limit: int = TRIE_BYTES):
-        self.root, self.limit, self.held, self.spilled = _Node(b""), limit, 0, {}
+        self.root, self.limit, self.held, self.spilled = _Node(b""), limit, 0, []
 
-    def add(self, key: bytes, rank: tuple, slot: int, count: int) -> None:
-        first = key[:1]
-        if first in self.spilled:
-            self._to_disk(first, key, rank, [slot], count)
-            return
+    def add(self, key: bytes, rank: tuple, slots: list[int], count: int) -> None:
         node, at = self.root, 0
         while at < len(key):
             kid = node.kids.get(key[at])
             if kid is None:
-                kid = node.kids[key[at]] = _Node(key[at:], [rank, [slot], count])
+                if node.gone and key[at] in node.gone:
+                    self._to_disk(node.gone[key[at]], key[at + 1 :], rank, slots, count)
+                    return
+                node.kids[key[at]] = _Node(key[at:], [rank, list(slots), count])
                 self.held += len(key) - at + 200
                 if self.held > self.limit:
                     self._spill()
@@ -74,9 +74,9 @@ class OwnerTrie:
                 self.held += 200
             node, at = kid, at + n
         if node.owner is None:
-            node.owner = [rank, [slot], count]
+            node.owner = [rank, list(slots), count]
         else:
-            self._merge(node.owner, rank, [slot], count)
+            self._merge(node.owner, rank, slots, count)
 
     @staticmethod
     def _merge(owner: list, rank: tuple, slots: list[int], count: int) -> None:
@@ -101,37 +101,45 @@ class OwnerTrie:
         return total
 
     def _spill(self) -> None:
-        """Write the largest subtree below the root to a task-local file, for a later pass of its own."""
-        b = max(self.root.kids, key=lambda k: self._size(self.root.kids[k]))
-        kid = self.root.kids.pop(b)
-        self.held -= self._size(kid)
-        first = bytes([b])
-        handle, path = tempfile.mkstemp(suffix=".subtree")
-        os.close(handle)
-        self.spilled[first] = path
-        for key, owner in self._walk(kid, kid.label):
-            self._to_disk(first, key, owner[0], owner[1], owner[2])
-
-    def _to_disk(self, first: bytes, key: bytes, rank: tuple, slots: list[int], count: int) -> None:
-        with open(self.spilled[first], "ab") as f:
-            head = json.dumps([len(key), rank, slots, count]).encode()
-            f.write(len(head).to_bytes(4, "big") + head + key)
+        """Write the largest subtrees below the first branching node to files, until half the bound is free; a single string stays."""
+        top = self.root
+        while top.owner is None and not top.gone and len(top.kids) == 1:
+            (top,) = top.kids.values()
+        sizes = sorted(((self._size(k), b) for b, k in top.kids.items()), reverse=True)
+        if top.owner is None and not top.gone and len(sizes) < 2:
+            return
+        for size, b in sizes:
+            if self.held <= self.limit // 2:
+                break
+            kid = top.kids.pop(b)
+            self.held -= size
+            file = tempfile.TemporaryFile()  # noqa: SIM115  unlinked from the start, read back by owners()
+            top.gone = {**(top.gone or {}), b: file}
+            self.spilled.append(file)
+            for key, owner in self._walk(kid, kid.label[1:]):
+                self._to_disk(file, key, *owner)
+
+    @staticmethod
+    def _to_disk(file, key: bytes, rank: tuple, slots: list[int], count: int) -> None:
+        head = json.dumps([len(key), rank, slots, count]).encode()
+        file.write(len(head).to_bytes(4, "big") + head + key)
 
     def owners(self) -> Iterator[list]:
-        """All owners; spilled subtrees are read back one at a time, below the byte they share."""
-        for _, owner in self._walk(self.root, b""):
-            yield owner
-        self.root = _Node(b"")
-        for path in self.spilled.values():
-            sub = OwnerTrie(self.limit)
-            with open(path, "rb") as f:
-                while head := f.read(4):
-                    length, rank, slots, count = json.loads(f.read(int.from_bytes(head, "big")))
-                    key = f.read(length)[1:]
-                    for i, s in enumerate(slots):
-                        sub.add(key, tuple(rank), s, count if i == 0 else 0)
-            os.unlink(path)
-            yield from sub.owners()
+        """All owners; spilled subtrees are read back one at a time, below the bytes they share."""
+        todo = [self]
+        while todo:
+            trie = todo.pop()
+            if not isinstance(trie, OwnerTrie):
+                file, trie = trie, OwnerTrie(self.limit)
+                file.seek(0)
+                while head := file.read(4):
+                    length, rank, slots, count = json.loads(file.read(int.from_bytes(head, "big")))
+                    trie.add(file.read(length), tuple(rank), slots, count)
+                file.close()
+            for _, owner in trie._walk(trie.root, b""):
+                yield owner
+            trie.root = _Node(b"")
+            todo.extend(trie.spilled)
 
 
 _LOCAL = "row long, doc_id long, slot long, n_chars long, sha string, key_len long, key_hash long, content binary, rank_chars long, rank_id long, rank_row long, rows long"
@@ -183,7 +191,7 @@ def _local_owners(limit: int):
                 key = t.encode("utf-8", "surrogatepass").translate(None, SPACES)
                 i = len(keys)
                 keys[i] = (row, doc, len(t))
-                trie.add(key, (-len(t), _BIG if doc is None else doc, row), i, 1)
+                trie.add(key, (-len(t), _BIG if doc is None else doc, row), [i], 1)
             if trie.held > limit or len(keys) > 500_000:
                 yield from flush()
         yield from flush()
@@ -197,7 +205,7 @@ def _global_owners(limit: int):
         for b in batches:
             slot, chars, doc, row, n = (b.column(c).to_pylist() for c in ("slot", "rank_chars", "rank_id", "rank_row", "rows"))
             for i, key in enumerate(b.column("content")):
-                trie.add(key.as_py(), (-chars[i], _BIG if doc[i] is None else doc[i], row[i]), slot[i], n[i])
+                trie.add(key.as_py(), (-chars[i], _BIG if doc[i] is None else doc[i], row[i]), [slot[i]], n[i])
         out: list[list] = [[], [], [], []]
         for (_, doc, row), slots, n in trie.owners():
             for s in slots:
@@ -233,7 +241,7 @@ def exact_owners(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 def drop_exact(docs: DataFrame, **options) -> DataFrame:
     """docs without the rows that exact_owners drops; all columns stay as they are."""
-    mark = "__row__"
+    mark = free_name(docs, "row_mark")
     marked = docs.withColumn(mark, row_id())
     keep = exact_owners(docs, **options).where("kept").select(F.col("row_id").alias(mark))
     return marked.join(keep, mark, "left_semi").drop(mark)

@@ -12,11 +12,33 @@ def test_trie_spills_and_keeps_owners():
     words = [b"", b"a", b"ab", b"abc", b"b", b"abd", b"abc", b"", b"bcd" * 30, b"bcd" * 30, b"bce"]
     for t in (big, small):
         for i, w in enumerate(words):
-            t.add(w, (-1, i, i), i, 1)
+            t.add(w, (-1, i, i), [i], 1)
     assert small.spilled
     assert sorted(map(repr, big.owners())) == sorted(map(repr, small.owners()))
 
 
+def test_trie_spills_below_a_long_shared_prefix():
+    head = b"h" * 2000
+    keys = [head + bytes([i]) * 40 + bytes([j]) for i in range(60) for j in range(3)] * 2
+    big, small = exact.OwnerTrie(), exact.OwnerTrie(5000)
+    for t in (big, small):
+        for i, w in enumerate(keys):
+            t.add(w, (-1, i, i), [i], 1)
+    assert len(small.spilled) > 1
+    tidy = lambda t: sorted((o[0], sorted(o[1]), o[2]) for o in t.owners())
+    assert tidy(big) == tidy(small)
+    one = exact.OwnerTrie(100)
+    one.add(b"x" * 5000, (-1, 1, 1), [1], 1)
+    one.add(b"x" * 5000, (-1, 0, 0), [0], 1)
+    assert [o[0] for o in one.owners()] == [(-1, 0, 0)]
+
+
+def test_drop_exact_keeps_columns_of_any_name(spark):
+    docs = spark.createDataFrame([(1, "a", 7, 8), (2, " a", 9, 10), (3, None, 1, 2)], "doc_id long, text string, row_mark long, __row__ long")
+    got = exact.drop_exact(docs)
+    assert got.columns == docs.columns and sorted(tuple(r) for r in got.collect()) == [(2, " a", 9, 10), (3, None, 1, 2)]
+
+
 def test_exact_cases(spark):
     rows = [(3, "a b", "x", "y"), (1, "ab", "x", "y"), (2, " a b ", None, None), (2, " a b ", None, None), (4, None, "", ""), (5, "\n", "", ""), (None, "zz", "", ""), (7, "zz", "", ""), (8, "long " * 50_000, "", "")]
     docs = spark.createDataFrame(rows, SCHEMA)
