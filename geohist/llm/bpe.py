@@ -13,8 +13,8 @@ from pyspark.sql import functions as F
 
 from geohist.llm.common import as_strings, steps
 
-#: Distinct pre-tokens that a worker keeps encoded; beyond it the table starts anew.
-KNOWN_PIECES = 400_000
+#: Distinct pre-tokens that a worker keeps encoded, and their characters; beyond either the table starts anew.
+KNOWN_PIECES, KNOWN_CHARS = 400_000, 16_000_000
 
 #: The pre-token pattern of this family of vocabularies.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -69,6 +69,7 @@ class BpeCodec:
             self.pair.setdefault((age[a], age[b]), age[a + b])
         self.length = [len(t) for t in self.text]
         self.special = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
+        self.added = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")")
         by_text = {t: i for i, t in enumerate(self.text)}
         self.shorter = [next((by_text[t[:k]] for k in range(len(t) - 1, 0, -1) if t[:k] in by_text), -1) for t in self.text]
         self.automaton = ahocorasick.Automaton()
@@ -90,7 +91,7 @@ class BpeCodec:
             def __missing__(self, piece: str) -> int:
                 return codec._learn(piece)
 
-        self.known, self.flat, self.sizes, self.digits = Known(), [], [], []
+        self.known, self.flat, self.sizes, self.digits, self.chars = Known(), [], [], [], 0
 
     def fits(self, a: int, b: int) -> bool:
         """Whether tokens a, b may stand side by side in an encoding; remembered in the compatibility table."""
@@ -167,6 +168,7 @@ class BpeCodec:
         special = self.special.get(piece[1:]) if piece[:1] == "\0" else None  # see pieces()
         ids = [special] if special is not None else [self.ids[t] for t in self.encode_piece(piece.encode("utf-8", "surrogatepass").decode("latin-1"))]
         i = self.known[piece] = len(self.sizes)
+        self.chars += len(piece)
         self.flat.append(np.array(ids, np.uint32))
         self.sizes.append(len(ids))
         self.digits.append("".join(f"{x}," for x in ids).encode())
@@ -174,10 +176,14 @@ class BpeCodec:
 
     def pieces(self, text: str) -> list[str]:
         """Pre-tokens; an added token is marked by a leading NUL, which no other pre-token of its name has."""
-        for s in self.special:
-            if s in text:
-                head, _, tail = text.partition(s)
-                return self.pieces(head) + ["\0" + s] + self.pieces(tail)
+        if not any(s in text for s in self.special):
+            return self._plain(text)
+        out: list[str] = []
+        for i, part in enumerate(self.added.split(text)):  # every second one is an added token
+            out += ["\0" + part] if i % 2 else self._plain(part)
+        return out
+
+    def _plain(self, text: str) -> list[str]:
         if not text.isascii():
             for c in set(text) - self.checked:
                 s = f"a{c}1{c}!"
@@ -197,7 +203,7 @@ class BpeCodec:
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
         """Ids of all texts laid end to end, n+1 offsets, and each text's ids as decimals with a comma after each."""
-        if len(self.known) > KNOWN_PIECES:
+        if len(self.known) > KNOWN_PIECES or self.chars > KNOWN_CHARS:
             self._forget()
         get = self.known.__getitem__
         index = [np.fromiter(map(get, self.pieces(t)), np.int64) for t in texts]
@@ -232,7 +238,10 @@ def codec(path: str) -> BpeCodec:
 
 
 def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_tokens, ids array<int>) of every row; null and empty texts have no tokens."""
+    """(doc_id, n_tokens, ids array<int>) of every row; null and empty texts have no tokens.
+
+    Repeated rows and ids are encoded each on its own; an empty table gives an empty result; other columns are not read.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = codec(path)

@@ -52,16 +52,24 @@ class Network:
         return both @ self.weights + self.shift
 
 
-def cut_chunks(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Overlapping chunks that cover every text whole (the last is filled with zero bytes), and each text's first chunk."""
-    size = np.diff(off)
-    count = np.maximum(1, -(-(size - CHUNK + HOP) // HOP))
+def chunk_starts(off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Begin of each of the overlapping chunks that cover every text whole, the end of its text, and each text's first chunk."""
+    count = np.maximum(1, -(-(np.diff(off) - CHUNK + HOP) // HOP))
     first = np.cumsum(count) - count
-    begin = np.repeat(off[:-1], count) + (np.arange(count.sum()) - np.repeat(first, count)) * HOP
+    return np.repeat(off[:-1], count) + (np.arange(count.sum()) - np.repeat(first, count)) * HOP, np.repeat(off[1:], count), first
+
+
+def chunks_at(raw: np.ndarray, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """The chunks of these begins; the last of a text is filled with zero bytes."""
     at = begin[:, None] + np.arange(CHUNK)
-    inside = at < np.repeat(off[1:], count)[:, None]
-    padded = np.append(raw, np.uint8(0))
-    return np.where(inside, padded[np.minimum(at, len(raw))], np.uint8(0)), first
+    inside = at < end[:, None]
+    return np.where(inside, raw[np.minimum(at, len(raw) - 1)], np.uint8(0)) if len(raw) else np.zeros(at.shape, np.uint8)
+
+
+def cut_chunks(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All chunks of the texts, and each text's first chunk."""
+    begin, end, first = chunk_starts(off)
+    return chunks_at(raw, begin, end), first
 
 
 def fit(samples: list[tuple[np.ndarray, int]], epochs: int | None = None, batch: int = 32, rate: float = 0.01, seed: int = 7) -> Network:
@@ -149,10 +157,11 @@ def training_sample(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS,
         for b in batches:
             texts, out = as_strings(b.column(1)), []
             for i in range(len(texts)):
-                c, _ = cut_chunks(*byte_view(texts.slice(i, 1)))
-                if len(c) > chunks:
-                    c = c[np.linspace(0, len(c) - 1, chunks).astype(int)]
-                out.append(c.tobytes())
+                raw, off = byte_view(texts.slice(i, 1))
+                begin, end, _ = chunk_starts(off)
+                if len(begin) > chunks:
+                    begin = begin[np.linspace(0, len(begin) - 1, chunks).astype(int)]
+                out.append(chunks_at(raw, begin, end[: len(begin)]).tobytes())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary()), b.column(2)], ["doc_id", "chunks", "label"])
 
     rows_ = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).join(F.broadcast(chosen), "doc_id")  # at most `rows` small rows
@@ -168,7 +177,11 @@ def train(docs: DataFrame, labels: DataFrame, **options) -> Network | None:
 
 
 def with_score(docs: DataFrame, net: Network | None, score_col: str = "score", text_col: str = "text") -> DataFrame:
-    """docs and a score from 0 to 1, of the whole text only; null counts as empty, and empty texts get a score too."""
+    """docs and a score from 0 to 1, of the whole text only; null counts as empty, and empty texts get a score too.
+
+    Repeated rows get the same score each; an empty table stays empty. A score column that docs has already is refused
+    (`common.free_name` gives one that it has not).
+    """
     if score_col in docs.columns:
         raise ValueError(f"column {score_col} exists")
     if net is None:
@@ -181,8 +194,8 @@ def with_score(docs: DataFrame, net: Network | None, score_col: str = "score", t
             texts, scores = as_strings(b.column(at)), []
             for lo, hi in steps(texts, 500_000):
                 raw, off = byte_view(texts.slice(lo, hi - lo))
-                chunks, first = cut_chunks(raw, off)
-                pooled = net.pooled(chunks)
+                begin, end, first = chunk_starts(off)
+                pooled = np.concatenate([net.pooled(chunks_at(raw, begin[i : i + 1024], end[i : i + 1024])) for i in range(0, len(begin), 1024)])  # a very long text in parts
                 scores.append(1 / (1 + np.exp(-np.clip(net.logits(pooled, first).astype(np.float64), -60, 60))))
             score = pa.array(np.concatenate(scores) if scores else np.zeros(0))
             yield pa.RecordBatch.from_arrays([*b.columns, score], names=[*b.schema.names, score_col])

@@ -18,6 +18,10 @@ from geohist.llm.common import as_strings, steps
 _WORD = regex.compile(r"[\p{P}$+<=>^`|~]|[^\p{P}$+<=>^`|~\s]+")
 
 
+#: Characters of a run that is remembered at most: with the number of runs this bounds a worker's memory.
+LONG = 64
+
+
 class CountingMatcher:
     """Number of word pieces of a word, without building them.
 
@@ -100,7 +104,9 @@ _MATCHERS: dict[str, tuple[CountingMatcher, dict[str, tuple[int, int, int]]]] =
 def count_tokens(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text", known: int = 400_000) -> DataFrame:
     """(doc_id, n_words, n_tokens, n_unknown) of every whole text; null and empty texts have none.
 
-    Each distinct run without white space is matched once in a worker (up to `known` runs are remembered).
+    Each distinct run without white space is matched once in a worker (up to `known` runs are remembered, none of over
+    LONG characters). Repeated rows and ids are counted each on its own; an empty table gives an empty result; other
+    columns are not read, whatever their names.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -129,7 +135,9 @@ def count_tokens(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_
                 for w in coded.dictionary.to_pylist():
                     got = seen.get(w)
                     if got is None:
-                        got = seen[w] = measured(w)
+                        got = measured(w)
+                        if len(w) <= LONG:
+                            seen[w] = got
                     table.append(got)
                 per = np.array(table, np.int64).reshape(-1, 3)[coded.indices.to_numpy(zero_copy_only=False)] if table else np.zeros((0, 3), np.int64)
                 total = np.concatenate([np.zeros((1, 3), np.int64), np.cumsum(per, axis=0)])
