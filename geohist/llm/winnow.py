@@ -18,11 +18,29 @@ def _entry(h: Column, at: Column) -> Column:
     return F.shiftleft(h, _BITS).bitwiseOR(F.lit(_MASK) - at.bitwiseAND(F.lit(_MASK)).cast("long"))
 
 
+def _turned(h: Column, by: int) -> Column:
+    """The bits of a long, turned left."""
+    return F.shiftleft(h, by).bitwiseOR(F.shiftrightunsigned(h, 64 - by)) if by else h
+
+
+def rolling(h: Column, at: Column, first: Column) -> Column:
+    """Cyclic-polynomial hash of the GRAM tokens from `at` on: their hashes, each turned by one bit less than the one before it, exclusive-ored.
+
+    From one gram to the next it rolls: turned by one bit, without the token that leaves (turned GRAM bits) and with the
+    one that enters. Array functions carry no state from element to element, so its GRAM terms are put together here.
+    """
+    out = _turned(first, GRAM - 1)
+    for j in range(1, GRAM):
+        out = out.bitwiseXOR(_turned(F.get(h, at + j), GRAM - 1 - j))
+    return out
+
+
 def with_fingerprint(df: DataFrame, text_col: str, out: str) -> DataFrame:
     """df and a column of selected grams (array<long>, in text order) of a text column that holds no nulls.
 
     Rolling hashes of GRAM tokens; of each WINDOW consecutive grams the smallest is kept, the rightmost if tied. Texts
     of fewer tokens than a gram have one gram, the whole; of fewer grams than a window, one window; without tokens, none.
+    Positions are kept modulo 2^22: in texts of more tokens, of equal grams on both sides of a multiple the left one is kept.
     """
     # Each step is a column of its own, so that none is evaluated twice.
     t, h, g, m2, m4, m8 = (f"__{out}_{x}__" for x in ("t", "h", "g", "m2", "m4", "m8"))
@@ -30,7 +48,7 @@ def with_fingerprint(df: DataFrame, text_col: str, out: str) -> DataFrame:
     kept = list(df.columns)
     df = df.withColumn(t, F.regexp_extract_all(F.col(text_col), F.lit(TOKEN), F.lit(0)))
     df = df.withColumn(h, F.transform(t, lambda x: F.xxhash64(x)))
-    rolled = F.transform(F.slice(h, F.lit(1), n - GRAM + 1), lambda x, i: _entry(F.xxhash64(x, *(F.get(F.col(h), i + j) for j in range(1, GRAM))), i))
+    rolled = F.transform(F.slice(h, F.lit(1), n - GRAM + 1), lambda x, i: _entry(rolling(F.col(h), i, x), i))
     df = df.withColumn(g, F.when(n >= GRAM, rolled).when(n > 0, F.array(_entry(F.xxhash64(h), F.lit(0)))).otherwise(F.array().cast("array<long>")))
     enough = F.size(g) >= WINDOW
     for source, target, step in ((g, m2, 1), (m2, m4, 2), (m4, m8, 4)):
@@ -50,9 +68,9 @@ def positions(grams: Column) -> Column:
     return F.transform(grams, lambda c: F.struct(F.shiftrightunsigned(c, _BITS).alias("hash"), (F.lit(_MASK) - c.bitwiseAND(F.lit(_MASK))).cast("int").alias("at")))
 
 
-def shown(grams: Column) -> Column:
-    """Fingerprint as short text, for reading only: the last eight hexadecimal digits of each hash, in order, without separators."""
-    return F.array_join(F.transform(grams, lambda c: F.lpad(F.hex(F.shiftrightunsigned(c, _BITS).bitwiseAND(F.lit(0xFFFFFFFF))), 8, "0")), "")
+def places(grams: Column) -> Column:
+    """The position of each hash that `whole` prints, array<int>."""
+    return F.transform(grams, lambda c: (F.lit(_MASK) - c.bitwiseAND(F.lit(_MASK))).cast("int"))
 
 
 def whole(grams: Column) -> Column:
@@ -68,7 +86,7 @@ def likeness(a: Column, b: Column) -> Column:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fingerprint array<struct<hash, at>>) of every row; null counts as empty."""
+    """(doc_id, fingerprint array<struct<hash, at>>) of every row; null counts as empty, repeated rows come out as often, other columns are not read."""
     rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     return with_fingerprint(rows, "text", "grams").select("doc_id", positions(F.col("grams")).alias("fingerprint"))
 
@@ -133,4 +151,15 @@ def edited_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 def op3_fingerprint(spark, sf_dir: str) -> DataFrame:
     pairs = edited_pairs(spark.read.parquet(f"{sf_dir}/documents.parquet"))
-    return pairs.select("doc_id", "n_chars", "edited_sha256", whole(F.col("grams")).alias("fingerprint"), whole(F.col("edited_grams")).alias("edited_fingerprint"), "near_edited", "near_next")
+    grams, edited = F.col("grams"), F.col("edited_grams")
+    return pairs.select(
+        "doc_id",
+        "n_chars",
+        "edited_sha256",
+        whole(grams).alias("fingerprint"),
+        whole(edited).alias("edited_fingerprint"),
+        "near_edited",
+        "near_next",
+        places(grams).alias("fingerprint_at"),
+        places(edited).alias("edited_fingerprint_at"),
+    )

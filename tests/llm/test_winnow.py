@@ -21,10 +21,26 @@ def chain(values):
     return h
 
 
+def turn(v, by):
+    return (v << by | v >> 64 - by) & (2**64 - 1)
+
+
+def rolled(h, k):
+    """Each gram's hash from the one before it."""
+    now = 0
+    for v in h[:k]:
+        now = turn(now, 1) ^ v
+    out = [now]
+    for old, new in zip(h, h[k:]):
+        now = turn(now, 1) ^ turn(old, k) ^ new
+        out.append(now)
+    return out
+
+
 def grams(text):
     h = [x(t.encode()) for t in TOKEN.findall(text)]
     k, w = winnow.GRAM, winnow.WINDOW
-    g = [chain(h[i : i + k]) for i in range(len(h) - k + 1)] if len(h) >= k else [chain(h)] if h else []
+    g = rolled([v % 2**64 for v in h], k) if len(h) >= k else [chain(h)] if h else []
     g = [v % 2**64 & (2**42 - 1) for v in g]
     key = lambda i: (g[i] - 2**42 if g[i] >= 2**41 else g[i], -i)
     out = []
@@ -46,14 +62,14 @@ def test_equals_brute_force(spark):
     rows += [(1, None), (2, ""), (4, "same same"), (5, "same same"), (10_000_000, "w " * 20_000), (7, "x"), (None, "last of all")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     texts = [(d, t or "") for d, t in sorted(rows, key=lambda r: 2**62 if r[0] is None else r[0])]
-    got = {r["doc_id"]: r for r in winnow.edited_pairs(docs).withColumn("f", winnow.shown(winnow.F.col("grams"))).withColumn("e", winnow.shown(winnow.F.col("edited_grams"))).collect()}
+    got = {r["doc_id"]: r for r in winnow.edited_pairs(docs).withColumn("f", winnow.whole(winnow.F.col("grams"))).withColumn("e", winnow.whole(winnow.F.col("edited_grams"))).withColumn("at", winnow.places(winnow.F.col("grams"))).collect()}
     assert len(got) == len(rows)
     for (d, t), (_, nxt) in zip(texts, texts[1:] + texts[:1]):
         half = len(t) // 2
         edited = t[: len(t) - half] + nxt[:half]
         r = got[d]
         assert r["n_chars"] == len(t) and r["edited_sha256"] == hashlib.sha256(edited.encode()).hexdigest()
-        assert r["f"] == "".join(f"{h & 0xFFFFFFFF:08X}" for h, _ in grams(t)) and r["e"] == "".join(f"{h & 0xFFFFFFFF:08X}" for h, _ in grams(edited))
+        assert r["f"] == "".join(f"{h:011X}" for h, _ in grams(t)) and r["e"] == "".join(f"{h:011X}" for h, _ in grams(edited)) and r["at"] == [at for _, at in grams(t)]
         assert abs(r["near_edited"] - like(grams(t), grams(edited))) < 1e-12 and abs(r["near_next"] - like(grams(t), grams(nxt))) < 1e-12
     real = {r["doc_id"]: [(y["hash"], y["at"]) for y in r["fingerprint"]] for r in winnow.fingerprints(docs).collect()}
     assert all(real[d] == grams(t) for d, t in texts)
