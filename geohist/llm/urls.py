@@ -44,21 +44,23 @@ def tokens_of(url: Column) -> Column:
     return F.array_distinct(items)
 
 
-def mine_rules(labelled: DataFrame, min_support: float = 0.002, min_confidence: float = 0.6, min_lift: float = 1.5) -> DataFrame:
+def mine_rules(labelled: DataFrame, min_support: float = 0.002, min_confidence: float = 0.6, min_lift: float = 1.5, min_rows: int = 20) -> DataFrame:
     """Rules (rule_tokens, confidence, support) whose URLs are mostly bad, from (url, bad boolean) rows.
 
     FP-growth over the items of each labelled URL and the item of its label; rules that conclude the label stay
-    if support, confidence and lift reach their bounds and no shorter rule inside them is as sure. No labelled
-    rows, or none that pass, give no rules.
+    if support, confidence and lift reach their bounds and no shorter rule inside them is as sure. A rule needs
+    min_support of all labelled rows and min_rows of them, so that few rows make no rule. No labelled rows, or none
+    that pass, give no rules; null URLs and labels are left out, repeated rows count each.
     """
     from pyspark.ml.fpm import FPGrowth
 
     spark = labelled.sparkSession
     schema = "rule_tokens array<string>, confidence double, support double"
     baskets = labelled.where("url is not null and bad is not null").select(F.when(F.col("bad"), F.array_append(tokens_of(F.col("url")), F.lit(BAD))).otherwise(tokens_of(F.col("url"))).alias("items")).where("size(items) > 0")
-    if baskets.isEmpty():
+    n = baskets.count()
+    if n < min_rows:
         return spark.createDataFrame([], schema)
-    model = FPGrowth(itemsCol="items", minSupport=min_support, minConfidence=min_confidence).fit(baskets)
+    model = FPGrowth(itemsCol="items", minSupport=max(min_support, (min_rows - 0.5) / n), minConfidence=min_confidence).fit(baskets)
     rules = model.associationRules.where(F.col("consequent") == F.array(F.lit(BAD))).where(F.coalesce(F.col("lift"), F.lit(0.0)) >= min_lift)
     rules = rules.select(F.array_sort("antecedent").alias("rule_tokens"), "confidence", "support")
     parts = rules.select("rule_tokens", "confidence", "support", F.explode("rule_tokens").alias("token"))
@@ -92,7 +94,8 @@ def judge(pages: DataFrame, mined: DataFrame, rules: Sequence[tuple[str, str, st
     """One row for each row of pages: page_id, host, path, rule, verdict, url_confidence.
 
     The longest hand-made rule decides; without one a URL that a mined rule fits is blocked. Null and empty URLs,
-    and those without ://, have empty host and path and are allowed. Each row is judged by its own URL, whatever its page_id.
+    and those without ://, have empty host and path and are allowed. Each row is judged by its own URL, whatever its page_id,
+    and repeated rows come out as often; other columns are not read, whatever their names; an empty table gives an empty result.
     """
     url = F.col(url_col)
     base = pages.select(F.col(id_col).alias("page_id"), url.alias("url"), host_of(url).alias("host"), path_of(url).alias("path"), F.when(url.isNotNull(), tokens_of(url)).alias("items"))
