@@ -1,4 +1,8 @@
-"""A training corpus from documents: rejects low quality, drops copies and near copies, cuts repeated passages, packs tokens."""
+"""A training corpus from documents: rejects low quality, drops copies and near copies, cuts repeated passages, packs tokens.
+
+Every stage takes null and empty texts (as empty), repeated rows and ids (told apart by their place), ties (each stage
+says which row stays), empty tables, and further columns of any name, which come out as they went in.
+"""
 
 from __future__ import annotations
 
@@ -7,15 +11,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from geohist.llm import exact, jaccard, packing, quality, substring
-from geohist.llm.common import row_id, stored
-
-_SCORE, _ROW = "__score__", "__row__"
+from geohist.llm.common import free_name, row_id, stored
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the network, trained on labels of these documents, scores 0.7 or more."""
-    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
-    return quality.with_score(docs, quality.train(docs, labels), _SCORE).where(F.col(_SCORE) >= 0.7).drop(_SCORE)
+    """Documents that the network, trained on labels of these documents, scores 0.7 or more; null texts count as empty."""
+    labels, score = spark.read.parquet(f"{sf_dir}/labels.parquet"), free_name(docs, "score")
+    return quality.with_score(docs, quality.train(docs, labels), score).where(F.col(score) >= 0.7).drop(score)
 
 
 def drop_exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -26,17 +28,19 @@ def drop_exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def drop_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents linked by a similarity of 0.8 the smallest doc_id stays (null last, then the first row)."""
     found = jaccard.link_components(docs, counts=False).select("row", "doc_id", "component")
-    keep = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "row")).alias("x")).select(F.col("x.row").alias(_ROW))
-    return docs.withColumn(_ROW, row_id()).join(keep, _ROW, "left_semi").drop(_ROW)
+    row = free_name(docs, "row")
+    keep = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "row")).alias("x")).select(F.col("x.row").alias(row))
+    return docs.withColumn(row, row_id()).join(keep, row, "left_semi").drop(row)
 
 
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Words of windows that a document of smaller id has too are cut; n_chars follows. Other texts stay as they are."""
-    clean = substring.remove_repeats(docs, with_text=True).where("n_removed > 0").select(F.col("row").alias(_ROW), F.col("kept_text").alias("__text__"))
-    out = docs.withColumn(_ROW, row_id()).join(clean, _ROW, "left")
-    text = F.coalesce("__text__", "text")
-    new = {"text": text, "n_chars": F.when(F.col("__text__").isNotNull(), F.length("__text__").cast("long")).otherwise(F.col("n_chars"))}
-    return out.select(*(new[c].alias(c) if c in new else F.col(c) for c in docs.columns))
+    row, kept = free_name(docs, "row"), free_name(docs, "kept_text")
+    clean = substring.remove_repeats(docs, with_text=True).where("n_removed > 0").select(F.col("row").alias(row), F.col("kept_text").alias(kept))
+    out = docs.withColumn(row, row_id()).join(clean, row, "left")
+    length = F.when(F.col(kept).isNotNull(), F.length(kept).cast("long")).otherwise(F.col("n_chars")) if "n_chars" in docs.columns else None
+    new = {"text": F.coalesce(kept, "text"), "n_chars": length}
+    return out.select(*(new[c].alias(c) if c in new else F.col(f"`{c}`") for c in docs.columns))
 
 
 def pack_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
