@@ -9,7 +9,7 @@ import secrets
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-#: Published key of tests and examples; publish.write refuses it unless told that it tests.
+#: Published key of tests and registered queries, never a default: Release.write and sinks.write refuse it unless told that they test.
 TEST_SECRET = "public-test-key"
 
 #: L1 sensitivities: a count, the unevenness of a split, the rank utility of a median, a sum of positions per unit of extent.
@@ -27,7 +27,15 @@ def _c(x) -> Column:
     return x if isinstance(x, Column) else F.lit(x)
 
 
-def key_of(secret: str, *parts) -> Column:
+def held(secret: str | None) -> str:
+    """The secret, or an error: noise that anyone can draw again protects nothing, so no release has a default."""
+    if not secret:
+        raise ValueError("a release needs a secret of its own: noise.fresh_secret()")
+    return secret
+
+
+def key_of(secret: str | None, *parts) -> Column:
+    held(secret)
     return F.concat_ws("/", F.lit(secret), *(_c(p).cast("string") for p in parts))
 
 
@@ -67,7 +75,7 @@ def exponential_score(utility, eps, sensitivity, secret: str, *parts) -> Column:
 
 def uniform_of(secret: str, *parts) -> float:
     """keyed_uniform for code that runs inside a task."""
-    key = "/".join(map(str, (secret, *parts))).encode()
+    key = "/".join(map(str, (held(secret), *parts))).encode()
     return (int.from_bytes(hashlib.sha256(key).digest()[: _BITS // 8], "big") + 0.5) / float(1 << _BITS)
 
 

@@ -22,7 +22,7 @@ def _rows(frame: DataFrame, spec: GridSpec, mx, my, leaf: Column, value: Column,
     return out.select("tree_id", "leaf_id", "x0", "x1", "y0", "y1", ((F.col("x1") - F.col("x0")).cast("long") * (F.col("y1") - F.col("y0"))).alias("cells"), "ncount")
 
 
-def singular(fm: DataFrame, spec: GridSpec, eps: float, secret: str = noise.TEST_SECRET, tree_id: str = "singular", most_cells: int = MOST_CELLS) -> DataFrame:
+def singular(fm: DataFrame, spec: GridSpec, eps: float, secret: str | None = None, tree_id: str = "singular", most_cells: int = MOST_CELLS) -> DataFrame:
     """Noise on every cell, empty ones too."""
     if spec.cells > most_cells:
         raise ValueError(f"{spec.cells} dense cells; raise most_cells to allow them")
@@ -31,7 +31,7 @@ def singular(fm: DataFrame, spec: GridSpec, eps: float, secret: str = noise.TEST
     return _rows(cells, spec, spec.nx, spec.ny, leaf, noise.laplace(F.col("cnt"), 1 / eps, secret, tree_id, "cell", F.col("gx"), F.col("gy")), tree_id)
 
 
-def total_uniform(fm: DataFrame, spec: GridSpec, eps: float, secret: str = noise.TEST_SECRET, tree_id: str = "uniform") -> DataFrame:
+def total_uniform(fm: DataFrame, spec: GridSpec, eps: float, secret: str | None = None, tree_id: str = "uniform") -> DataFrame:
     """One noisy total over the whole domain."""
     n = fm.agg(F.coalesce(F.sum("cnt"), F.lit(0)).alias("cnt")).select(F.lit(0).alias("gx"), F.lit(0).alias("gy"), "cnt")
     return _rows(n, spec, 1, 1, F.lit(1), noise.laplace(F.col("cnt"), 1 / eps, secret, tree_id, "total"), tree_id)
@@ -52,7 +52,7 @@ def _dense_blocks(fm: DataFrame, spec: GridSpec, m: int) -> DataFrame:
     return blocks.join(coarser(fm, spec, m, m), ["gx", "gy"], "left").select("gx", "gy", F.coalesce("cnt", F.lit(0)).alias("cnt"))
 
 
-def uniform_grid(fm: DataFrame, spec: GridSpec, eps: float, c0: float = 10.0, eps_n: float = 1e-4, secret: str = noise.TEST_SECRET, tree_id: str = "ug", side: int | None = None) -> DataFrame:
+def uniform_grid(fm: DataFrame, spec: GridSpec, eps: float, c0: float = 10.0, eps_n: float = 1e-4, secret: str | None = None, tree_id: str = "ug", side: int | None = None) -> DataFrame:
     """An m by m grid whose side follows the noisy number of records; eps_n of the total pays for that number."""
     m = side or min(spec.nx, spec.ny, grid_side(noisy_total(fm, eps_n, secret, tree_id), eps, c0))
     blocks = _dense_blocks(fm, spec, m)
@@ -65,7 +65,7 @@ def adaptive_sides(noisy_count: float, eps: float) -> int:
     return max(10, math.ceil(math.sqrt(max(noisy_count, 0.0) * eps / 10) / 4))
 
 
-def adaptive_grid(fm: DataFrame, spec: GridSpec, eps: float, alpha: float = 0.5, eps_n: float = 1e-4, secret: str = noise.TEST_SECRET, tree_id: str = "ag", side: int | None = None) -> DataFrame:
+def adaptive_grid(fm: DataFrame, spec: GridSpec, eps: float, alpha: float = 0.5, eps_n: float = 1e-4, secret: str | None = None, tree_id: str = "ag", side: int | None = None) -> DataFrame:
     """Coarse blocks with noisy counts, each cut finer by its own count; both levels then made consistent.
 
     alpha of the budget pays for the first level. Blocks are cells of the base grid, so a second level is never finer than it.

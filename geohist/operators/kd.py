@@ -10,7 +10,7 @@ from geohist.operators import consistency, release, tree
 from geohist.operators.grid import GridSpec
 
 
-def publish(fm: DataFrame, spec: GridSpec, eps: float, height: int, allocation: str = "geo", split: str = "em_median", split_share: float = 0.15, growth: float = 2.0, smoothing: bool = True, secret: str = noise.TEST_SECRET, tree_id: str = "kd", mode: str = "auto", step=lambda df: df) -> DataFrame:
+def publish(fm: DataFrame, spec: GridSpec, eps: float, height: int, allocation: str = "geo", split: str = "em_median", split_share: float = 0.15, growth: float = 2.0, smoothing: bool = True, secret: str | None = None, tree_id: str = "kd", mode: str = "auto", step=lambda df: df) -> DataFrame:
     """Leaves of a tree of fixed height: split_share of the budget goes to splits (evenly over levels), the rest to counts.
 
     Midpoint splits read no data and cost nothing.

@@ -38,7 +38,7 @@ def split_regret(nodes: DataFrame, cells: DataFrame) -> DataFrame:
     cut = nodes.where("split_at is not null")
     prof = split.profile(cells, cut)
     low = F.when(F.col("axis") == 0, F.col("x0")).otherwise(F.col("y0"))
-    taken = split.unevenness(prof, cut, cut.select(*split.KEY, (F.col("split_at") - low).cast("int").alias("k"))).select(*split.KEY, F.col("o").alias("chosen"))
+    taken = split.unevenness(prof, cut, F.array((F.col("split_at") - low).cast("int"))).select(*split.KEY, F.col("o").alias("chosen"))
     best = split.exact(prof, cut).select(*split.KEY, F.col("value").alias("best"))
     return taken.join(best, split.KEY).withColumn("regret", F.when(F.col("best") > 0, F.col("chosen") / F.col("best")))
 

@@ -55,7 +55,7 @@ def rectangles(nodes: DataFrame, spec: GridSpec) -> DataFrame:
     return out.select("tree_id", F.col("node_id").alias("leaf_id"), *(F.col(c).cast("int").alias(c) for c in ("x0", "x1", "y0", "y1")), ((F.col("x1") - F.col("x0")).cast("long") * (F.col("y1") - F.col("y0"))).alias("cells"), "ncount")
 
 
-def noisy_counts(fm: DataFrame, spec: GridSpec, depth: int, eps: float, allocation: str = "geo", growth: float = 2.0, secret: str = noise.TEST_SECRET, tree_id: str = "quad") -> tuple[DataFrame, list[float]]:
+def noisy_counts(fm: DataFrame, spec: GridSpec, depth: int, eps: float, allocation: str = "geo", growth: float = 2.0, secret: str | None = None, tree_id: str = "quad") -> tuple[DataFrame, list[float]]:
     depth = min(depth, bits_of(spec))
     parts = budget.levels(eps, depth, allocation, growth)
     nodes = quad_counts(fm, spec, depth, tree_id)
@@ -63,7 +63,7 @@ def noisy_counts(fm: DataFrame, spec: GridSpec, depth: int, eps: float, allocati
     return nodes.withColumn("ncount", noise.laplace(F.col("cnt"), 1 / level, secret, F.col("tree_id"), "decide", F.col("node_id"))), parts
 
 
-def publish(fm: DataFrame, spec: GridSpec, depth: int, eps: float, allocation: str = "geo", growth: float = 2.0, smoothing: bool = True, secret: str = noise.TEST_SECRET, tree_id: str = "quad", step=lambda df: df) -> DataFrame:
+def publish(fm: DataFrame, spec: GridSpec, depth: int, eps: float, allocation: str = "geo", growth: float = 2.0, smoothing: bool = True, secret: str | None = None, tree_id: str = "quad", step=lambda df: df) -> DataFrame:
     """Leaf quadrants of a quadtree of `depth` levels below the root; the whole budget goes to counts."""
     nodes, parts = noisy_counts(fm, spec, depth, eps, allocation, growth, secret, tree_id)
     depth = len(parts) - 1

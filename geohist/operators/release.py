@@ -35,17 +35,17 @@ def drawn(nodes: DataFrame, parts: list[float], secret: str) -> DataFrame:
     return nodes.withColumn("decided", noise.laplace(F.col("cnt"), 1 / level, secret, F.col("tree_id"), "decide", F.col("node_id")))
 
 
-def all_nodes(nodes: DataFrame, parts: list[float], secret: str = noise.TEST_SECRET) -> DataFrame:
+def all_nodes(nodes: DataFrame, parts: list[float], secret: str | None = None) -> DataFrame:
     """Every node with a noisy count of its level's budget; budgets add along a path."""
     return drawn(nodes, parts, secret).withColumnRenamed("decided", "ncount")
 
 
-def leaves_only(nodes: DataFrame, eps_data: float, secret: str = noise.TEST_SECRET) -> DataFrame:
+def leaves_only(nodes: DataFrame, eps_data: float, secret: str | None = None) -> DataFrame:
     """Leaves with the whole budget."""
     return leaves(nodes).withColumn("ncount", noise.laplace(F.col("cnt"), 1 / eps_data, secret, F.col("tree_id"), "final", F.col("node_id")))
 
 
-def pruned(nodes: DataFrame, height: int, eps_data: float, stop: StopRule = StopRule(), allocation: str = "geo", growth: float = 2.0, secret: str = noise.TEST_SECRET, combine: bool = False) -> DataFrame:
+def pruned(nodes: DataFrame, height: int, eps_data: float, stop: StopRule = StopRule(), allocation: str = "geo", growth: float = 2.0, secret: str | None = None, combine: bool = False) -> DataFrame:
     """Published nodes: the first that stops on each path, with a count drawn from all its path has left.
 
     Every node's decision is drawn in one projection; a draw below a stopped node is never read or written, so it

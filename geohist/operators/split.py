@@ -32,10 +32,10 @@ def profile(cells: DataFrame, nodes: DataFrame) -> DataFrame:
     return joined.groupBy(*KEY, at.alias("pos"), "cnt").agg(F.count(F.lit(1)).alias("many"))
 
 
-def all_positions(nodes: DataFrame, allow_no_split: bool = False) -> DataFrame:
-    """(key..., k) of every position of each node."""
+def every_position(allow_no_split: bool = False) -> Column:
+    """All positions of a node, as an array."""
     last = extent() if allow_no_split else extent() - 1
-    return nodes.where(extent() > 1).select(*KEY, F.explode(F.sequence(F.lit(1), last)).alias("k"))
+    return F.when(last >= 1, F.sequence(F.lit(1), last)).otherwise(F.array().cast("array<int>"))
 
 
 def lattice_column(u: Column, rounds: int) -> Column:
@@ -56,26 +56,36 @@ def lattice_positions(nodes: DataFrame, rounds: int) -> DataFrame:
     return nodes.where(extent() > 1).select(*KEY, F.explode(lattice_column(extent(), rounds)).alias("k"))
 
 
-def unevenness(prof: DataFrame, nodes: DataFrame, positions: DataFrame) -> DataFrame:
-    """(key..., k, o): sum over both sides of the distance of each cell's count to its side's mean.
+def unevenness(prof: DataFrame, nodes: DataFrame, positions: Column) -> DataFrame:
+    """(key..., k, o): sum over both sides of the distance of each cell's count to its side's mean, for an ascending array of positions of each node.
 
-    Empty cells are not in the profile; they add their number times the mean. Positions of a node are few or as many
-    as its rows, so they are joined with the profile of the node only.
+    Positions cut a node's rows into strips. Cells of one count in one strip are one row, made by partial sums in each task,
+    so that even the root, a single key, is summed up before any shuffle. Running sums over the strips of each
+    count give the cells below every position; a position meets each distinct count once, never a cell. Empty cells
+    are not in the profile; they add their number times the mean.
     """
-    sizes = nodes.select(*KEY, extent().alias("u"), across().alias("v"))
-    whole = prof.groupBy(*KEY).agg(F.sum(F.col("cnt") * F.col("many")).alias("sum_all"), F.sum("many").alias("full_all"))
-    paired = positions.join(prof, KEY)
-    low = F.col("pos") <= F.col("k")
-    left = paired.groupBy(*KEY, "k").agg(F.sum(F.when(low, F.col("cnt") * F.col("many")).otherwise(0)).alias("sum_low"), F.sum(F.when(low, F.col("many")).otherwise(0)).alias("full_low"))
-    sides = positions.join(sizes, KEY).join(whole, KEY, "left").join(left, [*KEY, "k"], "left").na.fill(0, ["sum_all", "full_all", "sum_low", "full_low"])
+    at = nodes.select(*KEY, extent().alias("u"), across().alias("v"), positions.alias("ks")).where(F.size("ks") > 0)
+    last = F.size("ks")
+    dense = F.col("ks")[0] + last - 1 == F.element_at("ks", -1)  # every position from the first on: no search needed
+    strip = F.when(dense, F.greatest(F.lit(1), F.least(F.col("pos") - F.col("ks")[0] + 1, last + 1))).otherwise(F.size(F.filter("ks", lambda k: k < F.col("pos"))) + 1)
+    strips = prof.join(at, KEY).groupBy(*KEY, strip.cast("int").alias("strip"), "cnt").agg(F.sum("many").alias("many"), F.first(last).alias("last"))
+    same = W.partitionBy(*KEY, "cnt")
+    run = strips.withColumn("low", F.sum("many").over(same.orderBy("strip"))).withColumn("every", F.sum("many").over(same))
+    run = run.withColumn("next", F.lead("strip").over(same.orderBy("strip"))).withColumn("lead", F.lag("strip").over(same.orderBy("strip")).isNull())
+    piece = lambda begin, end, low: F.struct(begin.alias("begin"), F.least(end, F.col("last")).alias("end"), low.alias("low"))
+    none = F.lit(0).cast("long")
+    pieces = F.array(piece(F.col("strip"), F.coalesce(F.col("next") - 1, F.col("last")), F.col("low")), piece(F.lit(1), F.when(F.col("lead"), F.col("strip") - 1).otherwise(F.lit(0)), none))
+    each = run.select(*KEY, "cnt", "every", F.explode(F.filter(pieces, lambda p: p["begin"] <= p["end"])).alias("p"))
+    each = each.select(*KEY, F.explode(F.sequence("p.begin", "p.end")).alias("i"), "cnt", F.col("p.low").alias("low"), (F.col("every") - F.col("p.low")).alias("high"))
+    each = each.join(at, KEY).withColumn("k", F.element_at("ks", F.col("i"))).drop("ks", "i")
+    whole = W.partitionBy(*KEY, "k")
     a, b = F.col("k") * F.col("v"), (F.col("u") - F.col("k")) * F.col("v")
-    sides = sides.withColumn("mean_low", F.col("sum_low") / a).withColumn("mean_high", F.when(b > 0, (F.col("sum_all") - F.col("sum_low")) / b).otherwise(F.lit(0.0)))
-    empty = (a - F.col("full_low")) * F.col("mean_low") + (b - (F.col("full_all") - F.col("full_low"))) * F.col("mean_high")
-    sides = sides.withColumn("empty", empty).select(*KEY, "k", "mean_low", "mean_high", "empty")
-    off = sides.join(prof, KEY, "left").groupBy(*KEY, "k").agg(
-        F.coalesce(F.sum(F.col("many") * F.abs(F.col("cnt") - F.when(low, F.col("mean_low")).otherwise(F.col("mean_high")))), F.lit(0.0)).alias("off"), F.first("empty").alias("empty")
-    )
-    return off.select(*KEY, "k", (F.col("off") + F.col("empty")).alias("o"))
+    each = each.withColumn("mean_low", F.sum(F.col("cnt") * F.col("low")).over(whole) / a).withColumn("mean_high", F.when(b > 0, F.sum(F.col("cnt") * F.col("high")).over(whole) / b).otherwise(F.lit(0.0)))
+    off = F.col("low") * F.abs(F.col("cnt") - F.col("mean_low")) + F.col("high") * F.abs(F.col("cnt") - F.col("mean_high"))
+    found = each.groupBy(*KEY, "k").agg(F.sum(off).alias("off"), F.sum("low").alias("full_low"), F.sum("high").alias("full_high"), *(F.first(x).alias(x) for x in ("u", "v", "mean_low", "mean_high")))
+    empty = (a - F.col("full_low")) * F.col("mean_low") + (b - F.col("full_high")) * F.col("mean_high")
+    found = found.select(*KEY, "k", (F.col("off") + empty).alias("o"))
+    return at.select(*KEY, F.explode("ks").alias("k")).join(found, [*KEY, "k"], "left").select(*KEY, "k", F.coalesce("o", F.lit(0.0)).alias("o"))
 
 
 def _smallest(scored: DataFrame, by: str) -> DataFrame:
@@ -85,12 +95,12 @@ def _smallest(scored: DataFrame, by: str) -> DataFrame:
 
 def exact(prof, nodes, allow_no_split: bool = False, **_) -> DataFrame:
     """Best split without noise."""
-    return _smallest(unevenness(prof, nodes, all_positions(nodes, allow_no_split)), "o")
+    return _smallest(unevenness(prof, nodes, every_position(allow_no_split)), "o")
 
 
 def exhaustive(prof, nodes, eps_level, secret: str, allow_no_split: bool = False, **_) -> DataFrame:
     """Noise on every position: the level's budget is divided by their number."""
-    o = unevenness(prof, nodes, all_positions(nodes, allow_no_split))
+    o = unevenness(prof, nodes, every_position(allow_no_split))
     o = o.withColumn("u", F.count(F.lit(1)).over(W.partitionBy(*KEY)))
     o = o.withColumn("noisy", noise.laplace(F.col("o"), noise.UNEVENNESS * F.col("u") / F.lit(eps_level), secret, F.col("tree_id"), "split", F.col("node_id"), F.col("k")))
     return _smallest(o, "noisy")
@@ -101,7 +111,7 @@ def searched(prof, nodes, eps_level, secret: str, rounds: int = 3, **_) -> DataF
 
     Exact values of the whole lattice come from one pass; the walk reads noisy values of the positions it visits only.
     """
-    o = unevenness(prof, nodes, lattice_positions(nodes, rounds))
+    o = unevenness(prof, nodes, F.when(extent() > 1, lattice_column(extent(), rounds)))
     scale = noise.UNEVENNESS * (2 * rounds + 1) / eps_level if eps_level else 0.0
     o = o.withColumn("noisy", noise.laplace(F.col("o"), scale, secret, F.col("tree_id"), "split", F.col("node_id"), F.col("k")) if scale else F.col("o"))
     s = o.groupBy(*KEY).agg(F.map_from_entries(F.collect_list(F.struct("k", "noisy"))).alias("at")).join(nodes.select(*KEY, extent().alias("u")), KEY)
@@ -123,7 +133,7 @@ def searched(prof, nodes, eps_level, secret: str, rounds: int = 3, **_) -> DataF
 
 def exponential_unevenness(prof, nodes, eps_level, secret: str, **_) -> DataFrame:
     """Exponential mechanism over all positions, utility minus unevenness."""
-    o = unevenness(prof, nodes, all_positions(nodes))
+    o = unevenness(prof, nodes, every_position())
     o = o.withColumn("score", -noise.exponential_score(-F.col("o"), eps_level, noise.UNEVENNESS, secret, F.col("tree_id"), "rank", F.col("node_id"), F.col("k")))
     return _smallest(o, "score")
 

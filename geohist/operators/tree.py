@@ -2,28 +2,20 @@
 
 from __future__ import annotations
 
-import uuid
-
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from geohist.functions import noise
 from geohist.functions.budget import estimated_height
+from geohist.functions.storage import stored
 from geohist.operators import local, split
 from geohist.operators.grid import GridSpec
 
 NODE = "tree_id string, node_id long, height int, axis int, x0 int, x1 int, y0 int, y1 int, split_at int, cnt long, evals long"
 _KEY = split.KEY
-
-
-def stored(df: DataFrame) -> DataFrame:
-    """Written to the folder that the cluster shares, and read back; an own folder only where none is set."""
-    spark = df.sparkSession
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir", "") or "file:///tmp/checkpoints"
-    path = f"{base}/levels-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+#: Cells of a node that a task may finish alone: far below a grid of 1024 rows, so that its first levels use the whole cluster.
+MAX_TASK_CELLS = 65_536
 
 
 def axis_of(height: Column, rule: str = "even_x") -> Column:
@@ -87,7 +79,7 @@ def finish_subtrees(nodes: DataFrame, cells: DataFrame, method: str, eps_level:
     return joined.groupBy(*_KEY).applyInPandas(run, NODE)
 
 
-def build(fm: DataFrame, spec: GridSpec, height: int, method: str = "searched", eps_level: float = 0.0, secret: str = noise.TEST_SECRET, tree_id: str = "t", rounds: int = 3, rule: str = "even_x", allow_no_split: bool = False, mode: str = "auto", max_task_cells: int = 4_000_000) -> DataFrame:
+def build(fm: DataFrame, spec: GridSpec, height: int, method: str = "searched", eps_level: float = 0.0, secret: str | None = None, tree_id: str = "t", rounds: int = 3, rule: str = "even_x", allow_no_split: bool = False, mode: str = "auto", max_task_cells: int = MAX_TASK_CELLS) -> DataFrame:
     """Nodes of the whole tree, leaves included.
 
     'levelwise' works with DataFrame steps only, 'subtree' hands the root to one task, 'auto' goes level by level until
@@ -100,7 +92,7 @@ def build(fm: DataFrame, spec: GridSpec, height: int, method: str = "searched",
             return _all([*done, finish_subtrees(level, cells, method, eps_level, secret, rounds, rule, allow_no_split)])
         cut = stored(with_split(level, cells, method, eps_level, secret, rounds, allow_no_split))
         done.append(cut)
-        level, cells = stored(children(cut, rule)), stored(moved(cells, cut))
+        level, cells = children(cut, rule), stored(moved(cells, cut))
     return _all([*done, counted_leaves(level, cells)])
 
 

@@ -45,7 +45,7 @@ def _every(spark, n: int, l: str, k: str) -> DataFrame:
     return out
 
 
-def noisy_coefficients(fm: DataFrame, spec: GridSpec, eps: float, secret: str = noise.TEST_SECRET, tree_id: str = "wavelet", most_cells: int = MOST_CELLS) -> DataFrame:
+def noisy_coefficients(fm: DataFrame, spec: GridSpec, eps: float, secret: str | None = None, tree_id: str = "wavelet", most_cells: int = MOST_CELLS) -> DataFrame:
     """Every coefficient with noise of scale rho / (eps * cells it spans)."""
     nx, ny = padded(spec.nx), padded(spec.ny)
     if nx * ny > most_cells:
@@ -59,14 +59,18 @@ def noisy_coefficients(fm: DataFrame, spec: GridSpec, eps: float, secret: str =
 
 
 def _inverse(frame: DataFrame, n: int, l: str, k: str, pos: str, keep: list[str], value: str) -> DataFrame:
-    """Cells along one axis from its coefficients, a level at a time from the mean down."""
-    top = n.bit_length() - 1
-    now = frame.where(F.col(l) == top + 1).select(*keep, F.lit(0).alias(pos), F.col(value).alias("a"))
-    for lv in range(top, 0, -1):
-        d = frame.where(F.col(l) == lv).select(*keep, F.col(k).alias(pos), F.col(value).alias("d"))
-        pair = F.array(F.struct((F.col(pos) * 2).alias("p"), (F.col("a") + F.col("d")).alias("v")), F.struct((F.col(pos) * 2 + 1).alias("p"), (F.col("a") - F.col("d")).alias("v")))
-        now = now.join(d, [*keep, pos]).select(*keep, F.explode(pair).alias("x")).select(*keep, F.col("x.p").alias(pos), F.col("x.v").alias("a"))
-    return now.withColumnRenamed("a", value)
+    """Cells along one axis from its coefficients, in one aggregation: the n coefficients of a line become an array of n cells.
+
+    In order of level, highest first, and block, they stand as mean, then 1, 2, 4 ... details; each level doubles the cells.
+    """
+    line = F.transform(F.array_sort(F.collect_list(F.struct((-F.col(l)).alias("l"), F.col(k).alias("k"), F.col(value).alias("v")))), lambda x: x["v"])
+    lines = frame.groupBy(*keep).agg(line.alias("c")).withColumn("a", F.slice("c", 1, 1))
+    size = 1
+    while size < n:
+        pairs = F.zip_with("a", F.slice("c", size + 1, size), lambda a, d: F.array(a + d, a - d))
+        lines = lines.withColumn("a", F.flatten(pairs))
+        size *= 2
+    return lines.select(*keep, F.posexplode("a").alias(pos, value))
 
 
 def cells(coefs: DataFrame, spec: GridSpec) -> DataFrame:
@@ -76,7 +80,7 @@ def cells(coefs: DataFrame, spec: GridSpec) -> DataFrame:
     return y.where((F.col("cx") < spec.nx) & (F.col("cy") < spec.ny)).select("cx", "cy", F.col("coef").alias("value"))
 
 
-def publish(fm: DataFrame, spec: GridSpec, eps: float, secret: str = noise.TEST_SECRET, tree_id: str = "wavelet") -> DataFrame:
+def publish(fm: DataFrame, spec: GridSpec, eps: float, secret: str | None = None, tree_id: str = "wavelet") -> DataFrame:
     """Release rows, one for each cell."""
     c = cells(noisy_coefficients(fm, spec, eps, secret, tree_id), spec)
     return c.select(F.lit(tree_id).alias("tree_id"), (F.col("cx").cast("long") * spec.ny + F.col("cy")).alias("leaf_id"), F.col("cx").alias("x0"), (F.col("cx") + 1).alias("x1"), F.col("cy").alias("y0"), (F.col("cy") + 1).alias("y1"), F.lit(1).cast("long").alias("cells"), F.col("value").alias("ncount"))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 
@@ -10,6 +10,7 @@ from geohist.functions import noise
 from geohist.functions.budget import Budget, Ledger, levels
 from geohist.operators import grid, release, tree
 from geohist.operators.release import StopRule
+from geohist.sources import sinks
 
 
 @dataclass(frozen=True)
@@ -25,7 +26,7 @@ class TreePlan:
     mode: str = "auto"
     release: str = "pruned"
     allocation: str = "geo"
-    secret: str = noise.TEST_SECRET
+    secret: str | None = field(default=None, repr=False)
 
 
 #: Ablations: what they change in the plan or the stop rule.
@@ -45,16 +46,22 @@ VARIANTS: dict[str, dict] = {
 
 @dataclass
 class Release:
-    """Nodes (exact counts: curator only), published leaves, ledger and height."""
+    """Nodes (exact counts: curator only), published leaves, ledger, height, and the secret of its noise (curator only)."""
 
     nodes: DataFrame
     published: DataFrame
     ledger: Ledger
     height: int
+    secret: str = field(repr=False)
+
+    def write(self, path: str, fmt: str = "parquet", testing: bool = False) -> None:
+        """Published leaves and ledger, nothing else; refused if the noise is drawn with the published test key."""
+        sinks.write(self.published, self.ledger.frame(self.published.sparkSession), path, self.secret, fmt, testing)
 
 
 def publish_matrix(fm: DataFrame, spec: grid.GridSpec, budget: Budget, plan: TreePlan = TreePlan(), stop: StopRule = StopRule(), tree_id: str = "edt", variant: str = "searched") -> Release:
     """Height estimate, partition and release of a frequency matrix, with a ledger that is checked against the total."""
+    noise.held(plan.secret)
     plan = replace(plan, **VARIANTS[variant])
     if variant == "no_stop":
         stop = StopRule(None, None)
@@ -76,7 +83,7 @@ def publish_matrix(fm: DataFrame, spec: grid.GridSpec, budget: Budget, plan: Tre
         out = release.pruned(nodes, h, eps_data, stop, plan.allocation, secret=plan.secret)
     ledger.spend("data", eps_data, tree_id=tree_id)
     ledger.check(budget.eps_tot)
-    return Release(nodes, release.redact(out), ledger, h)
+    return Release(nodes, release.redact(out), ledger, h, plan.secret)
 
 
 def publish(points: DataFrame, spec: grid.GridSpec, budget: Budget, plan: TreePlan = TreePlan(), stop: StopRule = StopRule(), tree_id: str = "edt", variant: str = "searched") -> Release:

@@ -134,7 +134,7 @@ def _root(spark, d, s):
 
 for _s in ("p1", "p3"):
     add(f"unevenness_profile_{_s}", oracle.Tree(_s, H, "searched", EPS_LEVEL, "t").sql(f"SELECT k, round(o + {TILT}, 6) AS o FROM o_{H}"))(
-        lambda spark, d, s=_s: split.unevenness((x := _root(spark, d, s))[1], x[0], split.all_positions(x[0])).select("k", F.round(F.col("o") + TILT, 6).alias("o"))
+        lambda spark, d, s=_s: split.unevenness(*_root(spark, d, s)[::-1], split.every_position()).select("k", F.round(F.col("o") + TILT, 6).alias("o"))
     )
     for _m, _f in (("exact", "best_split"), ("exhaustive", "exhaustive_split"), ("searched", "searched_split"), ("exponential_unevenness", "em_unevenness"), ("em_median", "em_median"), ("midpoint", "midpoint")):
         add(f"{_f}_{_s}", oracle.Tree(_s, H, _m, EPS_LEVEL, "t").sql(f"SELECT cast(k AS INTEGER) AS k FROM z_{H}"))(
@@ -157,7 +157,7 @@ def _(spark, d):
 
 # Trees and releases --------------------------------------------------------------------------------------------------
 def _edt(spark, d, s: str = "p1", variant: str = "searched", stop: release.StopRule = STOP, mode: str = "levelwise", allocation: str = "geo"):
-    plan = edt.TreePlan(height=H, mode=mode, allocation=allocation)
+    plan = edt.TreePlan(height=H, mode=mode, allocation=allocation, secret=SECRET)
     return edt.publish_matrix(tree.stored(fm(spark, d, s)), spec(s), budget.Budget(EPS, 0.0, EPS_LEVEL), plan, stop, variant=variant)
 
 
@@ -198,7 +198,7 @@ def _all_sql(kind: str, final: str, share: float = 0.0, allocation: str = "geo",
 
 
 add("edt_release_all_p1", _all_sql("searched", "SELECT node AS node_id, round(ncount, 6) AS ncount FROM noisy"))(
-    lambda spark, d: r6(release.all_nodes(_edt(spark, d, mode="subtree").nodes, budget.geometric(EPS_DATA, H)).select("node_id", "ncount"), "ncount")
+    lambda spark, d: r6(release.all_nodes(_edt(spark, d, mode="subtree").nodes, budget.geometric(EPS_DATA, H), SECRET).select("node_id", "ncount"), "ncount")
 )
 
 
@@ -210,19 +210,19 @@ def _leaves_sql() -> str:
 
 add("edt_release_leaves_p1", _leaves_sql())(lambda spark, d: _leaf(_edt(spark, d, variant="leaves_only", mode="subtree").published).select("leaf_id", "ncount"))
 add("path_ledger", _pruned_sql(final=f"SELECT node AS node_id, cast({EPS_DATA} AS DOUBLE) AS spent FROM leaf"))(
-    lambda spark, d: r6(release.path_ledger(release.pruned(_edt(spark, d, mode="subtree").nodes, H, EPS_DATA, STOP), H, EPS_DATA).select("node_id", "spent"), "spent")
+    lambda spark, d: r6(release.path_ledger(release.pruned(_edt(spark, d, mode="subtree").nodes, H, EPS_DATA, STOP, secret=SECRET), H, EPS_DATA).select("node_id", "spent"), "spent")
 )
 
 # Baselines -----------------------------------------------------------------------------------------------------------
 _Q = oracle.q
 add("singular_p1", oracle.block_rows(f"SELECT cx AS gx, cy AS gy, {oracle.lap('cnt', repr(1 / EPS), _Q('singular'), _Q('cell'), 'cx', 'cy')} AS ncount FROM ({oracle.dense('p1')})", SIDE, f"gx * {SIDE} + gy"))(
-    lambda spark, d: _leaf(grids.singular(fm(spark, d), spec(), EPS))
+    lambda spark, d: _leaf(grids.singular(fm(spark, d), spec(), EPS, SECRET))
 )
 add("uniform_total_p1", oracle.block_rows(f"SELECT 0 AS gx, 0 AS gy, {oracle.lap('n', repr(1 / EPS), _Q('uniform'), _Q('total'))} AS ncount FROM (SELECT sum(cnt) AS n FROM ({oracle.matrix('p1')}))", 1, "1"))(
-    lambda spark, d: _leaf(grids.total_uniform(fm(spark, d), spec(), EPS))
+    lambda spark, d: _leaf(grids.total_uniform(fm(spark, d), spec(), EPS, SECRET))
 )
 add("ug_p1", oracle.block_rows(f"SELECT gx, gy, {oracle.lap('cnt', repr(1 / (EPS - 1e-4)), _Q('ug'), _Q('cell'), 'gx', 'gy')} AS ncount FROM ({oracle.grid_blocks('p1', 20)})", 20, "gx * 20 + gy"))(
-    lambda spark, d: _leaf(grids.uniform_grid(fm(spark, d), spec(), EPS, side=20))
+    lambda spark, d: _leaf(grids.uniform_grid(fm(spark, d), spec(), EPS, secret=SECRET, side=20))
 )
 add("ug_side", f"SELECT cast(greatest(1, round(sqrt(greatest(0, {oracle.lap('n', repr(1 / 0.01), _Q('ug'), _Q('total'))}) * {EPS} / 10))) AS INTEGER) AS side FROM (SELECT count(*) AS n FROM events)")(
     lambda spark, d: spark.createDataFrame([(grids.grid_side(grids.noisy_total(fm(spark, d), 0.01, SECRET, "ug"), EPS),)], "side int")
@@ -242,17 +242,17 @@ v AS (SELECT *, n2 + ((n1 / {2 / e**2!r} + s2 / (c * {2 / e**2!r})) / (1 / {2 /
 SELECT cast((gx * {m} + gy) * 16777216 + i * m2 + j AS BIGINT) AS leaf_id, x0, x1, y0, y1, cast((x1 - x0) * (y1 - y0) AS BIGINT) AS cells, round(ncount, 6) AS ncount FROM v"""
 
 
-add("ag_p1", _ag_sql())(lambda spark, d: _leaf(grids.adaptive_grid(fm(spark, d), spec(), EPS, side=10)))
+add("ag_p1", _ag_sql())(lambda spark, d: _leaf(grids.adaptive_grid(fm(spark, d), spec(), EPS, secret=SECRET, side=10)))
 
 for _k, _a in (("geo", "geo"), ("uniform", "uniform")):
     add(f"kd_{_k}_p1", _all_sql("em_median", f"SELECT n.node AS leaf_id, x0, x1, y0, y1, cast((x1 - x0) * (y1 - y0) AS BIGINT) AS cells, round(x, 6) AS ncount FROM noisy n JOIN fine f ON f.node = n.node WHERE split_at IS NULL", 0.15, _a, smooth=True, tree_id="kd"))(
-        lambda spark, d, a=_a: _leaf(kd.publish(tree.stored(fm(spark, d)), spec(), EPS, H, a, mode="subtree", step=tree.stored))
+        lambda spark, d, a=_a: _leaf(kd.publish(tree.stored(fm(spark, d)), spec(), EPS, H, a, mode="subtree", secret=SECRET, step=tree.stored))
     )
 add("kd_raw_p3", _all_sql("em_median", "SELECT node AS leaf_id, round(ncount, 6) AS ncount FROM noisy WHERE split_at IS NULL", 0.15, tree_id="kd", s="p3"))(
-    lambda spark, d: _leaf(kd.publish(tree.stored(fm(spark, d, "p3")), spec("p3"), EPS, H, smoothing=False, mode="subtree")).select("leaf_id", "ncount")
+    lambda spark, d: _leaf(kd.publish(tree.stored(fm(spark, d, "p3")), spec("p3"), EPS, H, smoothing=False, secret=SECRET, mode="subtree")).select("leaf_id", "ncount")
 )
 add("bsp_p1", _all_sql("midpoint", "SELECT n.node AS leaf_id, round(x, 6) AS ncount FROM noisy n JOIN fine f ON f.node = n.node WHERE split_at IS NULL", smooth=True, eps_data=EPS, tree_id="kd"))(
-    lambda spark, d: _leaf(kd.publish(tree.stored(fm(spark, d)), spec(), EPS, H, split="midpoint", mode="subtree", step=tree.stored)).select("leaf_id", "ncount")
+    lambda spark, d: _leaf(kd.publish(tree.stored(fm(spark, d)), spec(), EPS, H, split="midpoint", mode="subtree", secret=SECRET, step=tree.stored)).select("leaf_id", "ncount")
 )
 
 
@@ -274,9 +274,9 @@ def _quad_ctes(depth: int, allocation: str) -> str:
 
 for _k in ("geo", "uniform"):
     add(f"quad_{_k}_p1", _quad_ctes(3, _k) + " SELECT n.node AS leaf_id, cast(qx * side AS INTEGER) AS x0, cast((qx + 1) * side AS INTEGER) AS x1, cast(qy * side AS INTEGER) AS y0, cast((qy + 1) * side AS INTEGER) AS y1, cast(side * side AS BIGINT) AS cells, round(x, 6) AS ncount FROM n0 n JOIN w0 w ON w.node = n.node")(
-        lambda spark, d, a=_k: _leaf(quad.publish(tree.stored(fm(spark, d)), spec(), 3, EPS, a, step=tree.stored))
+        lambda spark, d, a=_k: _leaf(quad.publish(tree.stored(fm(spark, d)), spec(), 3, EPS, a, secret=SECRET, step=tree.stored))
     )
-add("quad_raw_p1", _quad_ctes(3, "geo") + " SELECT node AS leaf_id, round(y, 6) AS ncount FROM n0")(lambda spark, d: _leaf(quad.publish(fm(spark, d), spec(), 3, EPS, smoothing=False)).select("leaf_id", "ncount"))
+add("quad_raw_p1", _quad_ctes(3, "geo") + " SELECT node AS leaf_id, round(y, 6) AS ncount FROM n0")(lambda spark, d: _leaf(quad.publish(fm(spark, d), spec(), 3, EPS, smoothing=False, secret=SECRET)).select("leaf_id", "ncount"))
 add("quad_counts_p1", _quad_ctes(3, "geo") + " " + " UNION ALL ".join(f"SELECT node AS node_id, {h} AS height, cast(cnt AS BIGINT) AS cnt FROM n{h}" for h in range(4)))(lambda spark, d: quad.quad_counts(fm(spark, d), spec(), 3).select("node_id", "height", "cnt"))
 
 
@@ -290,12 +290,12 @@ def _haar(pos: str, n: int) -> str:
 _COEF = f"SELECT a.l AS lx, a.k AS kx, b.l AS ly, b.k AS ky, sum(cnt * a.f * b.f) AS coef FROM (SELECT cx, cy, cnt, {_haar('cx', SIDE)} AS a, cy AS cy2 FROM ({oracle.dense('p1')})) m, (SELECT v, {_haar('v', SIDE)} AS b FROM range({SIDE}) r(v)) y WHERE y.v = m.cy GROUP BY 1, 2, 3, 4"
 _SPAN = lambda l: f"(CASE WHEN {l} > 6 THEN {SIDE}.0 ELSE pow(2.0, {l}) END)"
 _NOISY = f"SELECT lx, kx, ly, ky, {oracle.lap('coef', f'49 / ({EPS} * {_SPAN("lx")} * {_SPAN("ly")})', _Q('wavelet'), _Q('coef'), 'lx', 'kx', 'ly', 'ky')} AS coef FROM ({_COEF})"
-add("wavelet_coefs_p1", f"SELECT cast(lx AS INTEGER) AS lx, cast(kx AS INTEGER) AS kx, cast(ly AS INTEGER) AS ly, cast(ky AS INTEGER) AS ky, round(coef, 6) AS coef FROM ({_NOISY})")(lambda spark, d: r6(wavelet.noisy_coefficients(fm(spark, d), spec(), EPS), "coef"))
+add("wavelet_coefs_p1", f"SELECT cast(lx AS INTEGER) AS lx, cast(kx AS INTEGER) AS kx, cast(ly AS INTEGER) AS ly, cast(ky AS INTEGER) AS ky, round(coef, 6) AS coef FROM ({_NOISY})")(lambda spark, d: r6(wavelet.noisy_coefficients(fm(spark, d), spec(), EPS, SECRET), "coef"))
 _UN = lambda p: f"unnest([{{'l': 7, 'k': 0, 's': 1}}, " + ", ".join(f"{{'l': {lv}, 'k': cast({p} >> {lv} AS INTEGER), 's': CASE WHEN ({p} >> {lv - 1}) & 1 = 0 THEN 1 ELSE -1 END}}" for lv in range(1, 7)) + "])"
 add(
     "wavelet_cells_p1",
     f"WITH c AS MATERIALIZED ({_NOISY}), x AS MATERIALIZED (SELECT v, a.l AS l, a.k AS k, a.s AS s FROM (SELECT cast(v AS INTEGER) AS v, {_UN('v')} AS a FROM range({SIDE}) r(v))), h AS MATERIALIZED (SELECT x.v AS cx, ly, ky, sum(coef * s) AS coef FROM c JOIN x ON x.l = lx AND x.k = kx GROUP BY 1, 2, 3) SELECT cx, x.v AS cy, round(sum(coef * s), 6) AS value FROM h JOIN x ON x.l = ly AND x.k = ky GROUP BY 1, 2",
-)(lambda spark, d: r6(wavelet.cells(tree.stored(wavelet.noisy_coefficients(fm(spark, d), spec(), EPS)), spec()), "value"))
+)(lambda spark, d: r6(wavelet.cells(tree.stored(wavelet.noisy_coefficients(fm(spark, d), spec(), EPS, SECRET)), spec()), "value"))
 
 # Queries, answers, measures ------------------------------------------------------------------------------------------
 for _p in (2, 6, 10):
@@ -318,10 +318,10 @@ for _st in ("nested", "tiles"):
     )
 _ug = oracle.block_rows(f"SELECT gx, gy, {oracle.lap('cnt', repr(1 / (EPS - 1e-4)), _Q('ug'), _Q('cell'), 'gx', 'gy')} AS ncount FROM ({oracle.grid_blocks('p1', 20)})", 20, "gx * 20 + gy").replace("round(ncount, 6) AS ncount", "ncount")
 add("private_answers_ug", f"WITH leaf AS MATERIALIZED ({_ug}) {_P} ({oracle.private_answers(oracle.random_rects(N))})")(
-    lambda spark, d: _priv(answer.private(grids.uniform_grid(fm(spark, d), spec(), EPS, side=20), workload.random_rects(spark, spec(), N)))
+    lambda spark, d: _priv(answer.private(grids.uniform_grid(fm(spark, d), spec(), EPS, secret=SECRET, side=20), workload.random_rects(spark, spec(), N)))
 )
 add("private_answers_quad", _quad_ctes(3, "geo") + f", leaf AS MATERIALIZED (SELECT qx * side AS x0, (qx + 1) * side AS x1, qy * side AS y0, (qy + 1) * side AS y1, x AS ncount FROM n0 n JOIN w0 w ON w.node = n.node) {_P} ({oracle.private_answers(oracle.random_rects(N))})")(
-    lambda spark, d: _priv(answer.private(quad.publish(tree.stored(fm(spark, d)), spec(), 3, EPS, step=tree.stored), workload.random_rects(spark, spec(), N)))
+    lambda spark, d: _priv(answer.private(quad.publish(tree.stored(fm(spark, d)), spec(), 3, EPS, secret=SECRET, step=tree.stored), workload.random_rects(spark, spec(), N)))
 )
 _kd_fine = _all_sql("em_median", "SELECT workload, qid, round(private, 5) AS private FROM (" + oracle.private_answers(oracle.random_rects(N), "(SELECT n.*, x FROM noisy n JOIN fine f ON f.node = n.node WHERE split_at IS NULL)", "x") + ")", 0.15, smooth=True, tree_id="kd")
 
@@ -334,7 +334,7 @@ def _(spark, d):
     level = F.element_at(budget.level_array(parts), F.col("height") + 1)
     from geohist.operators.consistency import smooth
 
-    fine = tree.stored(smooth(tree.stored(release.all_nodes(nodes, parts)), H, 2 / (level * level), step=tree.stored).withColumn("ncount", F.col("smooth")))
+    fine = tree.stored(smooth(tree.stored(release.all_nodes(nodes, parts, SECRET)), H, 2 / (level * level), step=tree.stored).withColumn("ncount", F.col("smooth")))
     q = workload.random_rects(spark, spec(), N)
     got = q.select("workload", "qid").join(answer.from_tree(fine, q, H), ["workload", "qid"], "left")
     return got.select("workload", "qid", F.round(F.coalesce("private", F.lit(0.0)), 5).alias("private"))
@@ -351,7 +351,7 @@ def _mre(spark, d, leaves: DataFrame) -> DataFrame:
 
 
 add("mre_edt", _pruned_sql(final=_mre_sql(oracle.private_answers(oracle.random_rects(N)))))(lambda spark, d: _mre(spark, d, tree.stored(_edt(spark, d, mode="subtree").published)))
-add("mre_ug", f"WITH leaf AS MATERIALIZED ({_ug}) " + _mre_sql(oracle.private_answers(oracle.random_rects(N))))(lambda spark, d: _mre(spark, d, grids.uniform_grid(fm(spark, d), spec(), EPS, side=20)))
+add("mre_ug", f"WITH leaf AS MATERIALIZED ({_ug}) " + _mre_sql(oracle.private_answers(oracle.random_rects(N))))(lambda spark, d: _mre(spark, d, grids.uniform_grid(fm(spark, d), spec(), EPS, secret=SECRET, side=20)))
 add("relative_error_edt", _pruned_sql(final=f"SELECT e.qid, round(CASE WHEN exact <> 0 THEN abs(exact - private) / exact * 100 END, 5) AS re FROM ({oracle.exact_answers(oracle.random_rects(N), 'p1')}) e JOIN ({oracle.private_answers(oracle.random_rects(N))}) p ON p.qid = e.qid"))(
     lambda spark, d: measures.relative_error(answer.private(tree.stored(_edt(spark, d, mode="subtree").published), q := workload.random_rects(spark, spec(), N)).join(answer.exact(fm(spark, d), q), ["workload", "qid"])).select("qid", F.round("re", 5).alias("re"))
 )
@@ -363,7 +363,7 @@ add("relative_error_edt", _pruned_sql(final=f"SELECT e.qid, round(CASE WHEN exac
 )
 def _(spark, d):
     nodes = _edt(spark, d, mode="subtree").nodes
-    leaves = tree.stored(release.pruned(nodes, H, EPS_DATA, STOP).withColumn("cells", tree.cells_of()))
+    leaves = tree.stored(release.pruned(nodes, H, EPS_DATA, STOP, secret=SECRET).withColumn("cells", tree.cells_of()))
     q = workload.random_rects(spark, spec(), N)
     return measures.decompose(leaves, q, answer.exact(fm(spark, d), q)).select("qid", F.round("noise_error", 5).alias("noise_error"), F.round("uniformity_error", 5).alias("uniformity_error"))
 
@@ -397,7 +397,7 @@ add("cover_check", "SELECT cast(0 AS BIGINT) AS uncovered, cast(4096 AS BIGINT)
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Published leaves of the events' histogram, height estimated."""
-    return edt.publish(src.points(spark, sf_dir, "p1"), spec(), budget.Budget(5.0, 0.05, 0.1)).published
+    return edt.publish(src.points(spark, sf_dir, "p1"), spec(), budget.Budget(5.0, 0.05, 0.1), edt.TreePlan(secret=SECRET)).published
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from geohist.functions import budget, noise, sqlfn
+from geohist.functions.storage import shared_folder
 from geohist.operators import grid, quad, relational, split, tree
 from geohist.plans import oracle
 from geohist.sources import points as src
@@ -37,8 +36,7 @@ def fm(spark: SparkSession, d: str) -> DataFrame:
 
 
 def scratch(spark: SparkSession) -> str:
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir", "") or "file:///tmp/checkpoints"
-    return f"{base}/surface-{uuid.uuid4().hex}"
+    return shared_folder(spark, "surface")
 
 
 # Projection and filters
@@ -144,7 +142,7 @@ add("sql_laplace", f"SELECT cx, cy, round({oracle.lap('cnt', '2.0', oracle.q('sq
 def _(s, d):
     cells = fm(s, d).select(F.lit("t").alias("tree_id"), (F.col("cx").cast("long") * 64 + F.col("cy")).alias("leaf_id"), F.col("cx").alias("x0"), (F.col("cx") + 1).alias("x1"), F.col("cy").alias("y0"), (F.col("cy") + 1).alias("y1"), F.lit(1).cast("long").alias("cells"), noise.laplace(F.col("cnt"), 2.0, SECRET, "demo", F.col("cx"), F.col("cy")).alias("ncount"))
     path = scratch(s)
-    sinks.write(cells, budget.Ledger().spend("data", 0.5).frame(s), path, "orc", SECRET, testing=True)
+    sinks.write(cells, budget.Ledger().spend("data", 0.5).frame(s), path, SECRET, "orc", testing=True)
     return s.read.orc(f"{path}/leaves").select("x0", "y0", F.round("ncount", 6).alias("ncount"))
 
 
@@ -172,7 +170,19 @@ add("stream_sliding", "SELECT epoch_us(TIMESTAMP '2024-01-01' + to_days(cast(b A
     lambda s, d: windows.replay(s, d, "2 days", "1 day").groupBy("begins").agg(F.sum("cnt").alias("cnt"))
 )
 add("stream_deduplicated", "SELECT count(*) AS n FROM (SELECT DISTINCT event_id FROM events)")(lambda s, d: windows.replay_deduplicated(s, d))
-add("stream_private", "SELECT epoch_us(date_trunc('day', ts)) AS begins, count(*) AS n FROM events GROUP BY 1")(lambda s, d: windows.replay_release(s, d))
+_DAYS = "SELECT CAST(1704067200000000 + i * 86400000000 AS BIGINT) AS begins, CAST(x.v AS INTEGER) AS cx, CAST(y.v AS INTEGER) AS cy FROM range(30) r(i), range(8) x(v), range(8) y(v)"
+add(
+    "stream_private",
+    f"SELECT g.begins, g.cx, g.cy, round({oracle.lap('coalesce(m.cnt, 0)', '1.0', oracle.q('window'), 'g.begins', 'g.cx', 'g.cy')}, 6) AS ncount FROM ({_DAYS}) g LEFT JOIN ({_T.format(w='1 day')}) m ON m.begins = g.begins AND m.cx = g.cx AND m.cy = g.cy",
+)(lambda s, d: windows.replay_release(s, d).withColumn("ncount", F.round("ncount", 6)))
+add("stream_late", _T.format(w="1 day"))(lambda s, d: windows.replay_late(s, d))
+add("stream_totals", "SELECT user_id, least(50, count(*)) AS kept FROM events GROUP BY 1")(lambda s, d: windows.replay_totals(s, d))
+add(
+    "stream_sessions",
+    """WITH e AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 12 HOUR THEN 0 ELSE 1 END AS opens FROM events),
+    s AS (SELECT user_id, ts, sum(opens) OVER (PARTITION BY user_id ORDER BY ts, opens DESC) AS session FROM e)
+    SELECT user_id, epoch_us(min(ts)) AS begins, count(*) AS n FROM s GROUP BY user_id, session""",
+)(lambda s, d: windows.replay_sessions(s, d))
 add("split_midpoint_batch", "SELECT cast(32 AS INTEGER) AS k")(lambda s, d: split.midpoint(None, tree.root(s, src.grid_of("p1", 64), 4)).select("k"))
 
 

@@ -12,6 +12,7 @@ from geohist.plans import edt, experiments
 from geohist.sources import points as src
 from geohist.sources import sinks
 
+KEY = noise.TEST_SECRET
 SPEC = grid.GridSpec(0.0, 16.0, 0.0, 16.0, 16, 16)
 #: The worked example: columns x = 0, 1, 2, rows from the bottom up.
 EXAMPLE = [(0, 0, 3), (1, 0, 3), (0, 1, 3), (1, 1, 3), (2, 0, 1), (2, 1, 1), (2, 2, 4)]
@@ -38,7 +39,7 @@ def test_example_splits_and_answer(spark):
     spec = grid.GridSpec(0.0, 3.0, 0.0, 3.0, 3, 3)
     cells = fm.where("cx < 2").select(F.lit("t").alias("tree_id"), F.lit(2).cast("long").alias("node_id"), "cx", "cy", "cnt")
     node = spark.createDataFrame([("t", 2, 1, 1, 0, 2, 0, 3)], "tree_id string, node_id long, height int, axis int, x0 int, x1 int, y0 int, y1 int")
-    got = {r["k"]: round(r["o"], 9) for r in split.unevenness(split.profile(cells, node), node, split.all_positions(node, True)).collect()}
+    got = {r["k"]: round(r["o"], 9) for r in split.unevenness(split.profile(cells, node), node, split.every_position(True)).collect()}
     assert got == {2: 0.0, 1: 6.0, 3: 8.0}
     leaves = spark.createDataFrame([("t", 4, 0, 2, 0, 2, 4, 12.0), ("t", 5, 0, 2, 2, 3, 2, 0.0), ("t", 6, 2, 3, 0, 2, 2, 2.0), ("t", 7, 2, 3, 2, 3, 1, 4.0)], "tree_id string, leaf_id long, x0 int, x1 int, y0 int, y1 int, cells long, ncount double")
     q = spark.createDataFrame([("w", 1, 1, 3, 0, 1)], "workload string, qid long, x0 int, x1 int, y0 int, y1 int")
@@ -48,7 +49,7 @@ def test_example_splits_and_answer(spark):
     nodes = [("t", 1, 2, 0, 0, 3, 0, 3, 2, 18), ("t", 2, 1, 1, 0, 2, 0, 3, 2, 12), ("t", 3, 1, 1, 2, 3, 0, 3, 2, 6), ("t", 4, 0, 0, 0, 2, 0, 2, None, 12), ("t", 5, 0, 0, 0, 2, 2, 3, None, 0), ("t", 6, 0, 0, 2, 3, 0, 2, None, 2), ("t", 7, 0, 0, 2, 3, 2, 3, None, 4)]
     drawn = spark.createDataFrame([(*n, 0) for n in nodes], tree.NODE)
     for stop in (release.StopRule(7, None), release.StopRule(None, 4)):
-        assert {r["node_id"] for r in release.pruned(drawn, 2, 1e9, stop).collect()} == {3, 4, 5}
+        assert {r["node_id"] for r in release.pruned(drawn, 2, 1e9, stop, secret=KEY).collect()} == {3, 4, 5}
 
 
 def test_sensitivity_is_at_most_two():
@@ -91,7 +92,7 @@ def test_budgets():
 
 @pytest.mark.parametrize("method", list(split.METHODS))
 def test_modes_agree(spark, fm, method):
-    trees = [sorted(map(tuple, tree.build(fm, SPEC, 4, method, 2.0, mode=m, max_task_cells=100).select(*local.COLUMNS).collect())) for m in ("levelwise", "subtree", "auto")]
+    trees = [sorted(map(tuple, tree.build(fm, SPEC, 4, method, 2.0, KEY, mode=m, max_task_cells=100).select(*local.COLUMNS).collect())) for m in ("levelwise", "subtree", "auto")]
     assert trees[0] == trees[1] == trees[2]
     rows = [dict(zip(local.COLUMNS, r)) for r in trees[0]]
     leaf = [r for r in rows if r["split_at"] is None]
@@ -115,22 +116,29 @@ def test_searched_without_noise_ends_at_local_minimum():
 
 
 def test_release_matches_local_and_ledger(spark, fm):
-    nodes = tree.build(fm, SPEC, 4, "searched", 0.5)
+    nodes = tree.build(fm, SPEC, 4, "searched", 0.5, KEY)
     rows = [tuple(r) for r in nodes.select(*local.COLUMNS).collect()]
     parts = budget.geometric(0.8, 4)
     for stop in (release.StopRule(100, 5), release.StopRule(None, None), release.StopRule(1e9, None)):
-        got = release.pruned(nodes, 4, 0.8, stop)
+        got = release.pruned(nodes, 4, 0.8, stop, secret=KEY)
         mine = sorted((round(v, 6), *r) for *r, v in local.released(rows, parts, 0.8, noise.TEST_SECRET, stop.min_count, stop.min_cells))
         assert sorted((round(r["ncount"], 6), r["x0"], r["x1"], r["y0"], r["y1"]) for r in got.collect()) == mine
         assert all(math.isclose(r["spent"], 0.8) for r in release.path_ledger(got, 4, 0.8).collect())
-    again = release.redact(release.pruned(nodes, 4, 0.8))
-    assert sorted(again.collect()) == sorted(release.redact(release.pruned(nodes, 4, 0.8)).collect())
+    again = release.redact(release.pruned(nodes, 4, 0.8, secret=KEY))
+    assert sorted(again.collect()) == sorted(release.redact(release.pruned(nodes, 4, 0.8, secret=KEY)).collect())
     assert sorted(again.collect()) != sorted(release.redact(release.pruned(nodes, 4, 0.8, secret="other")).collect())
     assert set(again.columns) == {"tree_id", "leaf_id", "x0", "x1", "y0", "y1", "cells", "ncount"}
     with pytest.raises(ValueError):
-        sinks.write(nodes, budget.Ledger().frame(spark), "/nowhere")
+        sinks.write(nodes, budget.Ledger().frame(spark), "/nowhere", "own")
     with pytest.raises(ValueError):
-        sinks.write(again, budget.Ledger().frame(spark), "/nowhere", secret=noise.TEST_SECRET)
+        sinks.write(again, budget.Ledger().frame(spark), "/nowhere", KEY)
+    with pytest.raises(ValueError, match="secret"):
+        edt.publish_matrix(fm, SPEC, budget.Budget(1.0, 0.0, 0.05), edt.TreePlan(height=2))
+    with pytest.raises(ValueError, match="secret"):
+        grids.singular(fm, SPEC, 1.0)
+    with pytest.raises(ValueError, match="protects nothing"):
+        edt.publish_matrix(fm, SPEC, budget.Budget(1.0, 0.0, 0.05), edt.TreePlan(height=2, secret=KEY)).write("/nowhere")
+    assert KEY not in repr(edt.TreePlan(secret=KEY))
 
 
 def test_smoothing_is_least_squares(spark):
@@ -162,7 +170,7 @@ def _below(j, i, parent):
 def test_wavelet_identity_and_weights(spark, fm):
     m = dense(fm)
     assert np.allclose(local.unhaar(local.haar(m)), m)
-    back = wavelet.cells(wavelet.noisy_coefficients(fm, SPEC, 1e12), SPEC).toPandas()
+    back = wavelet.cells(wavelet.noisy_coefficients(fm, SPEC, 1e12, KEY), SPEC).toPandas()
     assert np.allclose(m[back["cx"], back["cy"]], back["value"], atol=1e-6)
     for n, rho in ((8, 4), (64, 7)):
         one = np.zeros(n)
@@ -174,7 +182,7 @@ def test_answers_agree(spark, fm):
     q = workload.random_rects(spark, SPEC, 60).unionByName(workload.squares(spark, SPEC, 0.06, 60))
     exact = {tuple(r) for r in answer.exact(fm, q).collect()}
     assert exact == {tuple(r) for r in answer.exact_prefix(fm, SPEC, q).collect()}
-    rel = edt.publish_matrix(fm, SPEC, budget.Budget(1.0, 0.0, 0.05), edt.TreePlan(height=4))
+    rel = edt.publish_matrix(fm, SPEC, budget.Budget(1.0, 0.0, 0.05), edt.TreePlan(height=4, secret=KEY))
     a, b = ({(r["workload"], r["qid"]): r["private"] for r in answer.private(rel.published, q, strategy=s).collect()} for s in ("nested", "tiles"))
     rects = [tuple(r) for r in rel.published.select("x0", "x1", "y0", "y1", "ncount").collect()]
     rows = q.collect()
@@ -182,7 +190,7 @@ def test_answers_agree(spark, fm):
     for r, x in zip(rows, c):
         k = (r["workload"], r["qid"])
         assert math.isclose(a[k], b[k], abs_tol=1e-7) and math.isclose(a[k], x, abs_tol=1e-7)
-    full = release.pruned(rel.nodes, 4, 0.8).withColumn("cells", tree.cells_of())
+    full = release.pruned(rel.nodes, 4, 0.8, secret=KEY).withColumn("cells", tree.cells_of())
     parts = measures.decompose(full, q, answer.exact(fm, q)).join(answer.private(full, q), ["tree_id", "workload", "qid"]).join(answer.exact(fm, q), ["workload", "qid"])
     assert all(math.isclose(r["noise_error"] + r["uniformity_error"], r["private"] - r["exact"], abs_tol=1e-6) for r in parts.collect())
 
@@ -195,9 +203,9 @@ def test_degenerate(spark, spec):
     assert fm.agg(F.sum("cnt")).first()[0] == 3
     assert grid.frequency_matrix(pts, spec, "drop").agg(F.sum("cnt")).first()[0] == 1
     for f in (fm, fm.limit(0)):
-        rel = edt.publish_matrix(f, spec, budget.Budget(5.0, 0.1, 0.1), edt.TreePlan(height=2))
+        rel = edt.publish_matrix(f, spec, budget.Budget(5.0, 0.1, 0.1), edt.TreePlan(height=2, secret=KEY))
         assert rel.published.agg(F.sum("cells")).first()[0] == spec.cells
-        for out in (grids.singular(f, spec, 1.0), grids.total_uniform(f, spec, 1.0), grids.uniform_grid(f, spec, 1.0), grids.adaptive_grid(f, spec, 1.0), quad.publish(f, spec, 2, 1.0), kd.publish(f, spec, 1.0, 2), wavelet.publish(f, spec, 1.0)):
+        for out in (grids.singular(f, spec, 1.0, KEY), grids.total_uniform(f, spec, 1.0, KEY), grids.uniform_grid(f, spec, 1.0, secret=KEY), grids.adaptive_grid(f, spec, 1.0, secret=KEY), quad.publish(f, spec, 2, 1.0, secret=KEY), kd.publish(f, spec, 1.0, 2, secret=KEY), wavelet.publish(f, spec, 1.0, KEY)):
             assert out.agg(F.sum("cells")).first()[0] == spec.cells
 
 
