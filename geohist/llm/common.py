@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -36,6 +37,30 @@ def stored(df: DataFrame, spark: SparkSession) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+class Scratch:
+    """Tables between the steps of one operator, in the shared folder; `drop` deletes them when its result no longer reads them."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.path, self.count = spark, shared_dir(spark), 0
+
+    def keep(self, df: DataFrame) -> DataFrame:
+        self.count += 1
+        path = f"{self.path}/{self.count}"
+        df.write.option("compression", "zstd").parquet(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def drop(self) -> None:
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+        release_shuffles(self.spark)
+
+
+def release_shuffles(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of plans that are no longer used: it does so when the driver collects garbage, by default each half hour."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def row_id() -> Column:
     """Identity of a row of an unshuffled scan; equal in each reading of the same plan."""
     return F.monotonically_increasing_id()

@@ -13,7 +13,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from geohist.llm.common import SPACES, free_name, row_id, stored
+from geohist.llm.common import SPACES, Scratch, free_name, row_id, stored
 
 #: Bytes of keys that a trie holds before it spills its largest subtree.
 TRIE_BYTES = 128_000_000
@@ -230,13 +230,17 @@ def exact_owners(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """
     spark = docs.sparkSession
     rows = docs.select((F.col(row_col) if row_col else row_id()).alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    local = stored(rows.mapInArrow(_local_owners(limit // 2), _LOCAL), spark)
+    scratch = Scratch(spark)
+    local = scratch.keep(rows.mapInArrow(_local_owners(limit // 2), _LOCAL))
     heads = local.where("content is not null").select("slot", "key_len", "key_hash", "content", "rank_chars", "rank_id", "rank_row", "rows")
     owners = heads.repartition("key_len", "key_hash").mapInArrow(_global_owners(limit), "slot long, keep_id long, keep_row long, group_size long")
     members = local.where("sha is not null").select("row", "doc_id", "slot", "sha")
-    return members.join(owners, "slot").select(
+    found = members.join(owners, "slot").select(
         F.col("row").alias("row_id"), "doc_id", "keep_id", "keep_row", "group_size", (F.col("row") == F.col("keep_row")).alias("kept"), F.col("sha").alias("text_sha256")
     )
+    found = stored(found, spark)  # a few numbers a row; the texts written before go
+    scratch.drop()
+    return found
 
 
 def drop_exact(docs: DataFrame, **options) -> DataFrame:

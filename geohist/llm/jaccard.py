@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -10,8 +10,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from geohist.llm.common import as_strings, byte_view, gathered_sketch, merged_slices, mix, row_id, run_hashes, sliced, steps, stored, word_hashes
+from geohist.llm.common import Scratch, as_strings, byte_view, gathered_sketch, merged_slices, mix, release_shuffles, row_id, run_hashes, sliced, steps, stored, word_hashes
 
+#: What writes a table between two steps and reads it back.
+Keep = Callable[[DataFrame], DataFrame]
 #: Words of a shingle; cells of the frequency sketch and slices it is merged in; rows of a list before it is salted.
 SHINGLE, CELLS, SLICES, LIST_ROWS = 5, 1 << 20, 64, 20_000
 #: Two sets link when LINK[0] * intersection >= LINK[1] * union: 0.8.
@@ -119,10 +121,15 @@ def boundary_by_cost(sketch: np.ndarray) -> int:
     return int(n[cheap].max(initial=4))
 
 
-def excess(sketch: np.ndarray) -> np.ndarray:
-    """How often each cell's tokens occur beyond what a cell holds by chance: cells of rare tokens all have 0, however large the input."""
+def excess(sketch: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """How often each cell's tokens occur beyond what a cell holds by chance, and the rank of its count among all cells.
+
+    The first is 0 for cells of rare tokens, however large the input. Ranks are quantiles, closer together towards the
+    most frequent, so that they tell tokens apart at every size of input.
+    """
     usual = float(np.median(sketch))
-    return np.maximum(sketch.astype(np.int64) - int(usual + 6 * usual**0.5), 0)
+    steps_ = np.quantile(sketch, [i / 32 for i in range(1, 32)] + [1 - 2.0**-j / 32 for j in range(1, 16)])
+    return np.maximum(sketch.astype(np.int64) - int(usual + 6 * usual**0.5), 0), np.searchsorted(np.unique(steps_), sketch).astype(np.uint64)
 
 
 def _signatures(k: int, boundary: int, sent):
@@ -133,8 +140,7 @@ def _signatures(k: int, boundary: int, sent):
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts, seen = excess(sent.value), _Seen()
-        rank = np.floor(np.log2(np.maximum(counts, 1))).astype(np.uint64)
+        (counts, rank), seen = excess(sent.value), _Seen()
         bridge = -(-boundary * LINK[1] // LINK[0])  # small sets from here may link to large ones
         for b in batches:
             texts, rows = as_strings(b.column(2)), b.column(0).to_pylist()
@@ -248,43 +254,54 @@ def _node_bits(nodes: DataFrame) -> np.ndarray:
     return gathered_sketch(merged_slices(nodes.select("node").mapInArrow(run, "slice int, cells binary"), "uint8", "or"), "uint8", SLICES, NODE_BITS // 8)
 
 
-def node_sets(nodes: DataFrame, rows: DataFrame, k: int) -> DataFrame:
-    """Stored (node, n, marks, tokens) of at least the given nodes: every later check reads these, no text again."""
+def node_sets(nodes: DataFrame, rows: DataFrame, k: int, keep: Keep) -> DataFrame:
+    """Kept (node, n, marks, tokens) of at least the given nodes: every later check reads these, no text again."""
     sent = rows.sparkSession.sparkContext.broadcast(_node_bits(nodes))
-    return stored(rows.mapInArrow(_node_sets(k, sent), "node long, n long, marks array<long>, tokens array<long>"), rows.sparkSession)
+    return keep(rows.mapInArrow(_node_sets(k, sent), "node long, n long, marks array<long>, tokens array<long>"))
+
 
+def sets_of(nodes: DataFrame, sets: DataFrame) -> DataFrame:
+    """(node, n, tokens) of kept sets, without most of those that are not among the nodes: a bit table spares them the shuffle."""
+    sent = sets.sparkSession.sparkContext.broadcast(_node_bits(nodes))
 
-def linked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """The stored (a, b) whose sets link.
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield b.filter(pa.array(_tested(sent.value, b.column(0).to_numpy())))
+
+    return sets.select("node", "n", "tokens").mapInArrow(run, "node long, n long, tokens array<long>")
+
+
+def linked(pairs: DataFrame, sets: DataFrame, keep: Keep) -> DataFrame:
+    """Those of the kept (a, b) whose sets link.
 
     Sizes and parity marks, an upper bound of the intersection, rule most others out; what is left is intersected exactly.
     """
-    side = lambda c, x: sets.select(F.col("node").alias(c), F.col("n").alias(f"n_{c}"), F.col(x).alias(f"{x}_{c}"))
-    both = pairs.select("a", "b").join(side("b", "marks"), "b").join(side("a", "marks"), "a")
+    side = lambda df, c, x: df.select(F.col("node").alias(c), F.col("n").alias(f"n_{c}"), F.col(x).alias(f"{x}_{c}"))
+    both = pairs.select("a", "b").join(side(sets, "b", "marks"), "b").join(side(sets, "a", "marks"), "a")
     a, b, n_a, n_b = (F.col(x) for x in ("marks_a", "marks_b", "n_a", "n_b"))
     differ = F.aggregate(F.zip_with(_halved(a, b), _halved(b, a), lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda t, x: t + x)
     total = n_a + n_b
     likely = both.where(_same_size(n_a, n_b)).where((LINK[0] + LINK[1]) * (total - differ) >= 2 * LINK[1] * total).select("a", "b")
-    likely = stored(likely, pairs.sparkSession)
-    both = likely.join(side("b", "tokens"), "b").join(side("a", "tokens"), "a")
+    likely = keep(likely)
+    own = keep(sets_of(likely.select(F.col("a").alias("node")).unionByName(likely.select(F.col("b").alias("node"))), sets))
+    both = likely.join(side(own, "b", "tokens"), "b").join(side(own, "a", "tokens"), "a")
     inter = F.size(F.array_intersect("tokens_a", "tokens_b"))
-    return stored(both.where(LINK[0] * inter >= LINK[1] * (n_a + n_b - inter)).select("a", "b"), pairs.sparkSession)
+    return keep(both.where(LINK[0] * inter >= LINK[1] * (n_a + n_b - inter)).select("a", "b"))
 
 
-def components(edges: DataFrame) -> DataFrame:
-    """(node, label): the smallest node of the connected part of each node of the stored (a, b) rows.
+def components(edges: DataFrame, keep: Keep) -> DataFrame:
+    """(node, label): the smallest node of the connected part of each node of the (a, b) rows.
 
     Every round takes the smallest label around a node and then the label of that label, so paths shrink by half
     or more; each round is written to the shared folder.
     """
-    spark = edges.sparkSession
-    both = stored(edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(edges.select(F.col("b").alias("u"), F.col("a").alias("v"))).distinct(), spark)
-    labels = stored(both.groupBy("u").agg(F.min("v").alias("v")).select(F.col("u").alias("node"), F.least("u", "v").alias("label")), spark)
+    both = keep(edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(edges.select(F.col("b").alias("u"), F.col("a").alias("v"))).distinct())
+    labels = keep(both.groupBy("u").agg(F.min("v").alias("v")).select(F.col("u").alias("node"), F.least("u", "v").alias("label")))
     while True:
         near = both.join(labels.select(F.col("node").alias("v"), "label"), "v").groupBy("u").agg(F.min("label").alias("near"))
         hop = labels.join(near, labels.node == near.u).select("node", F.col("label").alias("was"), F.least("label", "near").alias("to"))
         jump = labels.select(F.col("node").alias("to"), F.col("label").alias("beyond"))
-        moved = stored(hop.join(jump, "to", "left").select("node", "was", F.least("to", F.coalesce("beyond", "to")).alias("label")), spark)
+        moved = keep(hop.join(jump, "to", "left").select("node", "was", F.least("to", F.coalesce("beyond", "to")).alias("label")))
         labels = moved.select("node", "label")
         if moved.where("label != was").isEmpty():
             return labels
@@ -347,7 +364,7 @@ def _block_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         yield counted()
 
 
-def link_counts(found: DataFrame, sets: DataFrame) -> DataFrame:
+def link_counts(found: DataFrame, sets: DataFrame, keep: Keep) -> DataFrame:
     """(n, key_1, key_2, n_links): to how many other rows a row of each set links, copies included.
 
     found has a row for each row of the input: n, key_1, key_2, node, component. Equal sets of all tasks are one, with the
@@ -357,11 +374,11 @@ def link_counts(found: DataFrame, sets: DataFrame) -> DataFrame:
     """
     c, key = F.col, ["n", "key_1", "key_2"]
     full = found.where("n > 0").groupBy(*key).agg(F.min("component").alias("part"), F.min("node").alias("node"), F.count(F.lit(1)).alias("many"))
-    full = stored(full, found.sparkSession)
+    full = keep(full)
     size = full.groupBy("part").agg(F.count(F.lit(1)).alias("sets"), F.sum("n").alias("tokens")).where("sets > 1")
     blocks = F.ceil(F.greatest(c("sets") / BLOCK_SETS, c("tokens") / BLOCK_TOKENS)).cast("int")
     dealt = full.join(size.select("part", blocks.alias("blocks")), "part").withColumn("own", F.pmod(F.xxhash64("node"), c("blocks")).cast("int"))
-    dealt = dealt.join(sets.select("node", "tokens"), "node").withColumn("other", F.explode(F.sequence(F.lit(0), c("blocks") - 1)))
+    dealt = dealt.join(sets_of(keep(dealt.select("node")), sets).drop("n"), "node").withColumn("other", F.explode(F.sequence(F.lit(0), c("blocks") - 1)))
     dealt = dealt.select("part", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "node", "own", "many", "tokens")
     counted = dealt.repartition("part", "lo", "hi").sortWithinPartitions("part", "lo", "hi").mapInArrow(_block_counts, "node long, links long")
     counted = counted.groupBy("node").agg(F.sum("links").alias("links"))
@@ -369,14 +386,14 @@ def link_counts(found: DataFrame, sets: DataFrame) -> DataFrame:
 
 
 #: Rounds in which the parts on a list meet its leader before all that is left of it is compared.
-ROUNDS = 2
+ROUNDS = 1
 
 
-def part_members(entries: DataFrame, labels: DataFrame) -> DataFrame:
-    """Stored entries (sig, node, n, at, single) of the lists that still hold several parts, with their part."""
+def part_members(entries: DataFrame, labels: DataFrame, keep: Keep) -> DataFrame:
+    """Kept entries (sig, node, n, at, single) of the lists that still hold several parts, with their part."""
     member = entries.join(labels, "node", "left").withColumn("part", F.coalesce("label", "node")).drop("label")
     open_ = member.groupBy("sig").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("sig")
-    return stored(member.join(open_, "sig"), entries.sparkSession)
+    return keep(member.join(open_, "sig"))
 
 
 def leader_pairs(member: DataFrame, turn: int) -> DataFrame:
@@ -412,15 +429,15 @@ def pairs_left(member: DataFrame, boundary: int) -> DataFrame:
     return pairs.select("a", "b").distinct()
 
 
-def merged_labels(labels: DataFrame, links: DataFrame) -> DataFrame:
+def merged_labels(labels: DataFrame, links: DataFrame, keep: Keep) -> DataFrame:
     """(node, label) after links between parts: the smallest node of each joined part."""
     named = labels.withColumnRenamed("label", "part")
     end = lambda df, c: df.join(named.select(F.col("node").alias(c), F.col("part").alias(f"part_{c}")), c, "left")
     joined = end(end(links.select("a", "b"), "a"), "b").select(F.coalesce("part_a", "a").alias("a"), F.coalesce("part_b", "b").alias("b"))
-    merged = components(joined.distinct()).select(F.col("node").alias("part"), F.col("label").alias("whole"))
+    merged = components(joined.distinct(), keep).select(F.col("node").alias("part"), F.col("label").alias("whole"))
     ends = links.select(F.col("a").alias("node")).unionByName(links.select(F.col("b").alias("node"))).distinct()
     every = ends.join(named, "node", "full").select("node", F.coalesce("part", "node").alias("part"))
-    return stored(every.join(merged, "part", "left").select("node", F.coalesce("whole", "part").alias("label")), labels.sparkSession)
+    return keep(every.join(merged, "part", "left").select("node", F.coalesce("whole", "part").alias("label")))
 
 
 def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None, counts: bool = True) -> DataFrame:
@@ -435,8 +452,10 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
     docs must give the same rows in the same partitions each time it is read (a file scan does; store others first).
     """
     spark = docs.sparkSession
+    scratch = Scratch(spark)
+    keep = scratch.keep
     rows = docs.select((F.col(row_col) if row_col else row_id()).alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    survey = stored(rows.mapInArrow(_survey(k), "row long, doc_id long, n long, node long, slice int, cells binary, key_1 long, key_2 long"), spark)
+    survey = keep(rows.mapInArrow(_survey(k), "row long, doc_id long, n long, node long, slice int, cells binary, key_1 long, key_2 long"))
     known = survey.where("row is not null").select("row", "doc_id", "n", "node", "key_1", "key_2")
     sketch = gathered_sketch(merged_slices(survey.where("slice is not null"), "uint32", "sum"), "uint32", SLICES, CELLS)
     boundary = boundary_by_cost(sketch)
@@ -447,33 +466,39 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
     earliest = F.struct(_position_of("meta").alias("at"), "node", "meta")
     listed = listed.withColumn("rows", F.count(F.lit(1)).over(W.partitionBy("sig", "salt"))).withColumn("lead", F.min(earliest).over(W.partitionBy("sig", "salt", "class")))
     listed = listed.where("rows > 1 or salt > 0").select("sig", "salt", "class", "node", "meta", F.col("lead.node").alias("leader"), F.col("lead.meta").alias("leader_meta"))
-    listed = stored(listed, spark)
-    sets = node_sets(listed.select("node"), rows, k)
+    listed = keep(listed)
+    sets = node_sets(listed.select("node"), rows, k, keep)
+    release_shuffles(spark)  # the largest shuffle is over: its files may go
     # First round: each node with the leader it shares most entries with; leaders of one list's salts with the first of them.
     heads = listed.where("salt > 0").groupBy("sig", "class").agg(F.min("leader").alias("first"), F.count_distinct("salt").alias("salts")).where("salts > 1")
     upper = listed.where("leader = node").join(heads, ["sig", "class"]).where("first != node").select(F.col("first").alias("a"), F.col("node").alias("b"))
     lower = listed.where("leader != node").where(_may_link(_size_of("leader_meta"), n, _position_of("leader_meta"), _position_of("meta"))).select(F.col("leader").alias("a"), F.col("node").alias("b"))
     shared = lower.unionByName(upper).groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"))
     best = shared.groupBy("b").agg(F.max(F.struct("shared", (-F.col("a")).alias("back"))).alias("x")).select((-F.col("x.back")).alias("a"), "b")
-    labels = components(linked(stored(best, spark), sets))
+    labels = components(linked(keep(best), sets, keep), keep)
     # Then parts with the leaders of lists that hold several, while that joins any; at last, exactly, all members of different parts.
-    member = part_members(listed.select("sig", "node", n.alias("n"), _position_of("meta").alias("at"), (F.col("meta") % 2 == 1).alias("single")), labels)
+    member = part_members(listed.select("sig", "node", n.alias("n"), _position_of("meta").alias("at"), (F.col("meta") % 2 == 1).alias("single")), labels, keep)
     for turn in range(ROUNDS):
-        links = linked(stored(leader_pairs(member, turn), spark), sets)
+        links = linked(keep(leader_pairs(member, turn)), sets, keep)
         if links.isEmpty():
             break
-        labels = merged_labels(labels, links)
-        member = part_members(member.drop("part"), labels)
-    links = linked(stored(pairs_left(member, boundary), spark), sets)
-    labels = merged_labels(labels, links)
+        labels = merged_labels(labels, links, keep)
+        member = part_members(member.drop("part"), labels, keep)
+    release_shuffles(spark)
+    links = linked(keep(pairs_left(member, boundary)), sets, keep)
+    labels = merged_labels(labels, links, keep)
     out = known.join(labels, "node", "left").withColumn("component", F.coalesce("label", "node")).drop("label")
     smallest = out.groupBy("component").agg(F.min("doc_id").alias("component_id"))
     shown = ["row", "doc_id", F.col("n").alias("n_shingles"), "component_id", "component"]
-    if not counts:
-        return out.join(smallest, "component").select(*shown)
+    if counts:
+        out = keep(out)
+        many = link_counts(out, sets, keep)
+        out = out.join(smallest, "component").join(many, ["n", "key_1", "key_2"], "left").select(*shown, F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    else:
+        out = out.join(smallest, "component").select(*shown)
     out = stored(out, spark)
-    many = link_counts(out, sets)
-    return out.join(smallest, "component").join(many, ["n", "key_1", "key_2"], "left").select(*shown, F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    scratch.drop()
+    return out
 
 
 def op1_jaccard_join(spark, sf_dir: str) -> DataFrame:

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from geohist.llm.common import as_strings, byte_view, row_id, run_hashes, steps, stored, word_hashes, word_spans
+from geohist.llm.common import Scratch, as_strings, byte_view, row_id, run_hashes, steps, word_hashes, word_spans
 
 #: Words of a window; bounds in bits of the prefilter's table for each row of the sketch.
 WINDOW, LEAST_BITS, MOST_BITS = 13, 1 << 20, 1 << 30
@@ -199,8 +199,10 @@ def candidate_windows(rows: DataFrame, prefilter: Prefilter, size: int = WINDOW)
 
 def repeated_windows(rows: DataFrame, size: int = WINDOW) -> DataFrame:
     """(row, starts) of the windows whose words also start in a document of smaller id, exactly; a row may come several times."""
-    merged = stored(merged_sketch(partial_sketches(rows, size)), rows.sparkSession)
-    found = candidate_windows(rows, Prefilter(merged), size)
+    scratch = Scratch(rows.sparkSession)
+    prefilter = Prefilter(scratch.keep(merged_sketch(partial_sketches(rows, size))))
+    scratch.drop()  # its bits are here now, and the partial sketches were the largest shuffle
+    found = candidate_windows(rows, prefilter, size)
     least = F.min("doc_id").over(W.partitionBy("h1", "h2"))
     return found.withColumn("least", least).where("h2 is null or least < doc_id").select("row", "starts")
 
