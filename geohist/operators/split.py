@@ -40,16 +40,14 @@ def every_position(allow_no_split: bool = False) -> Column:
 
 def lattice_column(u: Column, rounds: int) -> Column:
     """Positions that a search of `rounds` rounds over 1..u can meet, as an array: midpoints of gaps, refined once a round."""
-    gaps, out = [(F.lit(1), u)], []
-    for _ in range(rounds + 1):
-        finer = []
-        for a, b in gaps:
-            mid = (a + F.floor((b - a) / 2)).cast("int")
-            out.append(mid)
-            finer += [(a, mid), (mid, b)]
-        gaps = finer
-    ends = [F.lit(1).cast("int")]
-    return F.array_sort(F.array_distinct(F.filter(F.array(*out, *ends), lambda k: (k >= 1) & (k < u))))
+
+    def finer(known: Column, _) -> Column:
+        gaps = F.size(known) - 1
+        middles = F.zip_with(F.slice(known, F.lit(1), gaps), F.slice(known, F.lit(2), gaps), lambda a, b: a + F.shiftright(b - a, 1))
+        return F.array_sort(F.array_union(known, middles))
+
+    met = F.aggregate(F.sequence(F.lit(0), F.lit(rounds)), F.array(F.lit(1), u.cast("int")), finer)
+    return F.filter(met, lambda k: k < u)
 
 
 def lattice_positions(nodes: DataFrame, rounds: int) -> DataFrame:
@@ -57,7 +55,8 @@ def lattice_positions(nodes: DataFrame, rounds: int) -> DataFrame:
 
 
 def unevenness(prof: DataFrame, nodes: DataFrame, positions: Column) -> DataFrame:
-    """(key..., k, o): sum over both sides of the distance of each cell's count to its side's mean, for an ascending array of positions of each node.
+    """(key..., k, u, o): sum over both sides of the distance of each cell's count to its side's mean, for an ascending array of positions of each node
+    of u rows.
 
     Positions cut a node's rows into strips. Cells of one count in one strip are one row, made by partial sums in each task,
     so that even the root, a single key, is summed up before any shuffle. Running sums over the strips of each
@@ -68,6 +67,8 @@ def unevenness(prof: DataFrame, nodes: DataFrame, positions: Column) -> DataFram
     last = F.size("ks")
     dense = F.col("ks")[0] + last - 1 == F.element_at("ks", -1)  # every position from the first on: no search needed
     strip = F.when(dense, F.greatest(F.lit(1), F.least(F.col("pos") - F.col("ks")[0] + 1, last + 1))).otherwise(F.size(F.filter("ks", lambda k: k < F.col("pos"))) + 1)
+    # A row that counts no cell stands for each node, so that empty nodes have their positions too.
+    prof = prof.select(*KEY, "pos", "cnt", "many").unionByName(at.select(*KEY, F.lit(1).alias("pos"), F.lit(0).cast("long").alias("cnt"), F.lit(0).cast("long").alias("many")))
     strips = prof.join(at, KEY).groupBy(*KEY, strip.cast("int").alias("strip"), "cnt").agg(F.sum("many").alias("many"), F.first(last).alias("last"))
     same = W.partitionBy(*KEY, "cnt")
     run = strips.withColumn("low", F.sum("many").over(same.orderBy("strip"))).withColumn("every", F.sum("many").over(same))
@@ -84,8 +85,7 @@ def unevenness(prof: DataFrame, nodes: DataFrame, positions: Column) -> DataFram
     off = F.col("low") * F.abs(F.col("cnt") - F.col("mean_low")) + F.col("high") * F.abs(F.col("cnt") - F.col("mean_high"))
     found = each.groupBy(*KEY, "k").agg(F.sum(off).alias("off"), F.sum("low").alias("full_low"), F.sum("high").alias("full_high"), *(F.first(x).alias(x) for x in ("u", "v", "mean_low", "mean_high")))
     empty = (a - F.col("full_low")) * F.col("mean_low") + (b - F.col("full_high")) * F.col("mean_high")
-    found = found.select(*KEY, "k", (F.col("off") + empty).alias("o"))
-    return at.select(*KEY, F.explode("ks").alias("k")).join(found, [*KEY, "k"], "left").select(*KEY, "k", F.coalesce("o", F.lit(0.0)).alias("o"))
+    return found.select(*KEY, "k", "u", (F.col("off") + empty).alias("o"))
 
 
 def _smallest(scored: DataFrame, by: str) -> DataFrame:
@@ -101,8 +101,8 @@ def exact(prof, nodes, allow_no_split: bool = False, **_) -> DataFrame:
 def exhaustive(prof, nodes, eps_level, secret: str, allow_no_split: bool = False, **_) -> DataFrame:
     """Noise on every position: the level's budget is divided by their number."""
     o = unevenness(prof, nodes, every_position(allow_no_split))
-    o = o.withColumn("u", F.count(F.lit(1)).over(W.partitionBy(*KEY)))
-    o = o.withColumn("noisy", noise.laplace(F.col("o"), noise.UNEVENNESS * F.col("u") / F.lit(eps_level), secret, F.col("tree_id"), "split", F.col("node_id"), F.col("k")))
+    tried = F.col("u") if allow_no_split else F.col("u") - 1
+    o = o.withColumn("noisy", noise.laplace(F.col("o"), noise.UNEVENNESS * tried / F.lit(eps_level), secret, F.col("tree_id"), "split", F.col("node_id"), F.col("k")))
     return _smallest(o, "noisy")
 
 
@@ -114,21 +114,24 @@ def searched(prof, nodes, eps_level, secret: str, rounds: int = 3, **_) -> DataF
     o = unevenness(prof, nodes, F.when(extent() > 1, lattice_column(extent(), rounds)))
     scale = noise.UNEVENNESS * (2 * rounds + 1) / eps_level if eps_level else 0.0
     o = o.withColumn("noisy", noise.laplace(F.col("o"), scale, secret, F.col("tree_id"), "split", F.col("node_id"), F.col("k")) if scale else F.col("o"))
-    s = o.groupBy(*KEY).agg(F.map_from_entries(F.collect_list(F.struct("k", "noisy"))).alias("at")).join(nodes.select(*KEY, extent().alias("u")), KEY)
-    value = lambda k: F.element_at(F.col("at"), F.col(k))
-    s = s.withColumn("l", F.lit(1)).withColumn("r", F.col("u")).withColumn("k", (1 + F.floor((F.col("u") - 1) / 2)).cast("int")).withColumn("seen", F.array("k"))
-    for _ in range(rounds):
-        s = s.withColumn("a", (F.col("l") + F.floor((F.col("k") - F.col("l")) / 2)).cast("int")).withColumn("b", (F.col("k") + F.floor((F.col("r") - F.col("k")) / 2)).cast("int"))
-        va, vk, vb = value("a"), value("k"), value("b")
-        turn = F.when((vk <= va) & (vk <= vb), 0).when(va <= vb, -1).otherwise(1)
-        s = s.withColumn("turn", turn).withColumn("seen", F.array_union("seen", F.array("a", "b")))
-        s = s.select(
-            *KEY, "at", "u", "seen",
-            F.when(F.col("turn") == 0, F.col("a")).when(F.col("turn") == -1, F.col("l")).otherwise(F.col("k")).alias("l"),
-            F.when(F.col("turn") == 0, F.col("b")).when(F.col("turn") == -1, F.col("k")).otherwise(F.col("r")).alias("r"),
-            F.when(F.col("turn") == 0, F.col("k")).when(F.col("turn") == -1, F.col("a")).otherwise(F.col("b")).alias("k"),
-        )
-    return s.select(*KEY, "k", value("k").alias("value"), F.size("seen").cast("long").alias("evals"))
+    s = o.groupBy(*KEY).agg(F.map_from_entries(F.collect_list(F.struct("k", "noisy"))).alias("at"), F.first("u").alias("u"))
+    value = lambda k: F.element_at(F.col("at"), k)
+    middle = lambda a, b: a + F.shiftright(b - a, 1)
+
+    def state(l: Column, r: Column, k: Column, seen: Column) -> Column:
+        return F.struct(l.cast("int").alias("l"), r.cast("int").alias("r"), k.cast("int").alias("k"), seen.alias("seen"))
+
+    def step(now: Column, _) -> Column:
+        l, r, k = now["l"], now["r"], now["k"]
+        a, b = middle(l, k), middle(k, r)
+        stay, down = (value(k) <= value(a)) & (value(k) <= value(b)), value(a) <= value(b)
+        seen = F.array_union(now["seen"], F.array(a, b))
+        return F.when(stay, state(a, b, k, seen)).when(down, state(l, k, a, seen)).otherwise(state(k, r, b, seen))
+
+    one = F.lit(1)
+    first = middle(one, F.col("u"))
+    end = F.aggregate(F.sequence(one, F.lit(rounds)) if rounds else F.array().cast("array<int>"), state(one, F.col("u"), first, F.array(first.cast("int"))), step)
+    return s.select(*KEY, end.alias("end"), "at").select(*KEY, F.col("end.k").alias("k"), value(F.col("end.k")).alias("value"), F.size("end.seen").cast("long").alias("evals"))
 
 
 def exponential_unevenness(prof, nodes, eps_level, secret: str, **_) -> DataFrame:
