@@ -14,6 +14,10 @@ from geohist.operators.grid import GridSpec, all_cells, block_bounds, coarser, d
 MOST_CELLS = 1 << 24
 
 
+#: Blocks of the first level that are sent to all tasks; more are shuffled. Their number is known before.
+BROADCAST_BLOCKS = 100_000
+
+
 def _rows(frame: DataFrame, spec: GridSpec, mx, my, leaf: Column, value: Column, tree_id: str) -> DataFrame:
     """Release rows of blocks (gx, gy) of an mx by my grid; mx, my may be columns."""
     x0, x1 = block_bounds(F.col("gx"), mx, spec.nx)
@@ -80,7 +84,7 @@ def adaptive_grid(fm: DataFrame, spec: GridSpec, eps: float, alpha: float = 0.5,
     first = first.withColumn("m2", F.greatest(F.lit(1), F.least(want, F.col("bx1") - F.col("bx0"), F.col("by1") - F.col("by0"))))
     sub = first.withColumn("i", F.explode(F.sequence(F.lit(0), F.col("m2") - 1))).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("m2") - 1)))
     cells = fm.withColumn("gx", F.floor(F.col("cx") * m / spec.nx).cast("int")).withColumn("gy", F.floor(F.col("cy") * m / spec.ny).cast("int"))
-    placed = cells.join(F.broadcast(first) if m * m <= 100_000 else first, ["gx", "gy"])
+    placed = cells.join(F.broadcast(first) if m * m <= BROADCAST_BLOCKS else first, ["gx", "gy"])
     i = F.floor((F.col("cx") - F.col("bx0")) * F.col("m2") / (F.col("bx1") - F.col("bx0"))).cast("int")
     j = F.floor((F.col("cy") - F.col("by0")) * F.col("m2") / (F.col("by1") - F.col("by0"))).cast("int")
     counted = placed.groupBy("gx", "gy", i.alias("i"), j.alias("j")).agg(F.sum("cnt").alias("cnt"))

@@ -26,13 +26,24 @@ def interval_join(points: DataFrame, windows: DataFrame, ts: str = "ts", begins:
     return points.withColumn("__slot", slots(ts)).join(listed, "__slot").where(inside).drop("__slot")
 
 
-def asof_join(left: DataFrame, right: DataFrame, ts: str, by: list[str], value: str) -> DataFrame:
-    """left with the value of the latest right row of the same group at or before its time; one shuffle by group, no pairs."""
-    l = left.withColumn("__v", F.lit(None).cast(dict(right.dtypes)[value])).withColumn("__side", F.lit(1))
-    r = right.select(*by, ts, F.col(value).alias("__v"), F.lit(0).alias("__side"))
-    w = W.partitionBy(*by).orderBy(ts, "__side").rowsBetween(W.unboundedPreceding, W.currentRow)
-    both = l.unionByName(r, allowMissingColumns=True).withColumn(value, F.last("__v", ignorenulls=True).over(w))
-    return both.where("__side = 1").drop("__v", "__side")
+def asof_join(left: DataFrame, right: DataFrame, ts: str, by: list[str], value: str, slot_seconds: int = 86_400) -> DataFrame:
+    """left with the value of the latest right row of the same group at or before its time; no pairs.
+
+    Rows are dealt by group and time slot, so that a large group, or none at all (by empty), is many tasks. What a slot
+    takes over from those before it is the last value of each earlier slot, carried on over one row a slot.
+    """
+    at, kind = "asof_slot", dict(right.dtypes)[value]
+    slots = lambda df: df.withColumn(at, F.floor(F.unix_micros(F.col(ts).cast("timestamp")) / (slot_seconds * 1_000_000)))
+    l = slots(left.withColumn("asof_value", F.lit(None).cast(kind)).withColumn("asof_side", F.lit(1)))
+    r = slots(right.select(*by, ts, F.col(value).alias("asof_value"), F.lit(0).alias("asof_side")))
+    last = r.groupBy(*by, at).agg(F.max_by("asof_value", ts).alias("held"))
+    every = l.select(*by, at).distinct().join(last, [*by, at], "full")  # one row for each group and slot
+    before = W.partitionBy(*by).orderBy(at).rowsBetween(W.unboundedPreceding, -1)
+    carried = every.select(*by, at, F.last("held", ignorenulls=True).over(before).alias("carried"))
+    w = W.partitionBy(*by, at).orderBy(ts, "asof_side").rowsBetween(W.unboundedPreceding, W.currentRow)
+    both = l.unionByName(r, allowMissingColumns=True).withColumn(value, F.last("asof_value", ignorenulls=True).over(w))
+    out = both.where("asof_side = 1").join(carried, [*by, at], "left").withColumn(value, F.coalesce(value, "carried"))
+    return out.drop("asof_value", "asof_side", "carried", at)
 
 
 def compare(a: DataFrame, b: DataFrame) -> DataFrame:

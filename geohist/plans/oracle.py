@@ -2,11 +2,31 @@
 
 from __future__ import annotations
 
-from geohist.functions.budget import levels, remaining
-from geohist.functions.noise import TEST_SECRET
-from geohist.sources.points import SETS
-
 SIDE = 64
+#: The published test key, and the public domains (x_lo, x_hi, y_lo, y_hi) of the point sets; stated here, not imported.
+TEST_SECRET = "public-test-key"
+DOMAINS = {
+    "p1": (1704067200e6, 1706659200e6, 0.0, 500.0),
+    "p2": (788918400e6, 1009843200e6, 0.0, 106000.0),
+    "p3": (0.0, 52.0, 0.0, 106000.0),
+    "p4": (-1.0, 1.0, -1.0, 1.0),
+    "p5": (0.0, 14.0, 0.0, 1.0),
+    "p6": (788918400e6, 999302400e6, 0.0, 500000.0),
+    "p7": (0.0, 25.0, -1000.0, 10000.0),
+}
+
+
+def levels(eps: float, h: int, allocation: str = "geo", growth: float = 2.0) -> list[float]:
+    """Budgets of heights 0 to h, from the ratio between neighbouring levels: each is `growth` to the third part of the one above."""
+    ratio, out = (growth ** (1 / 3) if allocation == "geo" else 1.0), [1.0]
+    while len(out) <= h:
+        out.insert(0, out[0] * ratio)
+    return [eps * x / sum(out) for x in out]
+
+
+def remaining(parts: list[float], h: int) -> float:
+    """What is left for a path that stops at height h: the budgets of the levels below it."""
+    return sum(p for i, p in enumerate(parts) if i < h)
 
 
 def u(*parts: str, secret: str = TEST_SECRET) -> str:
@@ -48,7 +68,7 @@ def index(v: str, lo: float, hi: float, n: int) -> str:
 
 
 def matrix(s: str, n: int = SIDE) -> str:
-    a, b, c, d = SETS[s][3]
+    a, b, c, d = DOMAINS[s]
     return f"SELECT {index('px', a, b, n)} AS cx, {index('py', c, d, n)} AS cy, count(*) AS cnt FROM ({points(s)}) p GROUP BY 1, 2"
 
 

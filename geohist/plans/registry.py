@@ -256,8 +256,8 @@ add("bsp_p1", _all_sql("midpoint", "SELECT n.node AS leaf_id, round(x, 6) AS nco
 )
 
 
-def _quad_ctes(depth: int, allocation: str) -> str:
-    parts = budget.levels(EPS, depth, allocation)
+def _quad_ctes(depth: int, allocation: str, growth: float = 2.0) -> str:
+    parts = oracle.levels(EPS, depth, allocation, growth)
     out = [f"d AS MATERIALIZED ({oracle.dense('p1')})"]
     for h in range(depth + 1):
         side = SIDE >> (depth - h)
@@ -386,7 +386,6 @@ def _(spark, d):
 add("depths_edt", _pruned_sql(final="SELECT count(*) AS leaves, cast(max(floor(log2(node))) AS INTEGER) AS deepest, round(avg(floor(log2(node))), 6) AS mean_depth FROM leaf"))(
     lambda spark, d: r6(measures.depths(_edt(spark, d, mode="subtree").published, H).select("leaves", "deepest", "mean_depth"), "mean_depth")
 )
-add("evaluations_edt")(lambda spark, d: measures.evaluations(_edt(spark, d, mode="subtree").nodes))
 add("hotspots_topk", _pruned_sql(final="SELECT node AS leaf_id, round(ncount / ((x1 - x0) * (y1 - y0)), 6) AS density FROM leaf ORDER BY 2 DESC, 1 LIMIT 5"))(
     lambda spark, d: measures.hotspots(tree.stored(_edt(spark, d, mode="subtree").published), 5).select("leaf_id", F.round("density", 6).alias("density"))
 )
@@ -401,12 +400,12 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    from geohist.plans import experiments, surface
+    from geohist.plans import accuracy, experiments, surface
 
-    return {k: f for k, (f, _) in _ALL.items()} | surface.queries() | experiments.queries()
+    return {k: f for k, (f, _) in _ALL.items()} | accuracy.queries() | surface.queries() | experiments.queries()
 
 
 def oracle_sql() -> dict[str, str]:
-    from geohist.plans import surface
+    from geohist.plans import accuracy, surface
 
-    return {k: s for k, (_, s) in _ALL.items() if s} | surface.oracle_sql()
+    return {k: s for k, (_, s) in _ALL.items() if s} | accuracy.oracle_sql() | surface.oracle_sql()

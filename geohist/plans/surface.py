@@ -64,8 +64,8 @@ add("interval_join_events", f"SELECT win, count(*) AS n FROM events JOIN {_WIN}
 )
 add("asof_join_release", "SELECT e.event_id, r.v AS release FROM events e ASOF LEFT JOIN (SELECT TIMESTAMP '2024-01-02' + to_days(cast(i * 2 AS INTEGER)) AS at, i AS v FROM range(14) t(i)) r ON e.ts >= r.at")(
     lambda s, d: relational.asof_join(
-        t(s, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), F.lit(1).alias("g")),
-        s.range(14).select((F.lit("2024-01-02").cast("timestamp") + F.make_dt_interval(F.col("id") * 2)).alias("ts"), F.col("id").alias("release"), F.lit(1).alias("g")), "ts", ["g"], "release",
+        t(s, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts")),
+        s.range(14).select((F.lit("2024-01-02").cast("timestamp") + F.make_dt_interval(F.col("id") * 2)).alias("ts"), F.col("id").alias("release")), "ts", [], "release",
     ).select("event_id", "release")
 )
 add("semi_join_customers", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 400000)")(lambda s, d: t(s, d, "customer").join(t(s, d, "orders").where("o_totalprice > 400000"), F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey"))
@@ -75,7 +75,7 @@ add("full_outer_matrices", f"SELECT coalesce(a.cx, b.cx) AS cx, coalesce(a.cy, b
 )
 
 # Aggregates
-add("users_per_cell", f"SELECT {oracle.index('cast(epoch_us(ts) AS DOUBLE)', *src.SETS['p1'][3][:2], 16)} AS cx, count(DISTINCT user_id) AS users FROM events GROUP BY 1")(lambda s, d: relational.users_per_cell(t(s, d, "events").select(src.micros("ts").cast("double").alias("px"), F.col("value").alias("py"), "user_id"), src.grid_of("p1", 16), ("cx",)))
+add("users_per_cell", f"SELECT {oracle.index('cast(epoch_us(ts) AS DOUBLE)', *oracle.DOMAINS['p1'][:2], 16)} AS cx, count(DISTINCT user_id) AS users FROM events GROUP BY 1")(lambda s, d: relational.users_per_cell(t(s, d, "events").select(src.micros("ts").cast("double").alias("px"), F.col("value").alias("py"), "user_id"), src.grid_of("p1", 16), ("cx",)))
 add("users_per_cell_approx")(lambda s, d: relational.users_per_cell(t(s, d, "events").select(src.micros("ts").cast("double").alias("px"), F.col("value").alias("py"), "user_id"), src.grid_of("p1", 16), ("cx",), approx=True))
 add("grouping_sets_quadrants", f"SELECT q1, q2, sum(cnt)::BIGINT AS cnt FROM (SELECT cast((cx // 32) * 2 + cy // 32 AS INTEGER) AS q1, cast(((cx // 16) % 2) * 2 + (cy // 16) % 2 AS INTEGER) AS q2, cnt FROM ({_M})) GROUP BY ROLLUP (q1, q2)")(
     lambda s, d: fm(s, d).select(F.shiftright(c := quad.morton(F.col("cx"), F.col("cy"), 6), 10).cast("int").alias("q1"), (F.shiftright(c, 8) % 4).cast("int").alias("q2"), "cnt").rollup("q1", "q2").agg(F.sum("cnt").alias("cnt"))
@@ -159,12 +159,13 @@ def _(s, d):
     return s.sql("SELECT cast(cx DIV 8 AS INT) AS strip, sum(cnt) AS n FROM published_cells GROUP BY 1")
 
 
-add("release_metadata")(lambda s, d: sinks.metadata(fm(s, d).select(F.lit("t").alias("tree_id"), F.lit(1).alias("cells")), eps_tot=1.0, grid="64x64"))
-add("sample_points")(lambda s, d: relational.sample_keyed(t(s, d, "events").select("event_id", "value"), 0.1, "event_id"))
-add("best_split_udf")(lambda s, d: sqlfn.split_by_udf(fm(s, d)))
+add("release_metadata", f"""SELECT 't' AS tree_id, '{{"eps_tot":1.0,"grid":"64x64","leaves":' || count(*) || ',"cells":' || count(*) || '}}' AS metadata FROM ({_M})""")(lambda s, d: sinks.metadata(fm(s, d).select(F.lit("t").alias("tree_id"), F.lit(1).alias("cells")), eps_tot=1.0, grid="64x64"))
+add("sample_points", f"SELECT event_id, value FROM events WHERE {oracle.u('event_id', secret='sample')} < 0.1")(lambda s, d: relational.sample_keyed(t(s, d, "events").select("event_id", "value"), 0.1, "event_id"))
+_HALVES = f"SELECT cnt, cx < 32 AS low, avg(cnt) OVER (PARTITION BY cx < 32) AS mean FROM ({oracle.dense('p1')})"
+add("best_split_udf", f"SELECT 32 AS k, round(sum(abs(cnt - mean)), 4) AS o FROM ({_HALVES})")(lambda s, d: sqlfn.split_by_udf(fm(s, d)))
 
 # Streams
-_T = "SELECT epoch_us(time_bucket(INTERVAL '{w}', ts, TIMESTAMP '2024-01-01')) AS begins, cx, cy, count(*) AS cnt FROM (SELECT ts, " + oracle.index("cast(epoch_us(ts) AS DOUBLE)", *src.SETS["p1"][3][:2], 8) + " AS cx, " + oracle.index("value", *src.SETS["p1"][3][2:], 8) + " AS cy FROM events) GROUP BY 1, 2, 3"
+_T = "SELECT epoch_us(time_bucket(INTERVAL '{w}', ts, TIMESTAMP '2024-01-01')) AS begins, cx, cy, count(*) AS cnt FROM (SELECT ts, " + oracle.index("cast(epoch_us(ts) AS DOUBLE)", *oracle.DOMAINS["p1"][:2], 8) + " AS cx, " + oracle.index("value", *oracle.DOMAINS["p1"][2:], 8) + " AS cy FROM events) GROUP BY 1, 2, 3"
 add("stream_tumbling", _T.format(w="1 day"))(lambda s, d: windows.replay(s, d, "1 day"))
 add("stream_sliding", "SELECT epoch_us(TIMESTAMP '2024-01-01' + to_days(cast(b AS INTEGER))) AS begins, count(*) AS cnt FROM events JOIN range(-2, 40) r(b) ON ts >= TIMESTAMP '2024-01-01' + to_days(cast(b AS INTEGER)) AND ts < TIMESTAMP '2024-01-01' + to_days(cast(b + 2 AS INTEGER)) GROUP BY 1")(
     lambda s, d: windows.replay(s, d, "2 days", "1 day").groupBy("begins").agg(F.sum("cnt").alias("cnt"))
