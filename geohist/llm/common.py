@@ -22,7 +22,7 @@ SPACES = bytes([32, 9, 10, 11, 12, 13])
 
 def shared_dir(spark: SparkSession) -> str:
     """Folder that driver and executors share, as the session names it; one of our own only where unset."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir", "")
+    base = spark.conf.get("spark.checkpoint.dir", "")
     if not base:
         if not spark.sparkContext.master.startswith("local"):
             raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
