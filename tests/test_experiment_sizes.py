@@ -14,13 +14,16 @@ def test_registered_experiments_are_whole(spark, monkeypatch):
     monkeypatch.setattr(experiments, "evaluate", lambda s, matrices, configs, queries: seen.update(m=matrices, c=configs, q=queries))
     for name, sets in experiments.EXPERIMENTS.items():
         asked.clear()
+        experiments._KNOWN.clear()
         experiments.queries()[f"exp_{name}"](spark, sf)
         assert {x for x, _ in asked} == set(sets) and max(n for _, n in asked) == 3_500_000, name
         assert all(m.shape == (1024, 1024) for m in seen["m"].values()) and seen["q"] == 2000
         assert {c["method"] for c in seen["c"]} == {m for m, _, _ in experiments.methods_of(name)}
         assert len(seen["c"]) == len(seen["m"]) * len(experiments.methods_of(name))
+    experiments._KNOWN.clear()
     monkeypatch.setattr(experiments, "publish_local", lambda m, *a: (m, 0, 0))
     assert {r["set"] for r in experiments.queries()["exp_hotspots"](spark, sf).collect()} == {"p1", "pw"}
+    experiments._KNOWN.clear()
 
 
 def test_small_form(spark):
