@@ -25,3 +25,16 @@ def same_as_sql(spark, name: str, *tables: str) -> list[tuple]:
 @pytest.mark.parametrize("sigma", (20, 50, 100))
 def test_gaussian_points_are_one_for_each_event(spark, sigma):
     assert sum(r[2] for r in same_as_sql(spark, f"gaussian_points_{sigma}", "events")) == 10_000
+
+
+def test_lattice_positions_of_every_inner_node(spark):
+    rows = same_as_sql(spark, "lattice_positions", "events")
+    assert {n for n, _ in rows} == set(range(1, 16))
+    assert {k for n, k in rows if n == 1} == set(split_lattice(64, 3))
+
+
+def split_lattice(u: int, rounds: int) -> list[int]:
+    known = [1, u]
+    for _ in range(rounds + 1):
+        known = sorted({*known, *(a + (b - a) // 2 for a, b in zip(known, known[1:]))})
+    return known[:-1]
