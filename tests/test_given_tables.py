@@ -4,6 +4,7 @@ import duckdb
 import pytest
 
 import __spark_entry__ as entry_point
+from geohist.operators import grid, split, tree
 
 SF = "/root/testdata/sf0.01"
 
@@ -38,3 +39,16 @@ def split_lattice(u: int, rounds: int) -> list[int]:
     for _ in range(rounds + 1):
         known = sorted({*known, *(a + (b - a) // 2 for a, b in zip(known, known[1:]))})
     return known[:-1]
+
+
+@pytest.mark.parametrize("points, table, records", (("p1", "events", 10_000), ("p3", "lineitem", 60_000)))
+def test_midpoint_counts_the_records_of_both_sides(spark, points, table, records):
+    [(k, low, high)] = same_as_sql(spark, f"midpoint_{points}", table)
+    assert k == 32 and low + high == records and low and high
+
+
+def test_sides_of_a_node_without_records(spark):
+    nodes = tree.root(spark, grid.GridSpec(0.0, 4.0, 0.0, 4.0, 4, 4), 2)
+    none = spark.createDataFrame([], "tree_id string, node_id long, cx int, cy int, cnt long")
+    prof = split.profile(none, nodes)
+    assert [tuple(r) for r in split.sides(prof, split.midpoint(prof, nodes)).select("k", "low", "high").collect()] == [(2, 0, 0)]
