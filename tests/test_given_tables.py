@@ -52,3 +52,8 @@ def test_sides_of_a_node_without_records(spark):
     none = spark.createDataFrame([], "tree_id string, node_id long, cx int, cy int, cnt long")
     prof = split.profile(none, nodes)
     assert [tuple(r) for r in split.sides(prof, split.midpoint(prof, nodes)).select("k", "low", "high").collect()] == [(2, 0, 0)]
+
+
+def test_overlap_join_meets_blocks_that_hold_events(spark):
+    rows = same_as_sql(spark, "overlap_join", "events")
+    assert all(blocks <= records <= 10_000 for _, _, blocks, records in rows) and len({r[3] for r in rows}) > 50
