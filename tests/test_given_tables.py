@@ -57,3 +57,9 @@ def test_sides_of_a_node_without_records(spark):
 def test_overlap_join_meets_blocks_that_hold_events(spark):
     rows = same_as_sql(spark, "overlap_join", "events")
     assert all(blocks <= records <= 10_000 for _, _, blocks, records in rows) and len({r[3] for r in rows}) > 50
+
+
+@pytest.mark.parametrize("name", ("random", "mixed"))
+def test_each_event_asks_for_one_rectangle(spark, name):
+    rows = same_as_sql(spark, f"queries_{name}", "events")
+    assert [r[1] for r in rows] == list(range(10_000)) and all(r[0] == name and 0 <= r[2] < r[3] <= 64 and 0 <= r[4] < r[5] <= 64 for r in rows)
