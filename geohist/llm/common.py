@@ -206,11 +206,15 @@ def merged_slices(df: DataFrame, dtype: str, how: str) -> DataFrame:
     return df.select("slice", "cells").repartition("slice").mapInArrow(merge, "slice int, cells binary")
 
 
+#: Bytes of a sketch that the driver takes in one job; a larger one comes partition by partition, a job for each.
+AT_ONCE = 1 << 24
+
+
 def gathered_sketch(df: DataFrame, dtype: str, slices: int, cells: int) -> np.ndarray:
     """A merged sketch on the driver; its size is fixed by parameters and checked."""
     per = cells // slices
     out = np.zeros(cells, dtype)
-    for r in df.toLocalIterator():
+    for r in df.collect() if out.nbytes <= AT_ONCE else df.toLocalIterator():
         x = np.frombuffer(bytes(r["cells"]), dtype)
         if len(x) != per:
             raise ValueError("slice of unexpected size")

@@ -390,13 +390,23 @@ ROUNDS = 1
 
 
 def part_members(entries: DataFrame, labels: DataFrame, keep: Keep) -> DataFrame:
-    """Kept entries (sig, node, n, at, single) of the lists that still hold several parts, with their part."""
+    """Kept entries (sig, salt, node, meta) of the lists that still hold several parts, with their part; those of salted lists all stay.
+
+    Every entry is dealt twice, by its node and by its list: parts of a list are compared where its entries lie, within
+    a salt, so that no task gets more of a list than when it was made.
+    """
     member = entries.join(labels, "node", "left").withColumn("part", F.coalesce("label", "node")).drop("label")
-    open_ = member.groupBy("sig").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("sig")
-    return keep(member.join(open_, "sig"))
+    of_list = W.partitionBy("sig", "salt")
+    member = member.withColumn("low", F.min("part").over(of_list)).withColumn("high", F.max("part").over(of_list))
+    return keep(member.where("low < high or salt > 0").drop("low", "high"))
+
+
+def read_out(member: DataFrame) -> DataFrame:
+    """Entries with what their meta holds: size n, position at, and whether they stand for a single token."""
+    return member.select("sig", "node", "part", _size_of("meta").alias("n"), _position_of("meta").alias("at"), (F.col("meta") % 2 == 1).alias("single"))
 
 
-def leader_pairs(member: DataFrame, turn: int) -> DataFrame:
+def leader_pairs(member: DataFrame, turn: int, keep: Keep) -> DataFrame:
     """(a, b): for each part the list leader that its own leaders share most lists with.
 
     A list's leader is the entry at the earliest position: its set has fewest rare tokens of its own, so it stands
@@ -404,7 +414,7 @@ def leader_pairs(member: DataFrame, turn: int) -> DataFrame:
     """
     c = F.col
     first = F.struct("at", F.xxhash64("node", F.lit(turn)).alias("dealt"), "node", "n")
-    reps = member.groupBy("sig", "part").agg(F.min(first).alias("x")).select("sig", "part", "x.*")
+    reps = keep(member.groupBy("sig", "part").agg(F.min(first).alias("x")).select("sig", "part", "x.*"))  # read twice
     lead = reps.groupBy("sig").agg(F.min(F.struct("at", "dealt", "node", "n", "part")).alias("y"))
     met = reps.join(lead, "sig").where(c("part") != c("y.part")).where(_may_link(c("y.n"), c("n"), c("y.at"), c("at")))
     best = met.groupBy(c("y.node").alias("to"), "part", "node").agg(F.count(F.lit(1)).alias("shared"))
@@ -412,12 +422,12 @@ def leader_pairs(member: DataFrame, turn: int) -> DataFrame:
     return best.select((-c("z.back")).alias("a"), c("z.node").alias("b"))
 
 
-def pairs_left(member: DataFrame, boundary: int) -> DataFrame:
+def pairs_left(member: DataFrame, boundary: int, keep: Keep) -> DataFrame:
     """(a, b), distinct: members of different parts of a list that size and position allow a link."""
     c = F.col
     # What a part can offer on a list: its sizes, and the most tokens from its entry on.
     reach = F.when(c("at") < 0, c("n") + 1).otherwise(c("n") - c("at"))
-    parts = member.groupBy("sig", "part").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max(reach).alias("reach"), F.max("single").alias("one"))
+    parts = keep(member.groupBy("sig", "part").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max(reach).alias("reach"), F.max("single").alias("one")))
     half = lambda s: parts.select("sig", *(c(x).alias(f"{x}_{s}") for x in ("part", "low", "high", "reach", "one")))
     sizes = (LINK[0] * c("high_a") >= LINK[1] * c("low_b")) & (LINK[0] * c("high_b") >= LINK[1] * c("low_a"))
     enough = F.least("reach_a", "reach_b") >= F.ceil((c("low_a") + c("low_b")) * F.lit(LINK[1]) / F.lit(LINK[0] + LINK[1]) - 1e-9)
@@ -477,15 +487,15 @@ def link_components(docs: DataFrame, k: int = SHINGLE, id_col: str = "doc_id", t
     best = shared.groupBy("b").agg(F.max(F.struct("shared", (-F.col("a")).alias("back"))).alias("x")).select((-F.col("x.back")).alias("a"), "b")
     labels = components(linked(keep(best), sets, keep), keep)
     # Then parts with the leaders of lists that hold several, while that joins any; at last, exactly, all members of different parts.
-    member = part_members(listed.select("sig", "node", n.alias("n"), _position_of("meta").alias("at"), (F.col("meta") % 2 == 1).alias("single")), labels, keep)
+    member = part_members(listed.select("sig", "salt", "node", "meta"), labels, keep)
     for turn in range(ROUNDS):
-        links = linked(keep(leader_pairs(member, turn)), sets, keep)
+        links = linked(keep(leader_pairs(read_out(member), turn, keep)), sets, keep)
         if links.isEmpty():
             break
         labels = merged_labels(labels, links, keep)
         member = part_members(member.drop("part"), labels, keep)
     release_shuffles(spark)
-    links = linked(keep(pairs_left(member, boundary)), sets, keep)
+    links = linked(keep(pairs_left(read_out(member), boundary, keep)), sets, keep)
     labels = merged_labels(labels, links, keep)
     out = known.join(labels, "node", "left").withColumn("component", F.coalesce("label", "node")).drop("label")
     smallest = out.groupBy("component").agg(F.min("doc_id").alias("component_id"))
